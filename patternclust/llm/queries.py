@@ -20,6 +20,5 @@ ORACLES = {
     "op3_topk_search": topk_search.OP3_SQL,
     "op6_exact_dedup": exact_dedup.OP6_SQL,
     "op8_warc": warc_zip.OP8_SQL,
-    "op9_suffix_array_dedup": suffix_array_dedup.op9_suffix_array_dedup,
     "op10_mixing": mixing.OP10_SQL,
 }

@@ -110,7 +110,7 @@ def near_duplicate_groups(
     )
 
 
-def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, distance: int = 2) -> DataFrame:
+def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3, distance: int = 2) -> DataFrame:
     """``docs`` without the rows whose id is not the smallest of its near-duplicate group.
 
     Keeps all columns; rows of a null id stay. Identity is the id: rows that share a kept id stay.
