@@ -16,7 +16,6 @@ import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 MARK = "▁"
@@ -145,21 +144,30 @@ class Codec:
         byte_ids = np.array([bytes_of.get(b, unknown) for b in range(256)])
         return cls(DoubleArrayTrie(keys), np.array(scores), [p[0] for p in pieces], byte_ids, unknown, max(map(len, keys)))
 
-    def best_paths(self, words: list[str]) -> list[list[int]]:
-        """Ids of the best segmentation of each word; among equal scores the one whose last piece is longest."""
-        out: list[list[int]] = [[]] * len(words)
-        sizes = np.array([len(w) for w in words])
-        for low, high in ((0, 8), (8, 16), (16, 32), (32, VECTOR_LIMIT)):
+    def best_paths(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """``(ids end to end, ids per word)`` of the best segmentations; among equal scores the first found from the left."""
+        sizes = np.array([len(w) for w in words], np.int64)
+        flat, counts, order = [], [], []
+        for low, high in ((0, 6), (6, 9), (9, 12), (12, 16), (16, 24), (24, VECTOR_LIMIT)):
             picked = np.flatnonzero((sizes > low) & (sizes <= high))
             for k in range(0, len(picked), 1 << 15):
                 some = picked[k : k + (1 << 15)]
-                for i, ids in zip(some.tolist(), self._together([words[i] for i in some], high), strict=True):
-                    out[i] = ids
+                ids, n = self._together([words[i] for i in some.tolist()], high)
+                flat.append(ids)
+                counts.append(n)
+                order.append(some)
         for i in np.flatnonzero(sizes > VECTOR_LIMIT).tolist():
-            out[i] = self._alone(words[i])
-        return out
-
-    def _together(self, words: list[str], width: int) -> list[list[int]]:
+            ids = np.array(self._alone(words[i]), np.int32)
+            flat.append(ids)
+            counts.append(np.array([len(ids)]))
+            order.append(np.array([i]))
+        if not order:
+            return np.zeros(0, np.int32), np.zeros(0, np.int64)
+        flat, counts, order = np.concatenate(flat), np.concatenate(counts), np.concatenate(order)
+        back = np.argsort(order)
+        return gathered(flat, (np.cumsum(counts) - counts)[back], counts[back]), counts[back]
+
+    def _together(self, words: list[str], width: int) -> tuple[np.ndarray, np.ndarray]:
         n = len(words)
         points = np.frombuffer("".join(w.ljust(width, "\0") for w in words).encode("utf-32-le", "surrogatepass"), np.uint32).reshape(n, width)
         alphabet, spots = np.unique(points, return_inverse=True)
@@ -195,8 +203,24 @@ class Codec:
             better = total > best[lone, i + 1]
             lone = lone[better]
             best[lone, i + 1], came[lone, i + 1], piece[lone, i + 1] = total[better], i, -1
-        came, piece = came.tolist(), piece.tolist()
-        return [self._back(w, came[k], piece[k]) for k, w in enumerate(words)]
+        # walk back from the ends of all words together; columns fill from the right
+        trail, at, every = np.full((n, width), -1, np.int32), sizes.copy(), np.arange(n)
+        counts, odd = np.zeros(n, np.int64), np.zeros(n, bool)
+        for column in range(width - 1, -1, -1):
+            rows = every[at > 0]
+            if not len(rows):
+                break
+            ids = piece[rows, at[rows]]
+            trail[rows, column] = ids
+            odd[rows[ids < 0]] = True
+            counts[rows] += 1
+            at[rows] = came[rows, at[rows]]
+        taken = np.arange(width) >= (width - counts)[:, None]
+        if not odd.any():
+            return trail[taken], counts
+        spelled = {k: self._back(words[k], came[k].tolist(), piece[k].tolist()) for k in np.flatnonzero(odd).tolist()}
+        rows = [np.array(spelled[k], np.int32) if k in spelled else trail[k, width - counts[k] :] for k in range(n)]
+        return np.concatenate(rows), np.array([len(r) for r in rows])
 
     def _alone(self, word: str) -> list[int]:
         """The same for one long word; memory grows with its length."""
@@ -230,27 +254,64 @@ class Codec:
             at = frm
         return ids[::-1]
 
-    def encode(self, texts: list[str], known: dict[str, list[int]]) -> list[np.ndarray]:
-        """Ids of each text; ``known`` remembers words between calls."""
+    def encode(self, texts: list[str], known: WordTable) -> tuple[np.ndarray, np.ndarray]:
+        """``(ids end to end, ids per text)``; ``known`` remembers words between calls."""
         split = [WORDS.findall(MARK + t.replace(" ", MARK)) if t else [] for t in texts]
-        new = list({w for words in split for w in words} - known.keys())
-        known.update(zip(new, (np.array(x, np.int32) for x in self.best_paths(new)), strict=True))
-        empty = np.zeros(0, np.int32)
-        return [np.concatenate([known[w] for w in words]) if words else empty for words in split]
-
-    def decode(self, ids) -> str:
-        """The text of a sequence of ids: bytes are joined, markers become spaces, the first is dropped."""
-        parts = []
-        for i in ids:
-            piece = self.pieces[i]
-            parts.append(bytes([self._byte(i)]) if self._byte(i) >= 0 else piece.replace(MARK, " ").encode())
-        text = b"".join(parts).decode("utf-8", "replace")
-        return text[1:] if text.startswith(" ") else text
-
-    def _byte(self, i: int) -> int:
-        if not hasattr(self, "_bytes"):
-            self._bytes = {int(x): b for b, x in enumerate(self.byte_ids) if x != self.unknown_id}
-        return self._bytes.get(i, -1)
+        words = pa.array([w for own in split for w in own], pa.string()).dictionary_encode()
+        rows = known.rows(words.dictionary.to_pylist(), self)[words.indices.to_numpy()] if len(words) else np.zeros(0, np.int64)
+        sizes = known.counts[rows]
+        ids = gathered(known.flat, known.starts[rows], sizes)
+        upto = np.r_[0, np.cumsum(sizes)]
+        ends = np.cumsum([0] + [len(own) for own in split])
+        return ids, upto[ends[1:]] - upto[ends[:-1]]
+
+    def decode(self, ids: np.ndarray, counts: np.ndarray) -> list[str]:
+        """Texts of sequences laid end to end: bytes are joined, markers become spaces, the first is dropped."""
+        ids = np.asarray(ids, np.int64)
+        sizes = self.piece_sizes[ids]
+        data = gathered(self.piece_bytes, self.piece_starts[ids], sizes).tobytes()
+        upto = np.r_[0, np.cumsum(sizes)]
+        ends = upto[np.cumsum(np.r_[0, counts])].tolist()
+        parts = [data[i:j].decode("utf-8", "replace") for i, j in zip(ends[:-1], ends[1:], strict=True)]
+        return [t[1:] if t.startswith(" ") else t for t in parts]
+
+    def __post_init__(self):
+        spelled = {int(i): bytes([b]) for b, i in enumerate(self.byte_ids) if i != self.unknown_id}
+        table = [spelled.get(i, p.replace(MARK, " ").encode()) for i, p in enumerate(self.pieces)]
+        self.piece_sizes = np.array([len(x) for x in table], np.int64)
+        self.piece_starts = np.cumsum(self.piece_sizes) - self.piece_sizes
+        self.piece_bytes = np.frombuffer(b"".join(table), np.uint8)
+
+
+def gathered(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The stretches of ``flat`` at ``starts``, end to end."""
+    ends = np.cumsum(sizes)
+    if not len(ends):
+        return flat[:0]
+    return flat[np.arange(ends[-1]) + np.repeat(starts - (ends - sizes), sizes)]
+
+
+class WordTable:
+    """Segmentations of words met so far; forgets all when there are more than ``most``, which changes no result."""
+
+    def __init__(self, most: int = 300_000):
+        self.most = most
+        self.forget()
+
+    def forget(self) -> None:
+        self.index: dict[str, int] = {}
+        self.flat, self.starts, self.counts = np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.int64)
+
+    def rows(self, words: list[str], codec: Codec) -> np.ndarray:
+        if len(self.index) > self.most:
+            self.forget()
+        new = [w for w in words if w not in self.index]
+        if new:
+            ids, counts = codec.best_paths(new)
+            self.starts = np.r_[self.starts, len(self.flat) + np.cumsum(counts) - counts]
+            self.counts, self.flat = np.r_[self.counts, counts], np.r_[self.flat, ids]
+            self.index.update(zip(new, range(len(self.index), len(self.index) + len(new)), strict=True))
+        return np.fromiter(map(self.index.__getitem__, words), np.int64, len(words))
 
 
 def load_codec(spark, path: str = DEFAULT_MODEL, score_rule=zipf_scores) -> Codec:
@@ -259,60 +320,69 @@ def load_codec(spark, path: str = DEFAULT_MODEL, score_rule=zipf_scores) -> Code
         return Codec.load(f.read(), score_rule)
 
 
-def encode(docs: DataFrame, text_col: str = "text", ids_col: str = "piece_ids", codec: Codec | None = None, keep_words: int = 200_000) -> DataFrame:
-    """``docs`` with a column of piece ids for each whole text; null or empty text: an empty array.
-
-    All columns are kept, repeated rows too. A task remembers at most ``keep_words`` words and forgets them all
-    when there are more, which changes no result.
-    """
-    codec = codec or load_codec(docs.sparkSession)
-    shared = docs.sparkSession.sparkContext.broadcast(codec)  # pieces only: bounded by the model file
-    columns, at = docs.columns, docs.columns.index(text_col)
-    schema = T.StructType([*docs.schema.fields, T.StructField(ids_col, T.ArrayType(T.IntegerType()))])
+def _coded(df: DataFrame, fields: list, kernel_of, codec: Codec) -> DataFrame:
+    """``df`` with more columns, made by ``kernel_of(codec, table)(batch)`` from slices of a thousand rows."""
+    shared = df.sparkSession.sparkContext.broadcast(codec)  # pieces only: bounded by the model file
+    columns = df.columns
+    names = [*columns, *(f.name for f in fields)]
 
     def kernel(batches):
-        own, known = shared.value, {}
+        work = kernel_of(shared.value, WordTable())
         for whole in batches:
-            for k in range(0, max(1, whole.num_rows), 1000):
+            for k in range(0, whole.num_rows, 1000):
                 batch = whole.slice(k, 1000)
-                if len(known) > keep_words:
-                    known.clear()
-                ids = own.encode([t or "" for t in batch.column(at).to_pylist()], known)
-                ends = np.cumsum([0] + [len(x) for x in ids])
-                flat = np.concatenate(ids) if ids else np.zeros(0, np.int32)
-                arrays = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat, pa.int32()))
-                yield pa.RecordBatch.from_arrays([*batch.columns, arrays], [*columns, ids_col])
+                yield pa.RecordBatch.from_arrays([*batch.columns, *work(batch)], names)
+
+    return df.mapInArrow(kernel, T.StructType([*df.schema.fields, *fields]))
+
+
+def _id_lists(ids: np.ndarray, counts: np.ndarray) -> pa.ListArray:
+    return pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(counts)], pa.int32()), pa.array(ids.astype(np.int32, copy=False)))
+
+
+def encode(docs: DataFrame, text_col: str = "text", ids_col: str = "piece_ids", codec: Codec | None = None) -> DataFrame:
+    """``docs`` with a column of piece ids for each whole text; null or empty text: an empty array. All columns are kept, repeated rows too."""
+    at = docs.columns.index(text_col)
 
-    return docs.mapInArrow(kernel, schema)
+    def kernel_of(own, known):
+        return lambda batch: [_id_lists(*own.encode([t or "" for t in batch.column(at).to_pylist()], known))]
+
+    return _coded(docs, [T.StructField(ids_col, T.ArrayType(T.IntegerType()))], kernel_of, codec or load_codec(docs.sparkSession))
 
 
 def decode(encoded: DataFrame, ids_col: str = "piece_ids", text_col: str = "decoded", codec: Codec | None = None) -> DataFrame:
     """``encoded`` with a column of decoded texts; a null array decodes to the empty text."""
-    codec = codec or load_codec(encoded.sparkSession)
-    shared = encoded.sparkSession.sparkContext.broadcast(codec)
-    columns, at = encoded.columns, encoded.columns.index(ids_col)
-    schema = T.StructType([*encoded.schema.fields, T.StructField(text_col, T.StringType())])
+    at = encoded.columns.index(ids_col)
 
-    def kernel(batches):
-        own = shared.value
-        table = [bytes([own._byte(i)]) if own._byte(i) >= 0 else p.replace(MARK, " ").encode() for i, p in enumerate(own.pieces)]
-        for batch in batches:
-            texts = []
-            for ids in batch.column(at):
-                values = ids.values
-                text = b"".join(map(table.__getitem__, values.to_numpy().tolist())).decode("utf-8", "replace") if values is not None else ""
-                texts.append(text[1:] if text.startswith(" ") else text)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], [*columns, text_col])
+    def kernel_of(own, known):
+        def work(batch):
+            lists = batch.column(at)
+            counts = lists.value_lengths().fill_null(0).to_numpy()
+            return [pa.array(own.decode(lists.flatten().to_numpy(), counts), pa.string())]
 
-    return encoded.mapInArrow(kernel, schema)
+        return work
+
+    return _coded(encoded, [T.StructField(text_col, T.StringType())], kernel_of, codec or load_codec(encoded.sparkSession))
 
 
 def encode_documents(docs: DataFrame, codec: Codec | None = None, text_col: str = "text") -> DataFrame:
-    """``docs`` with ``piece_ids``, ``n_pieces`` and ``round_trip`` (decoding gives the text back), in one pass."""
-    codec = codec or load_codec(docs.sparkSession)
-    both = decode(encode(docs, text_col, codec=codec), codec=codec)
-    back = F.coalesce(F.translate(F.col(text_col), MARK, " "), F.lit(""))
-    return both.withColumns({"n_pieces": F.size("piece_ids"), "round_trip": F.col("decoded") == back}).drop("decoded")
+    """``docs`` with ``piece_ids``, ``n_pieces`` and ``round_trip`` (decoding gives the text back), in one pass.
+
+    A marker character in a text decodes to a space, which counts as given back; a null text is empty.
+    """
+    at = docs.columns.index(text_col)
+
+    def kernel_of(own, known):
+        def work(batch):
+            texts = [t or "" for t in batch.column(at).to_pylist()]
+            ids, counts = own.encode(texts, known)
+            same = [d == t.replace(MARK, " ") for d, t in zip(own.decode(ids, counts), texts, strict=True)]
+            return [_id_lists(ids, counts), pa.array(counts, pa.int32()), pa.array(same, pa.bool_())]
+
+        return work
+
+    fields = [T.StructField("piece_ids", T.ArrayType(T.IntegerType())), T.StructField("n_pieces", T.IntegerType()), T.StructField("round_trip", T.BooleanType())]
+    return _coded(docs, fields, kernel_of, codec or load_codec(docs.sparkSession))
 
 
 def op4_sentencepiece(spark, sf_dir: str) -> DataFrame:
