@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .store import materialize, release_shuffles
 
-CHUNK = 1 << 20
+CHUNK = 1 << 19
 _RNG = np.random.Generator(np.random.PCG64(20240229))
 BYTE_CODES = _RNG.integers(0, 2**64, 256, dtype=np.uint64)
 _ODD = _RNG.integers(0, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -53,7 +53,12 @@ class Scheme:
 
 
 class WordCodes(dict):
-    """64-bit codes of words, remembered."""
+    """64-bit codes of words, remembered up to a bound."""
+
+    def of(self, words: list[bytes]) -> np.ndarray:
+        if len(self) > 100_000:
+            self.clear()
+        return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
 
     def __missing__(self, word: bytes) -> int:
         self[word] = code = xxhash.xxh3_64_intdigest(word)
@@ -187,8 +192,7 @@ def merged_spans(doc: np.ndarray, start: np.ndarray, n: np.ndarray):
 def text_codes(text: bytes, unit: str, words: WordCodes) -> np.ndarray:
     if unit == "byte":
         return BYTE_CODES[np.frombuffer(text, np.uint8)]
-    own = text.split()
-    return np.fromiter(map(words.__getitem__, own), np.uint64, len(own))
+    return words.of(text.split())
 
 
 def _pieces(scheme: Scheme, codes: np.ndarray):
@@ -228,15 +232,14 @@ def run_records(docs: DataFrame, scheme: Scheme) -> DataFrame:
     def kernel(batches):
         words, chunk = WordCodes(), Chunk(scheme)
         for batch in batches:
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            for doc_id, text in zip(*batch.columns, strict=True):
+                doc_id, text = doc_id.as_py(), text.as_py()
                 for first, codes in _pieces(scheme, text_codes(text, scheme.unit, words)):
                     if len(codes) >= scheme.length:
                         chunk.add(doc_id, codes, first)
                     if chunk.total >= CHUNK:
                         yield from closed(chunk)
                         chunk = Chunk(scheme)
-                if len(words) > 500_000:
-                    words.clear()
         if chunk.total:
             yield from closed(chunk)
 
@@ -313,8 +316,6 @@ def run_bodies(docs: DataFrame, scheme: Scheme) -> DataFrame:
                     rows = []
             if rows:
                 yield packed(rows)
-            if len(words) > 500_000:
-                words.clear()
 
     def packed(rows):
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary())
