@@ -1,8 +1,8 @@
-"""Steps of the vector baselines as expressions, and distance diagnostics on samples."""
+"""Steps of the vector baselines as expressions, and distance diagnostics."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
@@ -14,11 +14,15 @@ def _sum(array):
     return F.aggregate(array, F.lit(0.0), lambda s, x: s + x)
 
 
-def concentration(sample: DataFrame) -> DataFrame:
-    """``(mean_d, sd_d, rho, contrast)`` over the pairs of a small sample (the caller bounds it)."""
-    x, y = sample.alias("x"), sample.alias("y")
-    d = F.sqrt(_sum(F.zip_with("x.v", "y.v", lambda a, b: (a - b) * (a - b))))
-    pairs = x.join(y, F.col("x.vec_id") < F.col("y.vec_id")).select(d.alias("d"))
+def label_medoids(vectors: DataFrame) -> DataFrame:
+    """``(medoid, mv)``: the vector of smallest id of each label, a stated query set of as many rows as labels."""
+    return vectors.groupBy("label").agg(F.min_by(F.struct("vec_id", "v"), "vec_id").alias("m")).select(F.col("m.vec_id").alias("medoid"), F.col("m.v").alias("mv"))
+
+
+def concentration(vectors: DataFrame) -> DataFrame:
+    """``(mean_d, sd_d, rho, contrast)`` of Euclidean distances from the label medoids to all other vectors."""
+    d = F.sqrt(_sum(F.zip_with("v", "mv", lambda a, b: (a - b) * (a - b))))
+    pairs = vectors.join(F.broadcast(label_medoids(vectors)), F.col("vec_id") != F.col("medoid")).select(d.alias("d"))  # a medoid per label
     return pairs.agg(
         F.round(F.avg("d"), 6).alias("mean_d"), F.round(F.stddev_pop("d"), 6).alias("sd_d"),
         F.round(F.avg("d") * F.avg("d") / (2 * F.var_pop("d")), 6).alias("rho"), F.round((F.max("d") - F.min("d")) / F.min("d"), 6).alias("contrast"),
@@ -33,22 +37,19 @@ def segmental_assign(vectors: DataFrame, medoids: DataFrame, dims: int) -> DataF
     return best.select("vec_id", F.col("b.medoid").alias("medoid"), F.round("b.dist", 6).alias("dist"))
 
 
-def gram(vectors: DataFrame) -> DataFrame:
-    """``(i, j, k)``: inner products of a small block."""
-    return _products(vectors).select("i", "j", F.round("k", 6).alias("k"))
-
-
-def _products(vectors: DataFrame) -> DataFrame:
-    x, y = vectors.alias("x"), vectors.alias("y")
-    return x.crossJoin(y).select(F.col("x.vec_id").alias("i"), F.col("y.vec_id").alias("j"), _sum(F.zip_with("x.v", "y.v", lambda a, b: a * b)).alias("k"))
+def gram_block(vectors: DataFrame) -> DataFrame:
+    """``(i, j, k)``: the rows of the kernel matrix that belong to the label medoids, against all vectors."""
+    medoids = F.broadcast(label_medoids(vectors))
+    return vectors.crossJoin(medoids).select(F.col("medoid").alias("i"), F.col("vec_id").alias("j"), F.round(_sum(F.zip_with("mv", "v", lambda a, b: a * b)), 6).alias("k"))
 
 
 def kernel_step(clustered: DataFrame) -> DataFrame:
-    """``(vec_id, cluster)``: one step of kernel k-means with the linear kernel from ``(vec_id, v, cluster)``."""
-    k = _products(clustered).join(clustered.select(F.col("vec_id").alias("j"), F.col("cluster").alias("cj")), "j")
-    to_mean = k.groupBy("i", F.col("cj").alias("c")).agg(F.avg("k").alias("m"))
-    own = clustered.select(F.col("vec_id").alias("i"), F.col("cluster").alias("ci"))
-    within = k.join(own, "i").where("ci = cj").groupBy(F.col("cj").alias("c")).agg(F.avg("k").alias("w"))
-    d = to_mean.join(within, "c").withColumn("d", F.round(F.col("w") - 2 * F.col("m"), 9))
-    w = Window.partitionBy("i").orderBy("d", "c")
-    return d.withColumn("r", F.row_number().over(w)).where("r = 1").select(F.col("i").alias("vec_id"), F.col("c").cast("bigint").alias("cluster"))
+    """``(vec_id, cluster)``: one step of kernel k-means with the linear kernel from ``(vec_id, v, cluster)``.
+
+    For this kernel the mean product with a cluster is the product with its mean, so no pair of vectors meets.
+    """
+    parts = clustered.select("cluster", F.posexplode("v").alias("j", "x")).groupBy("cluster", "j").agg(F.avg("x").alias("x"))
+    means = parts.groupBy("cluster").agg(F.transform(F.array_sort(F.collect_list(F.struct("j", "x"))), lambda s: s["x"]).alias("mean")).withColumnRenamed("cluster", "c")
+    within = _sum(F.transform("mean", lambda x: x * x))
+    d = clustered.crossJoin(F.broadcast(means)).select("vec_id", "c", F.round(within - 2 * _sum(F.zip_with("v", "mean", lambda a, b: a * b)), 9).alias("d"))  # k means
+    return d.groupBy("vec_id").agg(F.min(F.struct("d", "c")).alias("b")).select("vec_id", F.col("b.c").cast("bigint").alias("cluster"))

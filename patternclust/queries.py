@@ -451,32 +451,33 @@ def overlap_purity_probe(spark, sf):
 EMB = "em AS (SELECT vec_id, label, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings)"
 
 
-@query(f"""WITH {EMB}, d AS (SELECT sqrt(list_sum(list_transform(list_zip(x.v, y.v), lambda p: (p[1] - p[2]) * (p[1] - p[2])))) AS d FROM em x JOIN em y ON x.vec_id < y.vec_id WHERE y.vec_id < 200)
+MEDOIDS = "m AS (SELECT vec_id AS medoid, v FROM (SELECT *, row_number() OVER (PARTITION BY label ORDER BY vec_id) AS k FROM em) WHERE k = 1)"
+
+
+@query(f"""WITH {EMB}, {MEDOIDS}, d AS (SELECT sqrt(list_sum(list_transform(list_zip(x.v, y.v), lambda p: (p[1] - p[2]) * (p[1] - p[2])))) AS d FROM em x JOIN m y ON x.vec_id <> y.medoid)
 SELECT round(avg(d), 6) AS mean_d, round(stddev_pop(d), 6) AS sd_d, round(avg(d) * avg(d) / (2 * var_pop(d)), 6) AS rho, round((max(d) - min(d)) / min(d), 6) AS contrast FROM d""")
 def embedding_concentration(spark, sf):
-    return vectors.concentration(vectors.doubles(table(spark, sf, "embeddings")).where("vec_id < 200"))
+    return vectors.concentration(vectors.doubles(table(spark, sf, "embeddings")))
 
 
-@query(f"""WITH {EMB}, m AS (SELECT vec_id AS medoid, v FROM (SELECT *, row_number() OVER (PARTITION BY label ORDER BY vec_id) AS k FROM em) WHERE k = 1),
+@query(f"""WITH {EMB}, {MEDOIDS},
 d AS (SELECT e.vec_id, m.medoid, list_sum(list_transform(list_zip(e.v[1:20], m.v[1:20]), lambda p: abs(p[1] - p[2]))) / 20 AS dist FROM em e, m)
 SELECT vec_id, medoid, round(dist, 6) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY round(dist, 9), medoid) AS k FROM d) WHERE k = 1""")
 def segmental_assign_embeddings(spark, sf):
     e = vectors.doubles(table(spark, sf, "embeddings"))
-    medoids = e.groupBy("label").agg(F.min_by(F.struct("vec_id", "v"), "vec_id").alias("m")).select(F.col("m.vec_id").alias("medoid"), F.col("m.v").alias("mv"))
-    return vectors.segmental_assign(e, medoids, 20)
+    return vectors.segmental_assign(e, vectors.label_medoids(e), 20)
 
 
-@query(f"WITH {EMB} SELECT x.vec_id AS i, y.vec_id AS j, round(list_sum(list_transform(list_zip(x.v, y.v), lambda p: p[1] * p[2])), 6) AS k FROM em x, em y WHERE x.vec_id < 50 AND y.vec_id < 50")
+@query(f"WITH {EMB}, {MEDOIDS} SELECT m.medoid AS i, e.vec_id AS j, round(list_sum(list_transform(list_zip(m.v, e.v), lambda p: p[1] * p[2])), 6) AS k FROM em e, m")
 def kernel_gram_block(spark, sf):
-    return vectors.gram(vectors.doubles(table(spark, sf, "embeddings")).where("vec_id < 50"))
+    return vectors.gram_block(vectors.doubles(table(spark, sf, "embeddings")))
 
 
-@query(f"""WITH {EMB}, e AS (SELECT * FROM em WHERE vec_id < 200), k AS (SELECT x.vec_id AS i, y.vec_id AS j, list_sum(list_transform(list_zip(x.v, y.v), lambda p: p[1] * p[2])) AS k FROM e x, e y),
-c AS (SELECT i, j % 10 AS c, avg(k) AS m FROM k GROUP BY i, j % 10), w AS (SELECT i % 10 AS c, avg(k) AS w FROM k WHERE i % 10 = j % 10 GROUP BY 1),
-d AS (SELECT c.i, c.c, w.w - 2 * c.m AS d FROM c JOIN w ON c.c = w.c)
-SELECT i AS vec_id, c::BIGINT AS cluster FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY round(d, 9), c) AS r FROM d) WHERE r = 1""")
+@query(f"""WITH {EMB}, u AS (SELECT vec_id % 10 AS c, unnest(v) AS x, unnest(range(0, len(v))) AS j FROM em), a AS (SELECT c, j, avg(x) AS x FROM u GROUP BY c, j),
+mean AS (SELECT c, list(x ORDER BY j) AS mv FROM a GROUP BY c), d AS (SELECT vec_id, c, list_sum(list_transform(mv, lambda x: x * x)) - 2 * list_sum(list_transform(list_zip(v, mv), lambda p: p[1] * p[2])) AS d FROM em, mean)
+SELECT vec_id, c::BIGINT AS cluster FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY round(d, 9), c) AS r FROM d) WHERE r = 1""")
 def kernel_assign_step(spark, sf):
-    e = vectors.doubles(table(spark, sf, "embeddings")).where("vec_id < 200")
+    e = vectors.doubles(table(spark, sf, "embeddings"))
     return vectors.kernel_step(e.withColumn("cluster", F.col("vec_id") % 10))
 
 
