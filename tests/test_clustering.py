@@ -47,7 +47,7 @@ def test_fit_finds_the_classes(keys, fitted):
     assert m.assignment.count() == 300 and m.assignment.select("graph_id").distinct().count() == 300
     assert clustering.check_invariant(m, g) == 0
     q = measures.all_measures(m.assignment, planted.planted_truth(keys), True)
-    assert q["nvi"] >= 0.6 and q["purity"] >= 0.6
+    assert q["nvi"] >= 0.6 and q["purity"] >= 0.6, q
     assert all(len(r) <= m.cfg.r_max for r in m.representatives.values()) and m.history[-1]["k"] == m.k and m.describe()
 
 
@@ -140,6 +140,38 @@ def test_baselines(spark, keys):
     assert members.select("graph_id").distinct().count() == 40
 
 
+def test_exact_support_and_maximality(spark):
+    from patternclust.operators import support
+
+    rng = random.Random(3)
+    rows = []
+    for k in range(20):
+        g = Graph([rng.choice("ab") for _ in range(4)])
+        for u in range(4):
+            for w in range(u):
+                if rng.random() < 0.6:
+                    g.link(w, u, "x")
+        rows.append((k, *g.row()))
+    df = spark.createDataFrame(rows, model.GRAPH_SCHEMA)
+    edge, path = Graph.of("ab", [0], [1], "x"), Graph.of("aba", [0, 1], [1, 2], "xx")
+    (k1, n), (k2, _) = support.exact(df, [edge, path])
+    assert n == 20 and k2 <= k1
+    assert support.is_frequent(df, [edge], 1 / 20) == [True]
+    bigger = support.extensions(edge, {("a", "x", "a"), ("a", "x", "b"), ("b", "x", "b")})
+    assert len(bigger) == 4 and all(contains(b, edge) for b in bigger)
+    assert support.is_maximal(df, edge, k1 / 20) == (not any(support.is_frequent(df, bigger, k1 / 20)))
+    assert support.prune_by_subset([edge], [path, Graph(["a"])])[0].labels == ["a"]
+    assert 0 <= support.mining_error(df, [edge], 0.05) <= 1
+
+
+def test_plain_kmeans(spark):
+    from patternclust.baselines import kmeans
+
+    v = spark.createDataFrame([(i, [float(i % 2) * 10 + 0.01 * i, 1.0]) for i in range(40)], "vec_id bigint, v array<double>")
+    got = {r.vec_id % 2: r.cluster for r in kmeans.fit(v, 2).collect()}
+    assert len(set(got.values())) == 2
+
+
 def test_measures_of_a_small_table(spark):
     t = spark.createDataFrame([(1, "a", 2), (1, "b", 1), (2, "b", 1)], "cluster int, class string, n bigint")
     assert tuple(measures.nvi(t).first()) == (1.188722, 0.792481, 0.207519)
