@@ -9,9 +9,10 @@ A document is a sequence of symbols (bytes, or words by their hash). All of its
    Sorted by it and by content, runs of equal content are neighbours (a closed interval: all but the first
    are covered whole); an elected value with runs of several contents is a branching interval.
 2. *Suffixes of branching intervals.* Only there the symbols themselves travel, dealt out by the same
-   prefix. Each block of prefixes is an enhanced suffix array (``SuffixBlock``): its suffixes in the order of
-   their digests, the length of the prefix that neighbours share, checked symbol by symbol, and the symbol to
-   the left of each. Intervals that share ``length`` symbols are the deep nodes; all but their first occurrence are covered.
+   prefix, or, where too many runs share it, by a longer one (``WIDE``). Each block of prefixes is an enhanced suffix
+   array (``SuffixBlock``): its suffixes in lexicographic order, the length that neighbours share, and the symbol
+   to the left of each. Intervals that share ``length`` symbols are the deep nodes of the suffix tree; all but
+   their first occurrence are covered.
 
 Runs that repeat within a chunk of a task are settled there and one record of each content goes on,
 so a passage in a third of all documents meets as a record per chunk.
@@ -203,7 +204,9 @@ def _pieces(scheme: Scheme, codes: np.ndarray):
 
 
 RECORDS = "kind int, key bigint, content bigint, doc bigint, start bigint, n int"
-COVERED, OPEN = 1, 0
+COVERED, OPEN, WIDE = 1, 0, 2
+#: runs that may share a prefix before it is made longer
+MOST_RUNS = 500
 
 
 def _records(kind, key, content, doc, start, n) -> pa.RecordBatch:
@@ -291,15 +294,17 @@ def settle_runs(records: DataFrame, scheme: Scheme) -> DataFrame:
         if gone.any():
             yield _records(COVERED, 0, 0, *merged_spans(doc[gone], start[gone], n[gone]))
         if branching.any():
-            yield _records(OPEN, key[branching], 0, doc[branching], start[branching], n[branching])
+            wide = np.bincount(group, branching)[group[branching]] > MOST_RUNS
+            yield _records(np.where(wide, WIDE, OPEN), key[branching], 0, doc[branching], start[branching], n[branching])
 
     return _scanned(records, ["key", "content"], decide)
 
 
 def run_bodies(docs: DataFrame, scheme: Scheme) -> DataFrame:
-    """The symbols of each open run, from ``(doc, text, open)`` with ``open`` an array of key, start, n: ``key, doc, start, n, left, body``.
+    """The symbols of each open run, from ``(doc, text, open)`` with ``open`` an array of key, start, n, kind: ``key, doc, start, n, left, body``.
 
-    ``left`` is the code of the symbol before the run, null at the beginning of a document.
+    ``left`` is the code of the symbol before the run, null at the beginning of a document. Wide runs are cut where
+    their windows elect different values among longer substrings, which join the key.
     """
 
     def kernel(batches):
@@ -309,8 +314,8 @@ def run_bodies(docs: DataFrame, scheme: Scheme) -> DataFrame:
             for doc_id, text, runs in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 codes = np.frombuffer(text, np.uint8) if scheme.unit == "byte" else text_codes(text, "word", words).view(np.int64)
                 for r in runs:
-                    start, n = r["start"], r["n"]
-                    rows.append((r["key"], doc_id, start, n, int(codes[start - 1]) if start else None, codes[start : start + n + scheme.length - 1].tobytes()))
+                    for key, start, n in _refined(scheme, codes, r) if r["kind"] == WIDE else ((r["key"], r["start"], r["n"]),):
+                        rows.append((key, doc_id, start, n, int(codes[start - 1]) if start else None, codes[start : start + n + scheme.length - 1].tobytes()))
                 if len(rows) >= 20_000:
                     yield packed(rows)
                     rows = []
@@ -324,37 +329,70 @@ def run_bodies(docs: DataFrame, scheme: Scheme) -> DataFrame:
     return docs.mapInArrow(kernel, "key bigint, doc bigint, start bigint, n int, left bigint, body binary")
 
 
+def _refined(scheme: Scheme, codes: np.ndarray, run) -> list[tuple[int, int, int]]:
+    """``(key, start, n)`` of the parts of a run under the longer prefix."""
+    start, n = run["start"], run["n"]
+    body = codes[start : start + n + scheme.length - 1]
+    body = BYTE_CODES[body] if scheme.unit == "byte" else body.view(np.uint64)
+    gram = 3 * scheme.length // 4
+    elected = sliding_min(digest(ladder(body, gram), gram), scheme.length - gram + 1)
+    cuts = np.flatnonzero(np.r_[True, elected[1:] != elected[:-1]])
+    keys = (elected[cuts] ^ np.int64(run["key"]).view(np.uint64)).view(np.int64)
+    return list(zip(keys.tolist(), (start + cuts).tolist(), np.diff(np.r_[cuts, n]).tolist(), strict=True))
+
+
 class SuffixBlock:
-    """Enhanced suffix array of the windows of some runs: order, shared prefix, left symbol.
+    """Enhanced suffix array of the windows of some runs: order, shared lengths, left symbols.
 
-    Suffixes are sorted by the digest of their first ``length`` symbols, so those that share that many
-    are neighbours, in the order of document and place.
+    Suffixes are compared by their first ``length`` symbols; equal ones stand in the order of document and place.
     """
 
     def __init__(self, scheme: Scheme, doc, start, n, left, bodies: list[bytes]):
         self.scheme = scheme
-        self.symbols = np.frombuffer(b"".join(bodies), np.uint8 if scheme.unit == "byte" else np.uint64)
-        codes = BYTE_CODES[self.symbols] if scheme.unit == "byte" else self.symbols.copy()
+        byte = scheme.unit == "byte"
+        self.symbols = np.frombuffer(b"".join(bodies), np.uint8 if byte else np.uint64)
         firsts = np.cumsum(np.r_[0, n + scheme.length - 1])[:-1]
         nth = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
         at = np.repeat(firsts, n) + nth
-        mark = digest(ladder(codes, scheme.length), scheme.length, at)
         doc, start = np.repeat(doc, n), np.repeat(start, n) + nth
         # the symbol to the left: -1 where the document begins
         before = np.where(nth > 0, self.symbols[at - 1].astype(np.int64), np.repeat(left, n))
-        order = np.lexsort((start, doc, mark))
-        self.at, self.doc, self.start, self.before, mark = at[order], doc[order], start[order], before[order], mark[order]
-        self.same = np.zeros(len(order), bool)
-        self.same[1:] = mark[1:] == mark[:-1]
-        self._verify()
-
-    def _verify(self) -> None:
-        """Neighbours of equal digest share ``length`` symbols; compared one by one."""
-        rows, wide = np.flatnonzero(self.same), np.arange(self.scheme.length)
-        for k in range(0, len(rows), 1 << 16):
-            some = rows[k : k + (1 << 16)]
-            equal = (self.symbols[self.at[some][:, None] + wide] == self.symbols[self.at[some - 1][:, None] + wide]).all(axis=1)
-            self.same[some[~equal]] = False
+        columns = [c[at] for c in self._columns()]
+        order = np.lexsort((start, doc, *reversed(columns)))
+        self.at, self.doc, self.start, self.before = at[order], doc[order], start[order], before[order]
+        self.lcp = self._shared([c[order] for c in columns])
+        self.same = self.lcp >= scheme.length
+
+    def _columns(self) -> list[np.ndarray]:
+        """Views of the symbols from which sort keys are taken: bytes eight by eight (the last eight may overlap), words one by one."""
+        L, s = self.scheme.length, self.symbols
+        if self.scheme.unit == "word":
+            return [s[j:] for j in range(L)]
+        if L < 8:
+            return [s[j:] for j in range(L)]
+        eight = np.zeros(max(0, len(s) - 7), np.uint64)
+        for j in range(8):
+            eight = (eight << np.uint64(8)) | s[j : len(s) - 7 + j]
+        return [eight[j:] for j in [*range(0, L - 7, 8), *([L - 8] if L % 8 else [])]]
+
+    def _shared(self, columns: list[np.ndarray]) -> np.ndarray:
+        """Symbols, at most ``length``, that each suffix shares with the one before it."""
+        L, n = self.scheme.length, len(self.at)
+        out, open_ = np.full(n, L, np.int64), np.arange(1, n)
+        out[:1] = 0
+        packed = self.scheme.unit == "byte" and L >= 8
+        for j, c in enumerate(columns):
+            differ = c[open_] ^ c[open_ - 1] if packed else (c[open_] != c[open_ - 1]).astype(np.uint64)
+            stop = differ != 0
+            rows = open_[stop]
+            if packed:
+                first = min(8 * j, L - 8)
+                zeros = sum((differ[stop] < (np.uint64(1) << np.uint64(8 * k))).astype(np.int64) for k in range(1, 8))
+                out[rows] = first + zeros
+            else:
+                out[rows] = j
+            open_ = open_[~stop]
+        return out
 
     def covered(self) -> np.ndarray:
         return covered(self.scheme.within, self.same, self.doc, self.start)
@@ -366,6 +404,10 @@ class SuffixBlock:
         wide = last - first > 1
         return list(zip(first[wide].tolist(), last[wide].tolist(), strict=True))
 
+    def maximal(self) -> list[tuple[int, int]]:
+        """Those of them whose occurrences do not all have the same symbol to the left (or begin a document)."""
+        return [(i, j) for i, j in self.intervals() if (self.before[i:j] < 0).any() or (self.before[i:j] != self.before[i]).any()]
+
 
 def settle_bodies(records: DataFrame, scheme: Scheme) -> DataFrame:
     def decide(table):
@@ -391,7 +433,7 @@ def covered_windows(docs: DataFrame, scheme: Scheme, id_col: str = "doc_id", tex
     # spans that are covered within their chunk pass through the exchange under spread keys, so that texts are read once
     first = materialize(settle_runs(run_records(held, scheme), scheme), "runs")
     release_shuffles(docs.sparkSession)
-    branching = first.where(F.col("kind") == OPEN).groupBy("doc").agg(F.collect_list(F.struct("key", "start", "n")).alias("open"))
+    branching = first.where(F.col("kind") != COVERED).groupBy("doc").agg(F.collect_list(F.struct("key", "start", "n", "kind")).alias("open"))
     bodies = run_bodies(held.join(branching, "doc").select("doc", "text", "open"), scheme)
     second = materialize(settle_bodies(bodies, scheme), "suffixes")
     release_shuffles(docs.sparkSession)

@@ -78,7 +78,35 @@ def test_bytes(spark):
         assert got == brute_bytes(rows, 100)
 
 
-def test_small_chunks_give_the_same(spark, monkeypatch):
+def test_blocks_are_sorted_and_know_what_neighbours_share():
+    import numpy as np
+
+    rng = random.Random(7)
+    for scheme, alphabet in ((repeats.Scheme(10, 4, "byte", True), b"ab"), (repeats.Scheme(5, 2, "word", False), None)):
+        bodies, n = [], np.array([rng.randint(1, 9) for _ in range(40)])
+        for k in n.tolist():
+            own = [rng.randrange(2) + 97 for _ in range(k + scheme.length - 1)]
+            bodies.append(bytes(own) if alphabet else np.array(own, np.uint64).tobytes())
+        block = repeats.SuffixBlock(scheme, np.arange(40), np.zeros(40, np.int64), n, np.full(40, -1), bodies)
+        texts = [tuple(block.symbols[a : a + scheme.length].tolist()) for a in block.at.tolist()]
+        assert texts == sorted(texts)
+        for i in range(1, len(texts)):
+            shared = next((j for j, (x, y) in enumerate(zip(texts[i - 1], texts[i])) if x != y), scheme.length)
+            assert block.lcp[i] == shared
+        assert [(i, j) for i, j in block.intervals()] == [(i, j) for i, j in block.intervals() if len({*texts[i:j]}) == 1]
+        assert set(block.maximal()) <= set(block.intervals())
+
+
+def test_wide_prefixes_give_the_same(spark, monkeypatch):
+    line = "shared header line of some sixty bytes that many documents hold; "
+    rng = random.Random(11)
+    rows = [(k, "".join(rng.choices("abcdefgh ", k=rng.randint(0, 80))) + line + "".join(rng.choices("abcdefgh ", k=80)) + rng.choice(["", line * 2])) for k in range(700)]
+    rows += [(k + 1000, rows[k][1][:150] + "x" + rows[k][1][150:]) for k in range(0, 700, 7)]
+    got = sorted(tuple(r) for r in suffix_array_dedup.drop_repeated_substrings(table(spark, rows)).collect())
+    assert got == brute_bytes(rows, 100)
+
+
+def test_partitions_change_nothing(spark):
     rows = corpus(5)
     whole = sorted(tuple(r) for r in suffix_array_dedup.drop_repeated_substrings(table(spark, rows).repartition(7)).collect())
     assert whole == brute_bytes(rows, 100)
