@@ -71,7 +71,7 @@ def mixture(
     totals = sized.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("n"))
     totals = materialize(totals, "totals")
     n = totals.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    buckets = min(1 << 16, max(64, n // 2000))
+    per_octave = min(1 << 13, max(256, n // 10_000))  # buckets of even ratio: a thousandth of a source's rows at most
     plan = source_targets(totals.select("source", "source_size"), weights, max_epochs)
     epochs = F.when(F.col("source_size") > 0, F.floor((F.col("target") + 1e-6) / F.col("source_size"))).otherwise(F.lit(0))
     plan = materialize(
@@ -79,7 +79,7 @@ def mixture(
         "plan",
     )
     keyed = sized.withColumn("src", F.coalesce(F.concat(F.lit("s"), "source"), F.lit("n"))).withColumn(
-        "bucket", F.least(F.floor((F.lit(1.0) - F.exp(-F.col("key"))) * buckets), F.lit(buckets - 1)).cast("int")
+        "bucket", F.floor(F.log2("key") * per_octave).cast("int")
     )
     sums = keyed.groupBy("src", "bucket").agg(F.sum("size").alias("in_bucket"))
     before = Window.partitionBy("src").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
