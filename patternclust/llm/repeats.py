@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .store import materialize, release_shuffles
+from .store import materialize, release_shuffles, small_batches
 
 CHUNK = 1 << 19
 _RNG = np.random.Generator(np.random.PCG64(20240229))
@@ -334,7 +334,7 @@ def _refined(scheme: Scheme, codes: np.ndarray, run) -> list[tuple[int, int, int
     start, n = run["start"], run["n"]
     body = codes[start : start + n + scheme.length - 1]
     body = BYTE_CODES[body] if scheme.unit == "byte" else body.view(np.uint64)
-    gram = 3 * scheme.length // 4
+    gram = scheme.length - max(1, scheme.length // 12)
     elected = sliding_min(digest(ladder(body, gram), gram), scheme.length - gram + 1)
     cuts = np.flatnonzero(np.r_[True, elected[1:] != elected[:-1]])
     keys = (elected[cuts] ^ np.int64(run["key"]).view(np.uint64)).view(np.int64)
@@ -431,11 +431,13 @@ def covered_windows(docs: DataFrame, scheme: Scheme, id_col: str = "doc_id", tex
         F.col(id_col).cast("bigint").alias("doc"), F.col(text_col).cast("binary").alias("text")
     )
     # spans that are covered within their chunk pass through the exchange under spread keys, so that texts are read once
-    first = materialize(settle_runs(run_records(held, scheme), scheme), "runs")
+    with small_batches(docs.sparkSession):
+        first = materialize(settle_runs(run_records(held, scheme), scheme), "runs")
     release_shuffles(docs.sparkSession)
     branching = first.where(F.col("kind") != COVERED).groupBy("doc").agg(F.collect_list(F.struct("key", "start", "n", "kind")).alias("open"))
     bodies = run_bodies(held.join(branching, "doc").select("doc", "text", "open"), scheme)
-    second = materialize(settle_bodies(bodies, scheme), "suffixes")
+    with small_batches(docs.sparkSession):
+        second = materialize(settle_bodies(bodies, scheme), "suffixes")
     release_shuffles(docs.sparkSession)
     spans = first.where(F.col("kind") == COVERED).unionByName(second)
     return spans.groupBy("doc").agg(F.collect_list(F.struct("start", "n")).alias("spans"))

@@ -13,6 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .repeats import Scheme, removal, with_spans
+from .store import materialize, small_batches
 
 
 def word_scheme(length: int = 13) -> Scheme:
@@ -47,7 +48,9 @@ def drop_repeated_passages(docs: DataFrame, length: int = 13, id_col: str = "doc
 
     kind = docs.schema[id_col].dataType.simpleString()
     schema = f"doc_id {kind}, n_words bigint, n_removed bigint, kept_sha256 string" + ", kept string" * with_text
-    return with_spans(docs, scheme, id_col, text_col).mapInArrow(kernel, schema)
+    judged = with_spans(docs, scheme, id_col, text_col).mapInArrow(kernel, schema)
+    with small_batches(docs.sparkSession):
+        return materialize(judged, "judged")
 
 
 def op2_substring_dedup(spark, sf_dir: str) -> DataFrame:

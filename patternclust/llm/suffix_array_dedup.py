@@ -14,6 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .repeats import Scheme, removal, with_spans
+from .store import materialize, small_batches
 
 
 def byte_scheme(length: int = 100) -> Scheme:
@@ -116,7 +117,9 @@ def drop_repeated_substrings(docs: DataFrame, length: int = 100, id_col: str = "
 
     kind = docs.schema[id_col].dataType.simpleString()
     schema = f"doc_id {kind}, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + ", kept binary" * with_bytes
-    return with_spans(docs, scheme, id_col, text_col).mapInArrow(kernel, schema)
+    judged = with_spans(docs, scheme, id_col, text_col).mapInArrow(kernel, schema)
+    with small_batches(docs.sparkSession):
+        return materialize(judged, "judged")
 
 
 def op9_suffix_array_dedup(spark, sf_dir: str) -> DataFrame:
