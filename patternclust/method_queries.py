@@ -52,7 +52,7 @@ def fit_doc_random_start(spark, sf):
 
 @query()
 def fit_dom(spark, sf):
-    return _fit(graphs(spark, sf, "dom"), replace(QUERY_CONFIG, pre_minsup=0.4, least_minsup=0.1, max_vertices=40))
+    return _fit(graphs(spark, sf, "dom"), replace(QUERY_CONFIG, n_candidates=5, pre_minsup=0.4, least_minsup=0.1, max_vertices=12, embedding_cap=12, max_iter=6))
 
 
 @query()
