@@ -23,7 +23,7 @@ from .streaming.graphs import session_graphs
 
 #: what the queries fit with; the corpora have few dozen classes at most, but for the planted one
 QUERY_CONFIG = Config(n_candidates=10, pre_candidates=10, chunks=5, group_cap=480, max_iter=8, pre_minsup=0.05, least_minsup=0.02)
-PLANTED_CONFIG = replace(QUERY_CONFIG, n_candidates=25, pre_candidates=100, pre_minsup=0.01, least_minsup=0.005, group_cap=960)
+PLANTED_CONFIG = replace(QUERY_CONFIG, n_candidates=25, pre_candidates=100, pre_minsup=0.01, least_minsup=0.005, group_cap=960, max_iter=4)
 
 
 def _fit(graph_rows: DataFrame, cfg: Config) -> DataFrame:

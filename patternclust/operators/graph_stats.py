@@ -94,17 +94,27 @@ def three_vertex_features(graphs: DataFrame) -> DataFrame:
 
 
 def wl_features(graphs: DataFrame, rounds: int = 1) -> DataFrame:
-    """``(graph_id, wl, cnt)``: labels after some rounds of hashing each with its sorted neighbours, within the row."""
-    labels = F.col("vl")
-    held = graphs
+    """``(graph_id, wl, cnt)``: labels after some rounds of hashing each with its sorted neighbours."""
+    held = graphs.select("graph_id", "vl", "eu", "ew", "el")
     for _ in range(rounds):
-        arcs = F.flatten(F.transform(F.arrays_zip("eu", "ew", "el"), lambda e: F.array(F.struct(e["eu"].alias("m"), e["ew"].alias("o"), e["el"].alias("l")), F.struct(e["ew"].alias("m"), e["eu"].alias("o"), e["el"].alias("l")))))
-        held = held.withColumn("arcs", arcs)
-        near = lambda i: F.array_sort(F.transform(F.filter("arcs", lambda a: a["m"] == i), lambda a: F.concat_ws(":", a["l"], F.element_at("vl", a["o"] + 1))))
-        held = held.withColumn("vl", F.transform(labels, lambda x, i: F.md5(F.concat_ws("|", x, F.concat_ws(",", near(i))))))
+        held = held.withColumn("vl", _relabelled())
     return held.select("graph_id", F.explode("vl").alias("wl")).groupBy("graph_id", "wl").agg(F.count(F.lit(1)).alias("cnt"))
 
 
+def wl_histogram(graphs: DataFrame) -> DataFrame:
+    """``(wl, n)`` over all graphs after one round, counted at once."""
+    return graphs.select(F.explode(_relabelled()).alias("wl")).groupBy("wl").agg(F.count(F.lit(1)).alias("n"))
+
+
+def _relabelled():
+    """New labels within the row: neighbours are gathered per vertex as sorted (vertex, text) pairs, then hashed."""
+    label = lambda i: F.element_at("vl", i + 1)
+    edges = F.arrays_zip("eu", "ew", "el")
+    arcs = F.flatten(F.transform(edges, lambda e: F.array(F.struct(e["eu"].alias("m"), F.concat_ws(":", e["el"], label(e["ew"])).alias("t")), F.struct(e["ew"].alias("m"), F.concat_ws(":", e["el"], label(e["eu"])).alias("t")))))
+    arcs = F.array_sort(arcs)
+    return F.transform("vl", lambda x, i: F.md5(F.concat_ws("|", x, F.concat_ws(",", F.transform(F.filter(arcs, lambda a: a["m"] == i), lambda a: a["t"])))))
+
+
 def walk_features(graphs: DataFrame) -> DataFrame:
     """``(walk, n)``: label sequences of walks with two edges, vertices may come again; both directions count."""
     arcs = F.flatten(F.transform(F.arrays_zip("eu", "ew", "el"), lambda e: F.array(F.struct(e["eu"].alias("m"), e["ew"].alias("o"), e["el"].alias("l")), F.struct(e["ew"].alias("m"), e["eu"].alias("o"), e["el"].alias("l")))))

@@ -38,18 +38,24 @@ def region_probes() -> list[Probe]:
 
 
 def hit_rows(graphs: DataFrame, probes: Sequence[Probe]) -> DataFrame:
-    """``(graph_id, gsize, cluster_id, rep_id, rsize)``: one row for each representative that a graph contains."""
+    """``(graph_id, gsize, own, cluster_id, rep_id, rsize)``: one row for each representative that a graph contains;
+    ``own`` is the cluster that the graph is assigned to, from the same row."""
     each = F.array(*[F.when(p.hit, F.struct(F.lit(p.cluster_id).alias("cluster_id"), F.lit(p.rep_id).alias("rep_id"), F.lit(p.size).alias("rsize"))) for p in probes])
-    sized = with_size(graphs).select("graph_id", "gsize", F.explode(F.array_compact(each)).alias("h"))
-    return sized.select("graph_id", "gsize", "h.*")
+    own = F.coalesce(-F.array_max(_scored(probes, 2))["minus"], F.lit(-1))
+    sized = with_size(graphs).select("graph_id", "gsize", own.alias("own"), F.array_compact(each).alias("hs"))
+    return sized.select("graph_id", "gsize", "own", F.explode("hs").alias("h")).select("graph_id", "gsize", "own", "h.*")
 
 
-def similarities(graphs: DataFrame, probes: Sequence[Probe], power: int = 2) -> DataFrame:
-    """``graphs`` keys with an array of (similarity, -cluster) for every cluster hit: sums of sizes to a power."""
+def _scored(probes: Sequence[Probe], power: int) -> Column:
+    """Array of (similarity, -cluster) for every cluster hit: sums of sizes to a power."""
     clusters = sorted({p.cluster_id for p in probes})
     score = {c: sum((F.when(p.hit, F.lit(p.size**power)).otherwise(F.lit(0)) for p in probes if p.cluster_id == c), F.lit(0)) for c in clusters}
-    scored = F.filter(F.array(*[F.struct(s.cast("bigint").alias("similarity"), F.lit(-c).alias("minus")) for c, s in score.items()]), lambda x: x["similarity"] > 0)
-    return with_size(graphs).select("graph_id", "gsize", scored.alias("scored"))
+    return F.filter(F.array(*[F.struct(s.cast("bigint").alias("similarity"), F.lit(-c).alias("minus")) for c, s in score.items()]), lambda x: x["similarity"] > 0)
+
+
+def similarities(graphs: DataFrame, probes: Sequence[Probe], power: int = 2) -> DataFrame:
+    """``graphs`` keys with the array of their similarities."""
+    return with_size(graphs).select("graph_id", "gsize", _scored(probes, power).alias("scored"))
 
 
 def assign(graphs: DataFrame, probes: Sequence[Probe], power: int = 2) -> DataFrame:
@@ -69,14 +75,13 @@ def ranks(assignment: DataFrame, hits: DataFrame, specific: bool = True) -> Data
 
     Rank: size over the supporters' mean size, times support in the cluster less support in all.
     """
-    joined = hits.join(assignment.select("graph_id", F.col("cluster_id").alias("own")), "graph_id")
     inside = F.col("own") == F.col("cluster_id")
-    counted = joined.groupBy("cluster_id", "rep_id", "rsize").agg(
+    counted = hits.groupBy("cluster_id", "rep_id", "rsize").agg(
         F.count(F.lit(1)).alias("n_sup_d"), F.count(F.when(inside, 1)).alias("n_sup_c"), F.avg(F.when(inside, F.col("gsize"))).alias("mean_size")
     )
     sizes = assignment.groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n_c"))
-    total = sizes.agg(F.sum("n_c").alias("n_d"))
-    both = counted.join(sizes, "cluster_id").crossJoin(F.broadcast(total))  # one row
+    sizes = sizes.withColumn("n_d", F.sum("n_c").over(Window.partitionBy(F.lit(1))))  # k rows
+    both = counted.join(sizes, "cluster_id")
     supp_c, supp_d = F.col("n_sup_c") / F.col("n_c"), F.col("n_sup_d") / F.col("n_d")
     excess = supp_c - supp_d if specific else supp_c
     return both.select("cluster_id", "rep_id", "rsize", "n_sup_c", supp_c.alias("supp_c"), supp_d.alias("supp_d"), (F.col("rsize") / F.col("mean_size") * excess).alias("rank"))
@@ -95,8 +100,7 @@ def hcov(assignment: DataFrame, rep_sizes: DataFrame) -> DataFrame:
 
 
 def relcov(covered: DataFrame) -> DataFrame:
-    mean = covered.agg(F.avg("hcov").alias("mean"))
-    return covered.crossJoin(F.broadcast(mean)).withColumn("relcov", F.col("hcov") / F.col("mean")).drop("mean")
+    return covered.withColumn("relcov", F.col("hcov") / F.avg("hcov").over(Window.partitionBy(F.lit(1))))  # k rows
 
 
 def minsup_of(rel: Column, lr: float = 0.0, ls: float = 0.4, hr: float = 0.9, hs: float = 0.99) -> Column:

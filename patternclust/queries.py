@@ -392,18 +392,14 @@ near AS (SELECT x.g, x.m, array_to_string(list_sort(list(x.l || ':' || y.l)), ',
 SELECT md5(v.l || '|' || coalesce(near.s, '')) AS wl, count(*) AS n FROM {v} v LEFT JOIN near ON near.g = v.g AND near.m = v.v GROUP BY 1"""
 
 
-def _histogram(features):
-    return features.groupBy("wl").agg(F.sum("cnt").cast("bigint").alias("n"))
-
-
 @query(f"WITH {ORDER}, {WL.format(v='ov', e='oe')}")
 def order_wl1(spark, sf):
-    return _histogram(gs.wl_features(_graphs(spark, sf)))
+    return gs.wl_histogram(_graphs(spark, sf))
 
 
 @query(f"WITH {SESSION}, {WL.format(v='sv', e='se')}")
 def session_wl1(spark, sf):
-    return _histogram(gs.wl_features(_graphs(spark, sf, "session")))
+    return gs.wl_histogram(_graphs(spark, sf, "session"))
 
 
 @query(f"""WITH {SESSION}, arcs AS (SELECT g, a AS m, b AS o, l FROM se UNION ALL SELECT g, b, a, l FROM se)
