@@ -60,10 +60,11 @@ def similarities(graphs: DataFrame, probes: Sequence[Probe], power: int = 2) ->
 
 def assign(graphs: DataFrame, probes: Sequence[Probe], power: int = 2) -> DataFrame:
     """``(graph_id, gsize, cluster_id, similarity)``: the most similar cluster, ties to the smaller id, none: -1."""
-    best = F.array_max("scored")
-    return similarities(graphs, probes, power).select(
-        "graph_id", "gsize", F.coalesce(-best["minus"], F.lit(-1)).alias("cluster_id"), F.coalesce(best["similarity"], F.lit(0)).cast("bigint").alias("similarity")
-    )
+    none = F.struct(F.lit(0).cast("bigint").alias("similarity"), F.lit(1).alias("minus"))
+    # generated, so that the optimizer does not copy the long expression to each use and filter
+    best = F.explode(F.array(F.coalesce(F.array_max("scored"), none))).alias("b")
+    rows = similarities(graphs, probes, power).select("graph_id", "gsize", best)
+    return rows.select("graph_id", "gsize", (-F.col("b.minus")).alias("cluster_id"), F.col("b.similarity").alias("similarity"))
 
 
 def cluster_stats(assignment: DataFrame) -> DataFrame:
