@@ -42,8 +42,9 @@ def hit_rows(graphs: DataFrame, probes: Sequence[Probe]) -> DataFrame:
     ``own`` is the cluster that the graph is assigned to, from the same row."""
     each = F.array(*[F.when(p.hit, F.struct(F.lit(p.cluster_id).alias("cluster_id"), F.lit(p.rep_id).alias("rep_id"), F.lit(p.size).alias("rsize"))) for p in probes])
     own = F.coalesce(-F.array_max(_scored(probes, 2))["minus"], F.lit(-1))
-    sized = with_size(graphs).select("graph_id", "gsize", own.alias("own"), F.array_compact(each).alias("hs"))
-    return sized.select("graph_id", "gsize", "own", F.explode("hs").alias("h")).select("graph_id", "gsize", "own", "h.*")
+    both = F.explode(F.array(F.struct(own.alias("own"), F.array_compact(each).alias("hs")))).alias("x")  # evaluated once
+    sized = with_size(graphs).select("graph_id", "gsize", both)
+    return sized.select("graph_id", "gsize", F.col("x.own").alias("own"), F.explode("x.hs").alias("h")).select("graph_id", "gsize", "own", "h.*")
 
 
 def _scored(probes: Sequence[Probe], power: int) -> Column:
