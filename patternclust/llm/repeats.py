@@ -8,6 +8,7 @@ A document is a sequence of symbols (bytes, or words by their hash). All of its
    are, so whatever repeats meets at the elected value, the common prefix by which runs are dealt out.
    Sorted by it and by content, runs of equal content are neighbours (a closed interval: all but the first
    are covered whole); an elected value with runs of several contents is a branching interval.
+   Where a run holds its elected value more than once (a short period), its own windows are compared on the spot.
 2. *Suffixes of branching intervals.* Only there the symbols themselves travel, dealt out by the same
    prefix, or, where too many runs share it, by a longer one (``WIDE``). Each block of prefixes is an enhanced suffix
    array (``SuffixBlock``): its suffixes in lexicographic order, the length that neighbours share, and the symbol
@@ -104,11 +105,18 @@ def sliding_min(values: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(values[: len(values) - (width - size)], values[width - size :]) if size < width else values
 
 
+def _each(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``(i, nth)``: every i as often as its count says, numbered from 0."""
+    return np.repeat(np.arange(len(counts)), counts), np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+
+
 class Chunk:
     """Some documents' symbols end to end, with the places where windows may begin."""
 
     def __init__(self, scheme: Scheme):
         self.scheme, self.parts, self.ids, self.firsts, self.sizes, self.total = scheme, [], [], [], [], 0
+        #: document and place of windows that begin earlier in their own run, known with the runs
+        self.again = (np.zeros(0, np.int64),) * 2
 
     def add(self, doc_id: int, codes: np.ndarray, first: int = 0) -> None:
         self.parts.append(codes)
@@ -129,7 +137,8 @@ class Chunk:
         L, span = self.scheme.length, self.scheme.span
         if len(self.codes) < L:
             return (NO_TEXT, NO_TEXT, *(np.zeros(0, np.int64),) * 3)
-        elected = sliding_min(digest(self.rungs, self.scheme.gram), span)
+        grams = digest(self.rungs, self.scheme.gram)
+        elected = sliding_min(grams, span)
         breaks = np.empty(len(elected), bool)
         breaks[0] = True
         np.not_equal(elected[1:], elected[:-1], out=breaks[1:])
@@ -149,8 +158,30 @@ class Chunk:
             size = np.minimum(left, span)
         content = digest(self.rungs, L, begin) * _ODD[41] + digest(self.rungs, L, begin + size - 1)
         content = _mix(content + size.astype(np.uint64))
+        if self.scheme.within:
+            owner, at = self._again(grams, elected, begin, size)
+            self.again = self._places(at, part[owner])
         return elected[begin], content, *self._places(begin, part), size
 
+    def _again(self, grams, elected, begin, size):
+        """``(run, place)`` of the windows that begin earlier in their own run too: it holds its elected value more than once."""
+        span = self.scheme.span
+        # a value is elected somewhere if the greatest that windows over it elect is itself
+        around = np.r_[np.zeros(span - 1, np.uint64), elected, np.zeros(span - 1, np.uint64)]
+        chosen = np.flatnonzero(~sliding_min(~around, span) == grams)
+        low, high = np.searchsorted(chosen, begin), np.searchsorted(chosen, begin + size + span - 1)
+        owner, nth = _each(high - low)
+        met = grams[chosen[low[owner] + nth]] == elected[begin[owner]]
+        several = np.bincount(owner, met, len(begin)) > 1
+        owner, nth = _each(np.where(several, size, 0))
+        at = begin[owner] + nth
+        window = digest(self.rungs, self.scheme.length, at)
+        order = np.lexsort((at, window, owner))
+        owner, at, window = owner[order], at[order], window[order]
+        gone = np.zeros(len(at), bool)
+        gone[1:] = (owner[1:] == owner[:-1]) & (window[1:] == window[:-1])
+        return owner[gone], at[gone]
+
     def _places(self, at, part):
         return np.array(self.ids, np.int64)[part], at - self.starts[part] + np.array(self.firsts, np.int64)[part]
 
@@ -228,8 +259,10 @@ def run_records(docs: DataFrame, scheme: Scheme) -> DataFrame:
         order, gone = settle(scheme.within, [content], doc, start)
         lost, left = order[gone], order[~gone]
         yield _records(OPEN, key[left], content[left], doc[left], start[left], n[left])
-        if len(lost):
-            doc, start, n = merged_spans(doc[lost], start[lost], n[lost])
+        again_doc, again_start = chunk.again
+        if len(lost) or len(again_doc):
+            once = np.ones(len(again_doc), np.int64)
+            doc, start, n = merged_spans(np.r_[doc[lost], again_doc], np.r_[start[lost], again_start], np.r_[n[lost], once])
             yield _records(COVERED, doc.view(np.uint64) * _ODD[5] + start.view(np.uint64) * _ODD[6], 0, doc, start, n)
 
     def kernel(batches):

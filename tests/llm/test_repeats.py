@@ -106,6 +106,16 @@ def test_wide_prefixes_give_the_same(spark, monkeypatch):
     assert got == brute_bytes(rows, 100)
 
 
+def test_a_run_alone_repeats_within_itself(spark):
+    line = "a line of exactly forty bytes, repeated\n"
+    rule = "= " * 80
+    mixed = "".join(random.Random(2).choices("abcdefgh ", k=300))
+    for text in ("z" * 120, "z" * 237, "z" * 100, line * 4, rule, mixed + "-" * 150 + mixed[::-1], line + mixed[:90] + line):
+        rows = [(1, text)]
+        got = sorted(tuple(r) for r in suffix_array_dedup.drop_repeated_substrings(table(spark, rows)).collect())
+        assert got == brute_bytes(rows, 100)
+
+
 def test_partitions_change_nothing(spark):
     rows = corpus(5)
     whole = sorted(tuple(r) for r in suffix_array_dedup.drop_repeated_substrings(table(spark, rows).repartition(7)).collect())
