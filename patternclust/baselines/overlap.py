@@ -53,36 +53,35 @@ def common_core(core: Graph, g: Graph, least: int, steps: int = 400) -> Graph |
     return out
 
 
-def fit(graphs: DataFrame, min_common: int, granularity: float = 0.2, buckets: int = 64, most: int = 4000) -> DataFrame:
+def fit(graphs: DataFrame, min_common: int, granularity: float = 0.2, buckets: int = 64) -> DataFrame:
     """``(graph_id, cluster)`` memberships, several a graph. ``granularity``: share of the label profile that parts graphs, 0 for none.
 
-    A partition of more than ``most`` graphs is parted further by hash, as the work in it grows with the square.
+    Only the fingerprint parts graphs. A partition passes in the order of ids and only its cores are held;
+    the work in it grows with its graphs times its clusters.
     """
     top = F.array_sort(F.array_distinct("vl"))
     bits = max(0, round(granularity * 10))
     key = F.pmod(F.xxhash64(F.slice(top, 1, bits)), F.lit(buckets)) if bits else F.lit(0)
-    keyed = graphs.withColumn("bucket", key)
-    counts = {r["bucket"]: r["count"] for r in keyed.groupBy("bucket").count().collect()}  # at most `buckets` rows
-    parts = F.create_map(*[F.lit(x) for b, n in counts.items() for x in (b, max(1, -(-n // most)))]) if counts else F.create_map(F.lit(0), F.lit(1))
-    keyed = keyed.withColumn("salt", F.pmod(F.xxhash64("graph_id"), parts[F.col("bucket")]))
+    keyed = graphs.select("graph_id", "vl", "eu", "ew", "el", key.cast("bigint").alias("bucket"))
 
-    def grown(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("graph_id")
-        name = f"{int(pdf['bucket'].iloc[0])}-{int(pdf['salt'].iloc[0])}"
-        clusters: list[list] = []
-        rows = []
-        for key, vl, eu, ew, el in zip(pdf["graph_id"], pdf["vl"], pdf["eu"], pdf["ew"], pdf["el"]):
-            g = Graph.of(vl, eu, ew, el)
-            joined = False
-            for i, cluster in enumerate(clusters):
-                core = common_core(cluster[0], g, min_common)
-                if core is not None:
-                    cluster[0] = core
-                    rows.append((key, f"{name}-{i}"))
-                    joined = True
-            if not joined:
-                clusters.append([g])
-                rows.append((key, f"{name}-{len(clusters) - 1}"))
-        return pd.DataFrame(rows, columns=["graph_id", "cluster"])
+    def grown(batches):
+        name, cores = None, []
+        for pdf in batches:
+            rows = []
+            for bucket, key, vl, eu, ew, el in zip(pdf["bucket"], pdf["graph_id"], pdf["vl"], pdf["eu"], pdf["ew"], pdf["el"]):
+                if bucket != name:
+                    name, cores = bucket, []
+                g = Graph.of(vl, eu, ew, el)
+                joined = False
+                for i, held in enumerate(cores):
+                    core = common_core(held, g, min_common)
+                    if core is not None:
+                        cores[i] = core
+                        rows.append((key, f"{name}-{i}"))
+                        joined = True
+                if not joined:
+                    cores.append(g)
+                    rows.append((key, f"{name}-{len(cores) - 1}"))
+            yield pd.DataFrame(rows, columns=["graph_id", "cluster"])
 
-    return keyed.groupBy("bucket", "salt").applyInPandas(grown, "graph_id bigint, cluster string")
+    return keyed.repartition("bucket").sortWithinPartitions("bucket", "graph_id").mapInPandas(grown, "graph_id bigint, cluster string")

@@ -206,3 +206,9 @@ def test_refit_noise(spark):
     on_batch(spark.createDataFrame([(1, -1), (2, -1), (3, 0)], "graph_id bigint, cluster_id int"), 7)
     on_batch(spark.createDataFrame([(1, 0)], "graph_id bigint, cluster_id int"), 8)
     assert called == [(2, 7)]
+
+
+def test_overlap_partition_is_never_split(spark):
+    alike = spark.range(4001).selectExpr("id AS graph_id", "array('a', 'b', 'c') AS vl", "array(0, 1) AS eu", "array(1, 2) AS ew", "array('x', 'x') AS el")
+    members = overlap.fit(alike, 3, 0.2)
+    assert (members.count(), members.select("cluster").distinct().count()) == (4001, 1)
