@@ -45,10 +45,48 @@ def _pass(vectors: DataFrame, kernel, schema: str) -> DataFrame:
     return vectors.select("vec_id", "v").mapInArrow(run, schema)
 
 
+def round_dimensions(vectors: DataFrame, medoids: np.ndarray, average: int) -> list[np.ndarray]:
+    """Dimensions of each medoid by the mean deviations of all vectors in its locality, or of all where it has fewer than two."""
+    k, d = medoids.shape
+    gaps = np.stack([np.abs(medoids - m).mean(axis=1) for m in medoids])
+    np.fill_diagonal(gaps, np.inf)
+    reach = gaps.min(axis=1)
+
+    def kernel(_, x):
+        for i in range(k):
+            dev = np.abs(x - medoids[i])
+            near = dev.mean(axis=1) <= reach[i]
+            sums = [pa.array([v.sum(axis=0).tolist()], pa.list_(pa.float64())) for v in (dev[near], dev)]
+            yield pa.RecordBatch.from_arrays([pa.array([i]), pa.array([int(near.sum())]), pa.array([len(x)]), *sums], ["c", "n", "m", "s", "t"])
+
+    parts = _pass(vectors, kernel, "c bigint, n bigint, m bigint, s array<double>, t array<double>")
+    flat = parts.select("c", "n", "m", F.posexplode(F.arrays_zip("s", "t")).alias("j", "x"))
+    dev = np.zeros((k, d))
+    for r in flat.groupBy("c", "j").agg(F.sum("n").alias("n"), F.sum("m").alias("m"), F.sum("x.s").alias("s"), F.sum("x.t").alias("t")).collect():  # k times d rows
+        dev[r["c"], r["j"]] = r["s"] / r["n"] if r["n"] > 1 else r["t"] / r["m"]
+    return choose_dimensions(dev, average)
+
+
+def round_cost(vectors: DataFrame, medoids: np.ndarray, dims: list[np.ndarray]) -> tuple[float, np.ndarray]:
+    """Mean distance of all vectors to their nearest medoid, and how many are nearest to each."""
+
+    def kernel(_, x):
+        d = _distances(x, medoids, dims)
+        own, low = d.argmin(axis=1), d.min(axis=1)
+        counts, sums = np.bincount(own, minlength=len(medoids)), np.bincount(own, low, len(medoids))
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(medoids))), pa.array(counts), pa.array(sums)], ["c", "n", "s"])
+
+    rows = _pass(vectors, kernel, "c bigint, n bigint, s double").groupBy("c").agg(F.sum("n").alias("n"), F.sum("s").alias("s")).collect()  # k rows
+    counts = np.zeros(len(medoids), np.int64)
+    for r in rows:
+        counts[r["c"]] = r["n"]
+    return sum(r["s"] for r in rows) / counts.sum(), counts
+
+
 def fit(vectors: DataFrame, k: int, average_dims: int = 20, seed: int = 1, rounds: int = 12, sample_rows: int = 3000, bad_share: float = 0.1) -> DataFrame:
     """``(vec_id, cluster, dist)`` of ``(vec_id, v)``; outliers, farther from every medoid than its sphere of influence, are -1.
 
-    Medoids come from a bounded sample; every pass over the vectors sends back k rows of sums a task.
+    Medoids come from a bounded sample, and every round judges them by all vectors; every pass over the vectors sends back k rows of sums a task.
     """
     rng = np.random.default_rng(seed)
     n = vectors.count()
@@ -60,40 +98,23 @@ def fit(vectors: DataFrame, k: int, average_dims: int = 20, seed: int = 1, round
     pool = _far_apart(sample, min(len(sample), 4 * k), rng)
     current, best, best_cost, stale = rng.choice(len(pool), k, replace=False), None, np.inf, 0
 
-    def localities(medoids):
-        gaps = np.abs(medoids[:, None, :] - medoids[None, :, :]).mean(axis=2)
-        np.fill_diagonal(gaps, np.inf)
-        return gaps.min(axis=1) if k > 1 else np.array([np.inf])
-
-    def dims_of(medoids):
-        reach = localities(medoids)
-        gaps = np.abs(sample[:, None, :] - medoids[None, :, :])
-        near = gaps.mean(axis=2) <= reach
-        dev = np.stack([gaps[near[:, i] if near[:, i].sum() > 1 else slice(None), i].mean(axis=0) for i in range(k)])
-        return choose_dimensions(dev, average_dims)
-
-    def cost_of(medoids, dims):
-        d = _distances(sample, medoids, dims)
-        own = d.argmin(axis=1)
-        return d.min(axis=1).mean(), np.bincount(own, minlength=k)
-
     for _ in range(rounds):
         medoids = pool[current]
-        dims = dims_of(medoids)
-        cost, counts = cost_of(medoids, dims)
+        dims = round_dimensions(vectors, medoids, average_dims)
+        cost, counts = round_cost(vectors, medoids, dims)
         if cost < best_cost:
-            best, best_cost, best_counts, stale = current.copy(), cost, counts, 0
+            best, best_cost, best_counts, best_dims, stale = current.copy(), cost, counts, dims, 0
         else:
             stale += 1
             if stale > 4:
                 break
-        bad = np.flatnonzero(best_counts < bad_share * len(sample) / k)
+        bad = np.flatnonzero(best_counts < bad_share * best_counts.sum() / k)
         bad = bad if len(bad) else np.array([best_counts.argmin()])
         current = best.copy()
         free = np.setdiff1d(np.arange(len(pool)), current)
         take = min(len(bad), len(free))
         current[bad[:take]] = rng.choice(free, take, replace=False)
-    medoids, dims = pool[best], dims_of(pool[best])
+    medoids, dims = pool[best], best_dims
 
     def deviations(_, x):
         own = _distances(x, medoids, dims).argmin(axis=1)

@@ -212,3 +212,39 @@ def test_overlap_partition_is_never_split(spark):
     alike = spark.range(4001).selectExpr("id AS graph_id", "array('a', 'b', 'c') AS vl", "array(0, 1) AS eu", "array(1, 2) AS ew", "array('x', 'x') AS el")
     members = overlap.fit(alike, 3, 0.2)
     assert (members.count(), members.select("cluster").distinct().count()) == (4001, 1)
+
+
+def test_medoid_rounds_read_all_vectors(spark, monkeypatch):
+    x = np.random.default_rng(5).normal(size=(400, 6))
+    v = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id bigint, v array<double>")
+    seen, cost_of = [], kmedoids.round_cost
+
+    def recorded(vectors, medoids, dims):
+        cost, counts = cost_of(vectors, medoids, dims)
+        reach = [np.sort(np.abs(medoids - m).mean(axis=1))[1] for m in medoids]
+        gaps = np.abs(x[:, None, :] - medoids[None, :, :])
+        near = gaps.mean(axis=2) <= reach
+        dev = np.stack([gaps[near[:, i] if near[:, i].sum() > 1 else slice(None), i].mean(axis=0) for i in range(3)])
+        assert [d.tolist() for d in dims] == [d.tolist() for d in kmedoids.choose_dimensions(dev, 3)]
+        assert np.isclose(cost, kmedoids._distances(x, medoids, dims).min(axis=1).mean())
+        seen.append(int(counts.sum()))
+        return cost, counts
+
+    monkeypatch.setattr(kmedoids, "round_cost", recorded)
+    assert kmedoids.fit(v, 3, 3, rounds=2, sample_rows=40).count() == 400
+    assert seen == [400, 400]
+
+
+def test_candidates_are_ranked_on_all_graphs(spark, monkeypatch):
+    g = with_fingerprint(spark.range(20_400).selectExpr("id AS graph_id", "array('a', 'b') AS vl", "array(0) AS eu", "array(1) AS ew", "array('x') AS el"))
+    assignment = g.selectExpr("graph_id", "0 AS cluster_id", "0L AS similarity", "3 AS gsize", "0L AS n_tests")
+    seen, hit_counts = [], scan.hit_counts
+
+    def recorded(graphs, patterns, cfg):
+        counts = hit_counts(graphs, patterns, cfg)
+        seen.extend(counts[i][0] for i in counts)
+        return counts
+
+    monkeypatch.setattr(scan, "hit_counts", recorded)
+    clustering.update(g, assignment, clustering._stats(assignment), {}, Config(n_candidates=2, chunks=1, group_cap=200))
+    assert seen and set(seen) == {20_400}
