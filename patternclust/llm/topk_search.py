@@ -1,11 +1,12 @@
 """Exact top-k inner products by norm-bucketed retrieval.
 
-Candidates are sorted by length into buckets (range partitions, cut into blocks of bounded
-size). For a query the local cosine threshold of a bucket is its running k-th score divided by
+Candidates are sorted by length into slots (range partitions), each cut into buckets of bounded
+size. For a query the local cosine threshold of a bucket is its running k-th score divided by
 query length times the bucket's largest length: over one, the whole bucket is skipped by length;
 near one, coordinate bounds leave few candidates; else the bucket's vectors are taken in order of
-length down to the bound. What is left is verified by integer products. Queries come in blocks,
-and a grid of (query group, candidate slot) cells bounds what any task holds.
+length down to the bound. What is left is verified by integer products. Queries come in blocks; the
+slot of the longest vectors answers first, and its k-th scores are floors: a block of queries
+travels only to slots whose longest vector can still reach one of them.
 """
 
 from __future__ import annotations
@@ -13,6 +14,7 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -21,6 +23,9 @@ from .store import materialize
 BLOCK = 2048
 COORDINATE_FROM = 0.8
 FOCUS = 3
+SLOT_BLOCKS = 4
+#: slots are fewer, then each has more buckets: what is sent about them is bounded
+MOST_SLOTS = 1 << 16
 
 
 def integer_vectors(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", scale: float = 256.0) -> DataFrame:
@@ -35,9 +40,10 @@ def integer_vectors(df: DataFrame, id_col: str = "vec_id", vector_col: str = "em
 
 
 def _blocks(vectors: DataFrame, parts: int, block: int) -> DataFrame:
-    """Vectors packed by falling length: ``part, n, norms, ids, dims, data``."""
+    """Vectors packed by falling length: ``slot, top, norms, ids, dims, data``; slots are range partitions."""
 
     def pack(batches):
+        slot = TaskContext.get().partitionId()
         for batch in batches:
             for k in range(0, batch.num_rows, block):
                 own = batch.slice(k, block)
@@ -48,12 +54,12 @@ def _blocks(vectors: DataFrame, parts: int, block: int) -> DataFrame:
                     matrix[i, : len(row)] = row
                 ids, norms = own.column(0).to_numpy().astype(np.int64), own.column(2).to_numpy()
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([float(norms.max())]), pa.array([norms.tobytes()]), pa.array([ids.tobytes()]), pa.array([dims], pa.int32()), pa.array([matrix.tobytes()])],
-                    ["top", "norms", "ids", "dims", "data"],
+                    [pa.array([slot], pa.int32()), pa.array([float(norms.max())]), pa.array([norms.tobytes()]), pa.array([ids.tobytes()]), pa.array([dims], pa.int32()), pa.array([matrix.tobytes()])],
+                    ["slot", "top", "norms", "ids", "dims", "data"],
                 )
 
     ranged = vectors.repartitionByRange(parts, F.col("norm").desc(), F.col("vec_id")).sortWithinPartitions(F.col("norm").desc(), "vec_id")
-    return ranged.mapInArrow(pack, "top double, norms binary, ids binary, dims int, data binary")
+    return ranged.mapInArrow(pack, "slot int, top double, norms binary, ids binary, dims int, data binary")
 
 
 def _unpack(row, dims: int):
@@ -79,48 +85,51 @@ def _survivors(unit: np.ndarray, orders: dict, values: dict, direction: np.ndarr
             orders[f] = np.argsort(unit[:, f], kind="stable")
             values[f] = unit[orders[f], f]
         spread = np.sqrt(max(0.0, 1 - direction[f] ** 2) * max(0.0, 1 - cosine**2)) + 1e-9
-        lo, hi = np.searchsorted(values[f], direction[f] * cosine - spread), len(values[f])
-        if direction[f] * cosine + spread < 1 and cosine >= abs(direction[f]):
+        # angles to the axis: within the local angle of the query's own, unless that passes an end of the half circle
+        lo, hi = 0, len(values[f])
+        if cosine > -direction[f]:
+            lo = np.searchsorted(values[f], direction[f] * cosine - spread)
+        if cosine > direction[f]:
             hi = np.searchsorted(values[f], direction[f] * cosine + spread, side="right")
         rows = orders[f][lo:hi]
         left = rows if left is None else np.intersect1d(left, rows, assume_unique=True)
     return left
 
 
-def _search_cell(queries: pd.DataFrame, buckets: pd.DataFrame, k: int, out: list) -> None:
-    dims = int(max(queries["dims"].max(), buckets["dims"].max()))
-    buckets = buckets.sort_values("top", ascending=False, kind="stable")
-    opened = []
-    for row in buckets.itertuples():
-        ids, norms, matrix = _unpack(row, dims)
-        opened.append((ids, norms, matrix, matrix / np.maximum(norms, 1e-300)[:, None], {}, {}))
+def _search_cell(queries: pd.DataFrame, buckets: pd.DataFrame, k: int) -> list[list]:
+    """``[ids, lengths, floors, best ids, best scores]`` for each row of ``queries`` after all buckets; one bucket is open at a time."""
+    dims = int(max(queries["dims"].max(), buckets["dims"].max(), 1))
+    state = []
     for row in queries.itertuples():
         qids, qnorms, qmatrix = _unpack(row, dims)
-        floors = np.frombuffer(row.floors, np.float64) if row.floors else np.full(len(qids), -np.inf)
-        for q, length, query, floor in zip(qids.tolist(), qnorms, qmatrix, floors, strict=True):
-            best_ids, best = np.zeros(0, np.int64), np.zeros(0, np.int64)
-            for ids, norms, matrix, unit, orders, values in opened:
-                bound = max(floor, float(best[k - 1]) if len(best) >= k else -np.inf)
-                reach = length * norms[0]
-                if reach * (1 + 1e-9) < bound:
-                    break  # lengths only fall from here on
+        floors = np.frombuffer(row.floors, np.float64).copy() if row.floors else np.full(len(qids), -np.inf)
+        state.append((qids, qnorms, qmatrix, floors, [np.zeros(0, np.int64)] * len(qids), [np.zeros(0, np.int64)] * len(qids)))
+    for bucket in buckets.sort_values("top", ascending=False, kind="stable").itertuples():
+        ids, norms, matrix = _unpack(bucket, dims)
+        unit, orders, values = matrix / np.maximum(norms, 1e-300)[:, None], {}, {}
+        for qids, qnorms, qmatrix, floors, best_ids, best in state:
+            reaches = qnorms * norms[0]
+            for i in np.flatnonzero(~(reaches * (1 + 1e-9) < floors)).tolist():
+                bound, reach, query = floors[i], reaches[i], qmatrix[i]
                 if bound > 0 and reach > 0 and bound / reach >= COORDINATE_FROM:
-                    rows = _survivors(unit, orders, values, query / length, bound / reach * (1 - 1e-9))
-                elif bound > 0 and length > 0:
-                    rows = np.arange(np.searchsorted(-norms, -bound / length * (1 - 1e-9), side="right"))
+                    rows = _survivors(unit, orders, values, query / qnorms[i], bound / reach * (1 - 1e-9))
+                elif bound > 0 and qnorms[i] > 0:
+                    rows = np.arange(np.searchsorted(-norms, -bound / qnorms[i] * (1 - 1e-9), side="right"))
                 else:
                     rows = np.arange(len(ids))
                 if not len(rows):
                     continue
                 got, who = _products(matrix[rows], query), ids[rows]
-                other = who != q
-                got, who = np.r_[best, got[other]], np.r_[best_ids, who[other]]
+                other = who != qids[i]
+                got, who = np.r_[best[i], got[other]], np.r_[best_ids[i], who[other]]
                 if len(got) > 4 * k:
                     cut = np.partition(got, len(got) - k)[len(got) - k]
                     got, who = got[got >= cut], who[got >= cut]
                 order = np.lexsort((who, -got))[:k]
-                best_ids, best = who[order], got[order]
-            out.append((q, best_ids, best))
+                best_ids[i], best[i] = who[order], got[order]
+                if len(order) >= k:
+                    floors[i] = max(floors[i], float(best[i][k - 1]))
+    return [[qids, qnorms, floors, best_ids, best] for qids, qnorms, _, floors, best_ids, best in state]
 
 
 def top_products(
@@ -135,34 +144,45 @@ def top_products(
     all_vectors = materialize(integer_vectors(vectors, id_col, vector_col), "vectors")
     asked = materialize(integer_vectors(queries, id_col, vector_col).dropDuplicates(["vec_id"]), "asked")
     n, m = all_vectors.count(), asked.count()
-    spark = vectors.sparkSession
-    slots, groups = max(1, -(-n // (block * cell_blocks))), max(1, -(-m // (block * cell_blocks)))
-    buckets = materialize(_blocks(all_vectors, max(1, -(-n // block)), block), "buckets")
-    questions = materialize(_blocks(asked, max(1, -(-m // (block // 4))), block // 4), "questions").withColumn("floors", F.lit(None).cast("binary"))
+    slots, groups = max(1, min(MOST_SLOTS, -(-n // (block * SLOT_BLOCKS)))), max(1, -(-m // (block * cell_blocks)))
+    buckets = materialize(_blocks(all_vectors, slots, block), "buckets")
+    asked_in = max(1, block // 4)
+    questions = materialize(
+        _blocks(asked, max(1, min(MOST_SLOTS, -(-m // (asked_in * 4)))), asked_in).drop("slot").withColumn("g", F.pmod(F.xxhash64("ids"), F.lit(groups)).cast("int")), "questions"
+    )
+    passed = "g int, top double, norms binary, ids binary, dims int, data binary, floors binary, need double, found array<struct<query_id:bigint,vec_id:bigint,score:bigint>>"
 
-    def searched(questions: DataFrame, buckets: DataFrame, slots: int) -> DataFrame:
-        """Cells (query group, slot): questions go to every slot, buckets to every group."""
-        spread_q = questions.withColumn("g", F.pmod(F.xxhash64("ids"), F.lit(groups)).cast("int")).withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(slots - 1))))
-        spread_b = buckets.withColumn("s", F.pmod(F.xxhash64("ids"), F.lit(slots)).cast("int")).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
+    def searched(asked: DataFrame, given: DataFrame) -> DataFrame:
+        """Cells of equal ``(g, slot)``: question rows with what each found, its floors, and the length from which a bucket can matter."""
 
         def cell(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-            out: list = []
-            if len(left) and len(right):
-                _search_cell(left, right, k, out)
-            return pd.DataFrame(
-                {
-                    "query_id": np.repeat([q for q, _, _ in out], [len(x) for _, x, _ in out]).astype(np.int64),
-                    "vec_id": np.concatenate([x for _, x, _ in out] or [np.zeros(0, np.int64)]),
-                    "score": np.concatenate([x for _, _, x in out] or [np.zeros(0, np.int64)]),
-                }
-            )
-
-        return spread_q.groupBy("g", "s").cogroup(spread_b.groupBy("g", "s")).applyInPandas(cell, "query_id bigint, vec_id bigint, score bigint")
-
-    found = searched(questions, buckets, slots)
+            out = left[["g", "top", "norms", "ids", "dims", "data"]].copy()
+            results = _search_cell(left, right, k) if len(left) and len(right) else []
+            out["floors"] = [r[2].tobytes() for r in results] or None
+            out["need"] = [float(np.min(np.where(r[2] > -np.inf, r[2] / np.maximum(r[1], 1e-300), -np.inf))) for r in results] or -np.inf
+            out["found"] = [
+                [(int(q), int(v), int(x)) for q, vs, xs in zip(qids, best_ids, best, strict=True) for v, x in zip(vs, xs, strict=True)] for qids, _, _, best_ids, best in results
+            ] or None
+            return out
+
+        return asked.groupBy("g", "slot").cogroup(given.groupBy("g", "slot")).applyInPandas(cell, passed)
+
+    tops = buckets.groupBy("slot").agg(F.max("top").alias("top"))  # MOST_SLOTS rows at most
+    first = tops.agg(F.max_by("slot", "top")).first()[0]
+    to_groups = lambda df: df.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
+    blank = questions.withColumn("floors", F.lit(None).cast("binary"))
+    if first is None:
+        seeded = materialize(blank.withColumn("need", F.lit(float("-inf"))).withColumn("found", F.lit(None).cast("array<struct<query_id:bigint,vec_id:bigint,score:bigint>>")), "seeded")
+    else:
+        seeded = materialize(searched(blank.withColumn("slot", F.lit(first)), to_groups(buckets.where(F.col("slot") == first))).where(F.col("ids").isNotNull()), "seeded")
+    others = tops.where(F.col("slot") != first).agg(F.collect_list(F.struct("slot", "top")).alias("others"))
+    reach = F.filter("others", lambda o: o["top"] * (1 + 1e-9) >= F.col("need"))
+    spread = seeded.drop("found").crossJoin(F.broadcast(others)).withColumn("slot", F.explode(F.transform(reach, lambda o: o["slot"]))).drop("others")  # one row
+    used = materialize(spread.select("g", "slot").distinct(), "cells")
+    found = searched(spread, buckets.join(used, "slot")).select("found").unionByName(seeded.select("found"))
+    rows = found.select(F.explode("found").alias("f")).select("f.*")
     best = F.slice(F.sort_array(F.collect_list(F.struct((-F.col("score")).alias("minus"), "vec_id"))), 1, k)  # k rows a slot at most
-    ranked = found.groupBy("query_id").agg(best.alias("best")).select("query_id", F.posexplode("best").alias("rank", "b"))
-    del spark
+    ranked = rows.groupBy("query_id").agg(best.alias("best")).select("query_id", F.posexplode("best").alias("rank", "b"))
     return ranked.select("query_id", (F.col("rank") + 1).cast("int").alias("rank"), F.col("b.vec_id").alias("vec_id"), (-F.col("b.minus")).alias("score"))
 
 

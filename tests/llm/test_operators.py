@@ -143,12 +143,33 @@ def test_top_products(spark, block):
 
 def test_coordinate_bounds_lose_nothing():
     rng = np.random.default_rng(1)
-    unit = rng.normal(size=(500, 5))
-    unit /= np.linalg.norm(unit, axis=1)[:, None]
-    query = unit[7]
-    for cosine in (0.8, 0.9, 0.99):
-        kept = set(topk_search._survivors(unit, {}, {}, query, cosine).tolist())
-        assert set(np.flatnonzero(unit @ query >= cosine).tolist()) <= kept
+    for dims in (2, 3, 5, 8, 64):
+        unit = rng.normal(size=(300, dims))
+        unit[:40, 0] = -np.abs(unit[:40, 0]) * 6
+        unit[40:80, dims - 1] = np.abs(unit[40:80, dims - 1]) * 6
+        unit /= np.linalg.norm(unit, axis=1)[:, None]
+        for query in unit:
+            for cosine in (0.8, 0.9, 0.99):
+                kept = set(topk_search._survivors(unit, {}, {}, query, cosine).tolist())
+                assert set(np.flatnonzero(unit @ query >= cosine).tolist()) <= kept
+    assert 0 in topk_search._survivors(np.array([[-0.99, 0.1411, 0.0]]), {}, {}, np.array([-0.9, 0.4359, 0.0]), 0.8)
+
+
+@pytest.mark.parametrize("block,dims", [(8, 2), (40, 3), (2048, 3), (32, 16)])
+def test_every_row_as_query(spark, block, dims):
+    rng = np.random.default_rng(dims)
+    unit = rng.normal(size=(240, dims))
+    unit[:60, 0] = -np.abs(unit[:60, 0]) * 4
+    unit = unit / np.linalg.norm(unit, axis=1)[:, None] * rng.choice([0.5, 1.0, 1.0, 3.0], size=240)[:, None]
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(unit)], "vec_id bigint, embedding array<double>")
+    got = sorted(tuple(r) for r in topk_search.top_products(df, df, block=block, cell_blocks=2).collect())
+    ints = np.floor(256 * unit).astype(np.int64)
+    scores = ints @ ints.T
+    want = []
+    for q in range(240):
+        order = sorted((-scores[q, k], k) for k in range(240) if k != q)[:5]
+        want += [(q, i + 1, k, -s) for i, (s, k) in enumerate(order)]
+    assert got == sorted(want)
 
 
 # packages
