@@ -51,14 +51,15 @@ def mixture(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
     weights=SOURCE_WEIGHTS, max_epochs: int = MAX_EPOCHS, seed: str = "mix",
 ) -> DataFrame:
-    """One row per row of ``docs``: ``doc_id, text_hash, size, source_size, target, copies, taken``.
+    """One row per row of ``docs``: ``doc_id, source, text_hash, size, source_size, target, copies, taken``.
 
-    Null or blank text: size 0, taken 0. A null source is a source of its own, the last. Repeated
-    rows are drawn apart, ties by id, then size. A source of size 0 has target 0; an empty table gives an
-    empty result. Other columns are ignored. Draws depend on id and seed only, so reruns agree.
+    Null or blank text: size 0, taken 0. A null source is a source of its own, the last. Rows that
+    repeat id and text tie, and which of them is taken is then all one. A source of size 0 has target 0; an
+    empty table gives an empty result. Other columns are ignored. Draws depend on id, text and seed only, so
+    reruns agree; null ids draw apart by their texts.
     """
     text = F.col(text_col)
-    name = F.coalesce(F.col(id_col).cast("string"), F.lit("null"))
+    name = F.concat_ws(":", F.coalesce(F.col(id_col).cast("string"), F.lit("null")), F.md5(F.coalesce(text, F.lit(""))))
     draw = (F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(seed), name)), 1, 13), 16, 10).cast("double") + 0.5) / float(1 << 52)
     sized = materialize(
         docs.select(
@@ -92,20 +93,32 @@ def mixture(
     extra = (F.col("upto") <= F.col("budget")) | ((under > 0) & (F.col("upto") - F.col("budget") < under))
     copies = F.col("epochs") + F.when(extra & (F.col("epochs") < max_epochs) & (F.col("size") > 0), 1).otherwise(0)
     return summed.withColumn("copies", copies).select(
-        "doc_id", "text_hash", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken")
+        "doc_id", "source", "text_hash", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken")
     )
 
 
 def mix_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
-    """``docs`` with each row repeated as often as the mix takes it (not at all: left out)."""
+    """``docs`` with each row repeated as often as the mix takes it (not at all: left out).
+
+    Of rows that repeat id, text and source, as many are repeated as often as planned, the first ones in the
+    order of a hash over all columns.
+    """
+    key = lambda name: F.coalesce(F.concat(F.lit("v"), F.col(name).cast("string")), F.lit("n"))
+    plan = mixture(docs, id_col, text_col, source_col, **options).where(F.col("copies") > 0)
     chosen = materialize(
-        mixture(docs, id_col, text_col, source_col, **options).groupBy("doc_id", "text_hash").agg(F.max("copies").cast("int").alias("__copies")),
+        plan.groupBy(key("doc_id").alias("__id"), F.col("text_hash").alias("__hash"), key("source").alias("__src"))
+        .agg(F.max("copies").cast("int").alias("__most"), F.sum("copies").alias("__all"), F.count(F.lit(1)).alias("__rows")),
         "chosen",
-    ).where("__copies > 0").withColumnsRenamed({"doc_id": "__id", "text_hash": "__hash"})
-    same = docs[id_col].eqNullSafe(F.col("__id")) & (F.xxhash64(docs[text_col]) == F.col("__hash"))
-    return docs.join(chosen, same).withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(
-        *[docs[c] for c in docs.columns]
     )
+    marked = docs.withColumns({"__id": key(id_col), "__hash": F.xxhash64(text_col), "__src": key(source_col)})
+    own = F.xxhash64(*[F.col(f.name) for f in docs.schema.fields if "map" not in f.dataType.simpleString()])
+    joined = marked.join(chosen, ["__id", "__hash", "__src"]).withColumn("__own", own)
+    # copies of rows that tie differ by one at most: the first rows take the larger number
+    nth = F.row_number().over(Window.partitionBy("__id", "__hash", "__src").orderBy("__own"))
+    larger = F.col("__all") - (F.col("__most") - 1) * F.col("__rows")
+    taken = F.when(F.col("__nth") <= larger, F.col("__most")).when(F.col("__nth") <= F.col("__rows"), F.col("__most") - 1).otherwise(0)
+    counted = joined.withColumn("__nth", nth).withColumn("__copies", taken.cast("int")).where("__copies > 0")
+    return counted.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*docs.columns)
 
 
 def op10_mixing(spark, sf_dir: str) -> DataFrame:
@@ -115,7 +128,7 @@ def op10_mixing(spark, sf_dir: str) -> DataFrame:
 OP10_SQL = r"""
 WITH d AS (
   SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS size,
-         -ln((('0x' || substr(md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 13))::BIGINT::DOUBLE + 0.5) / 4503599627370496.0)
+         -ln((('0x' || substr(md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), 'null') || ':' || md5(coalesce(text, ''))), 1, 13))::BIGINT::DOUBLE + 0.5) / 4503599627370496.0)
            / greatest(0.05, 1.0 - 4.0 * (length(coalesce(text, '')) - length(translate(coalesce(text, ''), '!|*#%&$', '')))
                                      / greatest(length(coalesce(text, '')), 1)) AS key
   FROM documents

@@ -127,15 +127,17 @@ def train(
 
 
 def score(docs: DataFrame, model: QualityModel, text_col: str = "text", out: str = "score") -> DataFrame:
-    """``docs`` with a column ``out``: probability-like quality of each whole text; null as empty."""
-    columns, at = docs.columns, docs.columns.index(text_col)
-    schema = T.StructType([*docs.schema.fields, T.StructField(out, T.DoubleType())])
+    """``docs`` with a column ``out``: probability-like quality of each whole text; null as empty; a column of that name is replaced."""
+    at = docs.columns.index(text_col)
+    held = [i for i, c in enumerate(docs.columns) if c.lower() != out.lower()]
+    names = [*(docs.columns[i] for i in held), out]
+    schema = T.StructType([*(docs.schema.fields[i] for i in held), T.StructField(out, T.DoubleType())])
 
     def kernel(batches):
         for batch in batches:
             texts = batch.column(at).cast(pa.binary()).to_pylist()
             x = np.array([statistics(t) for t in texts]).reshape(-1, WIDTH)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.scores(x))], [*columns, out])
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in held), pa.array(model.scores(x))], names)
 
     return docs.mapInArrow(kernel, schema)
 

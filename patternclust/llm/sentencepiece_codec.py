@@ -321,19 +321,20 @@ def load_codec(spark, path: str = DEFAULT_MODEL, score_rule=zipf_scores) -> Code
 
 
 def _coded(df: DataFrame, fields: list, kernel_of, codec: Codec) -> DataFrame:
-    """``df`` with more columns, made by ``kernel_of(codec, table)(batch)`` from slices of a thousand rows."""
+    """``df`` with more columns, made by ``kernel_of(codec, table)(batch)`` from slices of a thousand rows; columns of the same name are replaced."""
     shared = df.sparkSession.sparkContext.broadcast(codec)  # pieces only: bounded by the model file
-    columns = df.columns
-    names = [*columns, *(f.name for f in fields)]
+    new = {f.name.lower() for f in fields}
+    held = [i for i, c in enumerate(df.columns) if c.lower() not in new]
+    names = [*(df.columns[i] for i in held), *(f.name for f in fields)]
 
     def kernel(batches):
         work = kernel_of(shared.value, WordTable())
         for whole in batches:
             for k in range(0, whole.num_rows, 1000):
                 batch = whole.slice(k, 1000)
-                yield pa.RecordBatch.from_arrays([*batch.columns, *work(batch)], names)
+                yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in held), *work(batch)], names)
 
-    return df.mapInArrow(kernel, T.StructType([*df.schema.fields, *fields]))
+    return df.mapInArrow(kernel, T.StructType([*(df.schema.fields[i] for i in held), *fields]))
 
 
 def _id_lists(ids: np.ndarray, counts: np.ndarray) -> pa.ListArray:
@@ -341,7 +342,7 @@ def _id_lists(ids: np.ndarray, counts: np.ndarray) -> pa.ListArray:
 
 
 def encode(docs: DataFrame, text_col: str = "text", ids_col: str = "piece_ids", codec: Codec | None = None) -> DataFrame:
-    """``docs`` with a column of piece ids for each whole text; null or empty text: an empty array. All columns are kept, repeated rows too."""
+    """``docs`` with a column of piece ids for each whole text; null or empty text: an empty array. All columns are kept, repeated rows too; a column of the new name is replaced."""
     at = docs.columns.index(text_col)
 
     def kernel_of(own, known):
@@ -351,7 +352,7 @@ def encode(docs: DataFrame, text_col: str = "text", ids_col: str = "piece_ids",
 
 
 def decode(encoded: DataFrame, ids_col: str = "piece_ids", text_col: str = "decoded", codec: Codec | None = None) -> DataFrame:
-    """``encoded`` with a column of decoded texts; a null array decodes to the empty text."""
+    """``encoded`` with a column of decoded texts; a null array decodes to the empty text; a column of the new name is replaced."""
     at = encoded.columns.index(ids_col)
 
     def kernel_of(own, known):
@@ -368,7 +369,7 @@ def decode(encoded: DataFrame, ids_col: str = "piece_ids", text_col: str = "deco
 def encode_documents(docs: DataFrame, codec: Codec | None = None, text_col: str = "text") -> DataFrame:
     """``docs`` with ``piece_ids``, ``n_pieces`` and ``round_trip`` (decoding gives the text back), in one pass.
 
-    A marker character in a text decodes to a space, which counts as given back; a null text is empty.
+    A marker character in a text decodes to a space, which counts as given back; a null text is empty. Columns of the three names are replaced.
     """
     at = docs.columns.index(text_col)
 

@@ -91,3 +91,11 @@ def test_against_the_library(codec, tmp_path, spark, sf_dir):
         score = lambda x: sum(float(codec.scores[i]) for i in x)
         assert abs(score(ids) - score(theirs)) < 1e-3 * max(1, len(ids))
     assert same / total > 0.9  # the rest are ties or rounding of single precision
+
+
+def test_columns_of_the_new_names_are_replaced(spark):
+    df = spark.createDataFrame([(1, "ab cd", "old", 7, None, "x")], "doc_id bigint, text string, piece_ids string, N_Pieces int, round_trip boolean, decoded string")
+    out = sp.encode_documents(df)
+    assert [c.lower() for c in out.columns] == ["doc_id", "text", "decoded", "piece_ids", "n_pieces", "round_trip"]
+    row = sp.decode(out).first()
+    assert row["decoded"] == "ab cd" and row["round_trip"] and sp.encode(df).columns.count("piece_ids") == 1

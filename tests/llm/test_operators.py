@@ -53,6 +53,16 @@ def test_mixture(spark):
     assert mixing.mixture(df.limit(0)).count() == 0 and mixing.mix_documents(df.limit(0)).count() == 0
 
 
+def test_repeated_rows_are_taken_as_planned(spark):
+    rows = [(1, "one two three", "a")] * 6 + [(2, "w " * 4, "a")] * 3 + [(None, f"text {i}", "b") for i in range(9)] + [(5, "x y", "b"), (5, "x y", "c"), (5, "z y", "c")]
+    df = docs_of(spark, rows)
+    plan, mixed = mixing.mixture(df).toPandas(), mixing.mix_documents(df).toPandas()
+    got = mixed.groupby(["doc_id", "source"], dropna=False).size().to_dict()
+    want = plan[plan.copies > 0].groupby(["doc_id", "source"], dropna=False).copies.sum().to_dict()
+    assert {str(k): v for k, v in got.items()} == {str(k): int(v) for k, v in want.items()}
+    assert plan.copies.max() <= 3 and len(mixed) == plan[plan["size"] > 0].copies.sum()
+
+
 # quality
 def test_quality_held_out_accuracy(spark):
     sf = "/root/testdata/sf0.1"
@@ -69,10 +79,10 @@ def test_quality_risk_is_not_negative_and_edges(spark):
     good, bad = rng.normal(1, 1, (400, 3)), rng.normal(-1, 1, (400, 3))
     model = quality.fit_nnpu(good[:200], np.concatenate([good[200:], bad]), 0.35)
     assert (model.scores(good) >= 0.5).mean() > 0.85 and (model.scores(bad) < 0.5).mean() > 0.85
-    docs = spark.createDataFrame([(1, None, 0.5), (1, None, 0.5), (None, "", 0.1), (3, "word " * 50000, 0.2)], "doc_id bigint, text string, score_ double")
+    docs = spark.createDataFrame([(1, None, 0.5), (1, None, 0.5), (None, "", 0.1), (3, "word " * 50000, 0.2)], "doc_id bigint, text string, SCORE double")
     none = spark.createDataFrame([], "doc_id bigint, quality int, toxic int")
     out = quality.score(docs, quality.train(docs, none)).toPandas()
-    assert out.score.between(0, 1).all() and len(out) == 4
+    assert out.score.between(0, 1).all() and len(out) == 4 and list(out.columns) == ["doc_id", "text", "score"]
     assert quality.drop_low_quality(docs.limit(0), none).count() == 0
 
 
