@@ -1,17 +1,24 @@
 """SimHash near-duplicate groups by multi-index hashing.
 
-A fingerprint is cut into two 32-bit segments. Within each segment the Hamming ball of radius
-one is enumerated, and every ball member, put back beside the other segment, is a key of the
-table. Two fingerprints that differ in at most two bits have a word half-way between them that
-lies in a segment ball of both (both bits in one segment: flip one of them on each side; one bit
-in each: one side flips its bit of the first segment, the other its bit of the second), so they
-meet at a key; complete distances are then verified. A key is met by at most 65 different
-fingerprints, whatever the data, because it has only 65 words within one bit: no bucket can grow
-with a group of copies, and links stay linear in the number of different fingerprints.
+A fingerprint is cut into segments of 32 bits, and each segment's value is a key of a table. A
+query enumerates the Hamming ball of radius one in each of its segments, fetches the fingerprints
+that the table holds under these values, and the complete distances are verified.
+
+``near_duplicate_groups`` links 64-bit fingerprints (two segments) within at most two bits. Two bits over
+two segments leave one segment with at most one, so no link is lost. Where a table key holds more than ``CROWDED``
+different fingerprints its pairs are not listed: whoever probes such a key is linked through words instead, the
+fingerprint with no bit or one bit flipped. Two fingerprints are within two bits exactly if they share such a
+word, and a word is met by at most 65 different fingerprints whatever the data, so links stay linear.
+
+``similar_groups`` is for wider distances, five-word shingles and a similarity of 0.8 or more: fingerprints of 256 bits,
+eight segments, balls of radius one on both sides (so that two bits of a segment may differ), complete distances verified.
 """
 
 from __future__ import annotations
 
+import math
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -21,14 +28,30 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .store import materialize
 
-SEGMENTS, SEGMENT_BITS = 2, 32
+SEGMENT_BITS = 32
+#: different fingerprints under one table key beyond which pairs are not listed
+CROWDED = 64
+#: fingerprints under one key of the wide tables whose pairs are all verified; more: each against one drawn for the key
+FEW = 8
+#: odd multipliers that derive further words of a wide fingerprint from a shingle's hash
+_STRETCH = np.random.Generator(np.random.PCG64(7)).integers(0, 2**63, 16, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
-def simhash64(text: bytes | None, width: int = 3, seed: int = 42) -> int:
-    """Unsigned fingerprint of the lower-cased (A-Z) words' shingles; no words: 0."""
+def _stretched(votes: np.ndarray, k: int) -> np.ndarray:
+    """The ``k``-th word of each shingle: its hash itself, then mixtures of it."""
+    if not k:
+        return votes
+    x = votes * _STRETCH[k]
+    x ^= x >> np.uint64(31)
+    x *= _STRETCH[-k]
+    return x ^ (x >> np.uint64(29))
+
+
+def simhash(text: bytes | None, width: int = 3, seed: int = 42, n_words: int = 1) -> list[int]:
+    """Unsigned 64-bit words of the fingerprint of the lower-cased (A-Z) words' shingles; no words: zeros."""
     words = text.lower().split() if text else []
     if not words:
-        return 0
+        return [0] * n_words
     joined = b" ".join(words)
     digest = xxhash.xxh64_intdigest
     if len(words) <= width:
@@ -39,49 +62,137 @@ def simhash64(text: bytes | None, width: int = 3, seed: int = 42) -> int:
         first = (ends - sizes)[: 1 - width].tolist() if width > 1 else (ends - sizes).tolist()
         last = ends[width - 1 :].tolist()
         votes = np.array([digest(joined[i:j], seed) for i, j in zip(first, last, strict=True)], dtype=np.uint64)
-    set_in = np.zeros(64, dtype=np.int64)
-    for k in range(0, len(votes), 1 << 16):
-        block = votes[k : k + (1 << 16)]
-        set_in += np.unpackbits(block.view(np.uint8), bitorder="little").reshape(-1, 64).sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * set_in > len(votes), bitorder="little").view(np.uint64)[0])
+    out = []
+    for k in range(n_words):
+        set_in = np.zeros(64, dtype=np.int64)
+        for at in range(0, len(votes), 1 << 16):
+            block = _stretched(votes[at : at + (1 << 16)], k)
+            set_in += np.unpackbits(block.view(np.uint8), bitorder="little").reshape(-1, 64).sum(axis=0, dtype=np.int64)
+        out.append(int(np.packbits(2 * set_in > len(votes), bitorder="little").view(np.uint64)[0]))
+    return out
+
+
+def simhash64(text: bytes | None, width: int = 3, seed: int = 42) -> int:
+    return simhash(text, width, seed)[0]
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3, seed: int = 42) -> DataFrame:
-    """``(doc_id, fp)``: one signed 64-bit fingerprint per row, from the whole text; null text: 0."""
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3, seed: int = 42, n_words: int = 1) -> DataFrame:
+    """``(doc_id, fp, fp1, ...)``: signed 64-bit words of each row's fingerprint, from the whole text; null text: zeros."""
+    names = ["fp", *(f"fp{k}" for k in range(1, n_words))]
 
     def kernel(batches):
         for batch in batches:
-            marks = np.array([simhash64(t, width, seed) for t in batch.column(1).to_pylist()], dtype=np.uint64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(marks.view(np.int64))], ["doc_id", "fp"])
+            marks = np.array([simhash(t, width, seed, n_words) for t in batch.column(1).to_pylist()], dtype=np.uint64).reshape(-1, n_words).view(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(np.ascontiguousarray(marks[:, k])) for k in range(n_words))], ["doc_id", *names])
 
     kind = docs.schema[id_col].dataType.simpleString()
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("binary").alias("t")).mapInArrow(
-        kernel, f"doc_id {kind}, fp bigint"
+        kernel, f"doc_id {kind}, " + ", ".join(f"{x} bigint" for x in names)
     )
 
 
-def segment_ball_masks() -> list[int]:
-    """Signed 64-bit masks: no flip, then the single flips within each segment."""
-    masks = [0]
-    for segment in range(SEGMENTS):
-        masks += [1 << (segment * SEGMENT_BITS + bit) for bit in range(SEGMENT_BITS)]
+def _flips(bits: int) -> list[int]:
+    """Signed masks of the ball of radius one: no flip, then each single bit."""
+    masks = [0, *(1 << b for b in range(bits))]
     return [m - (1 << 64) if m >> 63 else m for m in masks]
 
 
+def _segments(words: list[str]) -> list:
+    """Table keys of a fingerprint's segments: the segment's number beside its value."""
+    low = F.lit((1 << SEGMENT_BITS) - 1)
+    values = [v for w in words for v in (F.col(w).bitwiseAND(low), F.shiftrightunsigned(F.col(w), SEGMENT_BITS))]
+    return [v.bitwiseOR(F.lit(i << SEGMENT_BITS)) for i, v in enumerate(values)]
+
+
+def _spread(df: DataFrame, rows: int, each: int) -> DataFrame:
+    """Enough partitions for rows that give ``each`` others."""
+    return df.repartition(max(1, min(1 << 15, -(-rows * each // 1_000_000))))
+
+
+def _balls(words: list[str]) -> list:
+    return [key.bitwiseXOR(F.lit(m).cast("bigint")) for key in _segments(words) for m in _flips(SEGMENT_BITS)]
+
+
 def fingerprint_links(marks: DataFrame, distance: int = 2) -> DataFrame:
     """Links ``(a, b)`` between the different fingerprints ``fp`` of ``marks`` that span all pairs
-    within ``distance`` (0, 1 or 2) bits: whoever meets at a key is joined to the smallest there."""
+    within ``distance`` (0, 1 or 2) bits."""
     if distance not in (0, 1, 2):
-        raise ValueError("distance must be 0, 1 or 2: segment balls have radius one")
-    masks = F.array(*[F.lit(m).cast("bigint") for m in segment_ball_masks()])
-    probes = marks.select("fp", F.explode(masks).alias("mask")).select(F.col("fp").bitwiseXOR(F.col("mask")).alias("key"), "fp")
-    met = probes.groupBy("key").agg(F.collect_list("fp").alias("met")).where(F.size("met") > 1)
+        raise ValueError("distance must be 0, 1 or 2: balls have radius one in two segments")
+    marks = materialize(_spread(marks.select("fp").distinct(), marks.count(), 2 * (SEGMENT_BITS + 1)), "marks")
+    entries = marks.select(F.explode(F.array(*_segments(["fp"]))).alias("key"), F.col("fp").alias("held"))
+    probes = marks.select(F.explode(F.array(*_balls(["fp"]))).alias("key"), "fp")
+    crowded = materialize(entries.groupBy("key").count().where(F.col("count") > CROWDED).select("key"), "crowded")
+    full = not crowded.isEmpty()
+    if full:
+        entries, fetched = entries.join(crowded, "key", "left_anti"), probes.join(crowded, "key", "left_anti")
+    else:
+        fetched = probes
+    verified = F.bit_count(F.col("fp").bitwiseXOR(F.col("held"))) <= distance
+    found = fetched.join(entries, "key").where((F.col("fp") < F.col("held")) & verified).select(F.col("fp").alias("a"), F.col("held").alias("b"))
+    if full:
+        found = found.unionByName(_word_links(probes.join(crowded, "key", "left_semi").select("fp").distinct(), distance))
+    return found.distinct()
+
+
+def _word_links(marks: DataFrame, distance: int) -> DataFrame:
+    """Links between fingerprints that share a word within one bit of both: whoever meets at a word is joined to the smallest there."""
+    near = F.array(*[F.col("fp").bitwiseXOR(F.lit(m).cast("bigint")) for m in _flips(64)])
+    met = marks.select("fp", F.explode(near).alias("word")).groupBy("word").agg(F.collect_list("fp").alias("met")).where(F.size("met") > 1)  # 65 at most
     if distance < 2:
-        met = met.where(F.array_contains("met", F.col("key"))).select(F.col("key").alias("a"), "met")
+        met = met.where(F.array_contains("met", F.col("word"))).select(F.col("word").alias("a"), "met")
     else:
         met = met.select(F.array_min("met").alias("a"), "met")
     found = met.select("a", F.explode("met").alias("b")).where(F.col("a") != F.col("b"))
-    return found.where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance).distinct()
+    return found.where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance)
+
+
+def allowed_bits(similarity: float, bits: int) -> int:
+    """Bits that fingerprints may differ in where the shingle sets, of equal size, share ``similarity`` of their union: the
+    expected number (the angle between the sets over pi) and one standard deviation more, so that five of six pairs
+    at the very limit are caught, and nearly all above it."""
+    share = math.acos(2 * similarity / (1 + similarity)) / math.pi
+    return int(bits * share + math.sqrt(bits * share * (1 - share)))
+
+
+def similar_links(marks: DataFrame, words: list[str], distance: int) -> DataFrame:
+    """Links ``(a, b)`` between the ``node`` of rows of different fingerprints within ``distance`` bits that share a table key.
+
+    Balls of radius one on both sides meet where a segment differs in two bits at most. Under a key all pairs of up to
+    ``FEW`` fingerprints are verified; of more, each is verified against one drawn for this key by a hash, another under
+    every key, so that a large group is linked from many sides while candidates stay linear.
+    """
+    marks = materialize(_spread(marks, marks.count(), len(words) * 2 * (SEGMENT_BITS + 1)), "marks")
+    probes = marks.select(F.explode(F.array(*_balls(words))).alias("key"), "node")
+    drawn = F.min(F.struct(F.xxhash64("key", "node").alias("h"), F.col("node").alias("n")))["n"]
+    met = materialize(probes.groupBy("key").agg(F.count(F.lit(1)).alias("k"), drawn.alias("drawn")).where("k > 1"), "met")
+    held = materialize(probes.join(met, "key"), "held")
+    star = held.where(F.col("k") > FEW).select(F.col("drawn").alias("a"), F.col("node").alias("b"))
+    few = held.where(F.col("k") <= FEW).groupBy("key").agg(F.array_sort(F.collect_list("node")).alias("all"))
+    pairs = few.select(F.posexplode("all").alias("i", "a"), "all").select("a", F.explode(F.slice("all", F.col("i") + 2, F.size("all"))).alias("b"))
+    pairs = star.unionByName(pairs).where(F.col("a") != F.col("b")).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    side = lambda name: marks.select(F.col("node").alias(name), F.array(*words).alias(f"{name}_words"))
+    both = pairs.join(side("a"), "a").join(side("b"), "b")
+    off = reduce(lambda x, y: x + y, [F.bit_count(F.col("a_words")[k].bitwiseXOR(F.col("b_words")[k])) for k in range(len(words))])
+    return both.where(off <= distance).select("a", "b")
+
+
+def similar_groups(
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, bits: int = 256, seed: int = 42
+) -> DataFrame:
+    """``(doc_id, component_id)`` of the rows that have a near duplicate, their shingles alike by ``similarity`` or more.
+
+    Equal fingerprints are alike. Rows of a null id or without words take no part; repeated rows stay repeated; other columns
+    are ignored; an empty table gives an empty result.
+    """
+    words = ["fp", *(f"fp{k}" for k in range(1, bits // 64))]
+    told = docs.where(F.col(id_col).isNotNull() & F.col(text_col).rlike(r"[^\x20\x09-\x0D]"))
+    marks = materialize(fingerprints(told, id_col, text_col, width, seed, len(words)), "fingerprints")
+    first = materialize(marks.groupBy(*words).agg(F.min("doc_id").alias("node"), F.count(F.lit(1)).alias("n")), "distinct")
+    roots = materialize(connected_components(similar_links(first, words, allowed_bits(similarity, bits))), "roots")
+    named = materialize(
+        first.join(roots, "node", "left").where(F.col("root").isNotNull() | (F.col("n") > 1)).select(*words, F.coalesce("root", "node").alias("component_id")), "named"
+    )
+    return marks.join(named, words).select("doc_id", "component_id")
 
 
 def near_duplicate_groups(
@@ -110,14 +221,14 @@ def near_duplicate_groups(
     )
 
 
-def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3, distance: int = 2) -> DataFrame:
-    """``docs`` without the rows whose id is not the smallest of its near-duplicate group.
+def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8) -> DataFrame:
+    """``docs`` without the rows whose id is not the smallest of its group of near duplicates (``similar_groups``).
 
-    Keeps all columns; rows of a null id stay. Identity is the id: rows that share a kept id stay.
+    Keeps all columns; rows of a null id or without words stay. Identity is the id: rows that share a kept id stay.
     """
-    groups = near_duplicate_groups(docs, id_col, text_col, width, distance)
-    gone = materialize(groups.where(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct(), "near_copies")
-    return docs.join(gone.withColumnRenamed("doc_id", "__gone"), docs[id_col] == F.col("__gone"), "left_anti")
+    groups = similar_groups(docs, id_col, text_col, width, similarity)
+    gone = materialize(groups.where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("__gone")).distinct(), "near_copies")
+    return docs.join(gone, docs[id_col] == F.col("__gone"), "left_anti")
 
 
 def op1_simhash_near_dedup(spark, sf_dir: str) -> DataFrame:

@@ -110,9 +110,69 @@ def test_empty_tables(spark):
 
 def test_quotient_filters_merge_without_loss():
     rng = np.random.default_rng(1)
-    marks = rng.integers(0, 50, 500).astype(np.uint64) << np.uint64(57)
-    parts = [exact_dedup.QuotientFilter.build(x, 10) for x in np.array_split(marks, 7)]
-    whole = parts[0].merge(*[exact_dedup.QuotientFilter.from_bytes(p.to_bytes(), 10) for p in parts[1:]])
-    values, counts = np.unique(marks, return_counts=True)
-    assert (whole.fingerprints() == values).all() and (whole.counts == counts).all()
-    assert sum(len(p.counts) for _, p in whole.slabs(4)) == len(values)
+    Filter = exact_dedup.QuotientFilter
+    for p_bits, spread, n in ((48, 50, 500), (48, 2**48, 5000), (20, 2**20, 3000), (12, 4, 70_000), (56, 2**56, 0)):
+        marks = rng.integers(0, spread, n).astype(np.uint64) << np.uint64(0 if spread > 50 else 3)
+        parts = [Filter.build(x, p_bits) for x in np.array_split(marks, 7)]
+        whole = parts[0].merge(*[Filter.from_bytes(p.to_bytes()) for p in parts[1:]])
+        values, counts = np.unique(marks, return_counts=True)
+        got, n_got = whole.items()
+        assert (got == values).all() and (n_got == counts).all()
+        places = whole.places()
+        assert (np.diff(places) > 0).all()
+        homes = np.repeat((values >> np.uint64(p_bits - whole.q_bits)).astype(np.int64), 1)
+        digit = np.unpackbits(whole.digit, count=len(whole.slots)).astype(bool)
+        assert (places[~digit] >= homes).all()
+        for v in values[:20].tolist():
+            assert whole.count(v) == counts[values == v][0]
+        assert whole.count(2**p_bits - 1) == int(counts[values == np.uint64(2**p_bits - 1)].sum())
+    alone = Filter.build(rng.integers(0, 2**48, 4096).astype(np.uint64), 48)
+    assert len(alone.to_bytes()) < 4096 * 8  # smaller than the plain hashes
+
+
+def test_leading_bits_that_meet_by_chance_are_told_apart(spark, monkeypatch):
+    monkeypatch.setattr(exact_dedup, "FINGERPRINT_BITS", 10)
+    rows = [(i, f"text {i % 300}") for i in range(900)]
+    got = exact_dedup.exact_duplicates(table(spark, rows)).toPandas()
+    assert (got.group_size == 3).all() and got.kept.sum() == 300
+
+
+def test_crowded_keys_lose_no_link(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "CROWDED", 5)
+    test_links_span_all_close_pairs(spark)
+
+
+def test_similar_groups(spark):
+    rng = np.random.default_rng(4)
+    vocabulary = [f"w{i}" for i in range(5000)]
+    rows, want = [], {}
+    for k in range(0, 120, 4):
+        base = rng.choice(vocabulary, 300).tolist()
+        for j in range(4):
+            words = list(base)
+            for at in rng.choice(300, j * 2, replace=False):  # j * 2 edited words: similarity 1, 0.94, 0.88, 0.82 or so
+                words[at] = f"edit{k}{j}{at}"
+            rows.append((k + j, " ".join(words)))
+            want[k + j] = k
+    rows += [(900, None), (901, ""), (902, "one"), (903, "one"), (None, rows[0][1]), (0, rows[0][1])]
+    rows += [(1000 + i, " ".join(rng.choice(vocabulary, 200))) for i in range(100)]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_groups(table(spark, rows)).collect()}
+    right = sum(got.get(k) == v for k, v in want.items())
+    assert right >= 0.9 * len(want) and got[902] == got[903] == 902 and not set(got) - set(want) - {902, 903}
+    left = simhash.drop_near_duplicates(table(spark, rows))
+    assert left.columns == ["doc_id", "text", "fp", "n", "component_id"]
+    ids = [r["doc_id"] for r in left.collect()]
+    assert {900, 901, 902, None, 0, *range(1000, 1100)} <= set(ids) and 903 not in ids and ids.count(0) == 2
+
+
+def test_a_large_group_of_near_copies_is_one(spark):
+    rng = np.random.default_rng(5)
+    base = [f"w{i}" for i in range(200)]
+    rows = []
+    for k in range(150):
+        words = list(base)
+        words[int(rng.integers(0, 200))] = f"edit{k}"
+        rows.append((k, " ".join(words)))
+    got = simhash.similar_groups(table(spark, rows)).toPandas()
+    assert len(got) == 150 and (got.component_id == 0).all()
+    assert simhash.allowed_bits(0.8, 256) == 44 and simhash.similar_groups(table(spark, [])).count() == 0
