@@ -1,26 +1,26 @@
-"""Windows of a fixed length that occur again: the engine behind both substring operators.
+"""Windows of a fixed length that occur again: how suffixes reach the blocks that both substring operators solve.
 
 A document is a sequence of symbols (bytes, or words by their hash). All of its windows of
 ``length`` symbols are judged, but few records travel:
 
 1. *Sampled suffixes.* Each window elects the smallest hash among its ``gram``-symbol substrings;
-   neighbours that elect the same form a run. Equal windows elect the same value wherever they
-   are, so whatever repeats meets at the elected value, the common prefix by which runs are dealt out.
-   Sorted by it and by content, runs of equal content are neighbours (a closed interval: all but the first
-   are covered whole); an elected value with runs of several contents is a branching interval.
+   neighbours that elect the same form a run. Equal windows elect the same substring wherever they
+   are, so whatever repeats meets under it: it is the prefix by which suffixes are dealt out.
+   Runs of equal content are one leaf with several occurrences: all but the first
+   are covered whole. A prefix with one leaf is done; one with several is branching.
    Where a run holds its elected value more than once (a short period), its own windows are compared on the spot.
-2. *Suffixes of branching intervals.* Only there the symbols themselves travel, dealt out by the same
-   prefix, or, where too many runs share it, by a longer one (``WIDE``). Each block of prefixes is an enhanced suffix
-   array (``SuffixBlock``): its suffixes in lexicographic order, the length that neighbours share, and the symbol
-   to the left of each. Intervals that share ``length`` symbols are the deep nodes of the suffix tree; all but
-   their first occurrence are covered.
-
-Runs that repeat within a chunk of a task are settled there and one record of each content goes on,
-so a passage in a third of all documents meets as a record per chunk.
+2. *Suffixes under branching prefixes.* Only there the symbols themselves travel, dealt out by the same
+   prefix, or, where too many leaves share it, by a longer one (``WIDE``), up to the whole window (``FULL``). What
+   arrives is a ``Block``, which the operators solve each in its own way: a suffix subtree built from its prefix down
+   (``substring_dedup``), an enhanced suffix array with its interval tree (``suffix_array_dedup``).
+
+Runs that repeat within a chunk of a task are settled there, and contents that a task has met before are settled against a
+table of fixed size, so a passage in a third of all documents meets as a few records per task.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
@@ -29,6 +29,7 @@ import pyarrow.compute  # noqa: F401
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegralType
 
 from .store import materialize, release_shuffles, small_batches
 
@@ -235,9 +236,9 @@ def _pieces(scheme: Scheme, codes: np.ndarray):
 
 
 RECORDS = "kind int, key bigint, content bigint, doc bigint, start bigint, n int"
-COVERED, OPEN, WIDE = 1, 0, 2
-#: runs that may share a prefix before it is made longer
-MOST_RUNS = 500
+COVERED, OPEN, WIDE, FULL = 1, 0, 2, 3
+#: leaves that may share a prefix before it is made longer, and before it is made as long as the window
+MOST_LEAVES, MOST_WIDE = 500, 1 << 15
 
 
 def _records(kind, key, content, doc, start, n) -> pa.RecordBatch:
@@ -250,14 +251,38 @@ def _records(kind, key, content, doc, start, n) -> pa.RecordBatch:
     )
 
 
-def run_records(docs: DataFrame, scheme: Scheme) -> DataFrame:
-    """Open runs and spans covered within their chunk, from ``(doc, text binary)``."""
+class Met:
+    """The first occurrence that a task has sent on of the contents met before: a table of fixed size, newer ones replace older ones."""
+
+    def __init__(self, within: bool, bits: int = 18):
+        self.within, self.shift = within, np.uint64(64 - bits)
+        self.key, self.content = np.zeros(1 << bits, np.uint64), np.zeros(1 << bits, np.uint64)
+        self.doc, self.start = np.full(1 << bits, np.iinfo(np.int64).max), np.zeros(1 << bits, np.int64)
+
+    def covered(self, key, content, doc, start) -> np.ndarray:
+        """Which runs have an earlier one of equal content among those remembered; then remembers the earlier of both."""
+        at = (content >> self.shift).astype(np.int64)
+        known = (self.content[at] == content) & (self.key[at] == key)
+        later = doc > self.doc[at]
+        if self.within:
+            later |= (doc == self.doc[at]) & (start > self.start[at])
+        gone = known & later
+        new = ~gone
+        self.key[at[new]], self.content[at[new]], self.doc[at[new]], self.start[at[new]] = key[new], content[new], doc[new], start[new]
+        return gone
+
+
+def records_of(batches, scheme: Scheme, chunk_size: int = CHUNK):
+    """Open runs, and spans covered within their chunk or by what the task met before, from batches of ``(doc, text binary)``."""
+    words, met, chunk = WordCodes(), Met(scheme.within), Chunk(scheme)
 
     def closed(chunk):
         chunk.open()
         key, content, doc, start, n = chunk.runs()
         order, gone = settle(scheme.within, [content], doc, start)
         lost, left = order[gone], order[~gone]
+        again = met.covered(key[left], content[left], doc[left], start[left])
+        lost, left = np.r_[lost, left[again]], left[~again]
         yield _records(OPEN, key[left], content[left], doc[left], start[left], n[left])
         again_doc, again_start = chunk.again
         if len(lost) or len(again_doc):
@@ -265,79 +290,92 @@ def run_records(docs: DataFrame, scheme: Scheme) -> DataFrame:
             doc, start, n = merged_spans(np.r_[doc[lost], again_doc], np.r_[start[lost], again_start], np.r_[n[lost], once])
             yield _records(COVERED, doc.view(np.uint64) * _ODD[5] + start.view(np.uint64) * _ODD[6], 0, doc, start, n)
 
-    def kernel(batches):
-        words, chunk = WordCodes(), Chunk(scheme)
-        for batch in batches:
-            for doc_id, text in zip(*batch.columns, strict=True):
-                doc_id, text = doc_id.as_py(), text.as_py()
-                for first, codes in _pieces(scheme, text_codes(text, scheme.unit, words)):
-                    if len(codes) >= scheme.length:
-                        chunk.add(doc_id, codes, first)
-                    if chunk.total >= CHUNK:
-                        yield from closed(chunk)
-                        chunk = Chunk(scheme)
-        if chunk.total:
-            yield from closed(chunk)
-
-    return docs.mapInArrow(kernel, RECORDS)
-
-
-def _scanned(records: DataFrame, keys: list[str], decide) -> DataFrame:
-    """Deals records out by the first key, sorts them, and gives whole intervals of it to ``decide`` (a table in, record batches out)."""
-
-    def kernel(batches):
-        held: list[pa.RecordBatch] = []
+    for batch in batches:
+        for doc_id, text in zip(*batch.columns, strict=True):
+            doc_id, text = doc_id.as_py(), text.as_py()
+            for first, codes in _pieces(scheme, text_codes(text, scheme.unit, words)):
+                if len(codes) >= scheme.length:
+                    chunk.add(doc_id, codes, first)
+                if chunk.total >= chunk_size:
+                    yield from closed(chunk)
+                    chunk = Chunk(scheme)
+    if chunk.total:
+        yield from closed(chunk)
 
-        def given(batch_list):
-            yield from decide(pa.Table.from_batches(batch_list))
 
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            first = batch.column(batch.schema.names.index(keys[0])).to_numpy()
-            cut = int(np.searchsorted(first, first[-1]))  # the last interval may go on in the next batch
-            if cut:
-                yield from given([*held, batch.slice(0, cut)])
-                held = [batch.slice(cut)]
-            else:
-                held.append(batch)
-        if held:
-            yield from given(held)
+class LeafScan:
+    """Covered spans, and the leaves under branching prefixes, from runs sorted by key, content, document and place.
 
-    return records.repartition(F.col(keys[0])).sortWithinPartitions(*keys, "doc", "start").mapInArrow(kernel, RECORDS)
+    Only the leaves of the prefix that is open are held, and of those no more than ``MOST_WIDE``.
+    """
 
+    def __init__(self, within: bool):
+        self.within = within
+        self.held = (np.zeros(0, np.int64),) * 5
+        self.full = False
 
-def settle_runs(records: DataFrame, scheme: Scheme) -> DataFrame:
-    """Covered spans, and the runs of branching intervals (kind OPEN) that need their windows compared."""
-
-    def decide(table):
-        key, content, doc, start, n, kind = (table.column(x).to_numpy() for x in ("key", "content", "doc", "start", "n", "kind"))
+    def feed(self, batch: pa.RecordBatch):
+        key, content, doc, start, n, kind = (batch.column(x).to_numpy(zero_copy_only=False) for x in ("key", "content", "doc", "start", "n", "kind"))
         settled = kind == COVERED
         if settled.any():
             yield _records(COVERED, 0, 0, doc[settled], start[settled], n[settled])
-            key, content, doc, start, n = (x[~settled] for x in (key, content, doc, start, n))
+        yield from self._scan([np.r_[h, x[~settled]] for h, x in zip(self.held, (key, content, doc, start, n), strict=True)], last=False)
+
+    def close(self):
+        yield from self._scan(list(self.held), last=True)
+
+    def _scan(self, rows, last: bool):
+        key, content, doc, start, n = rows
         if not len(key):
             return
         new_key = np.r_[True, key[1:] != key[:-1]]
         same = ~(new_key | np.r_[True, content[1:] != content[:-1]])
-        gone = covered(scheme.within, same, doc, start)
-        group = np.cumsum(new_key) - 1
-        contents = np.bincount(group, ~same)  # children of the interval
-        branching = (contents > 1)[group] & ~gone
+        gone = covered(self.within, same, doc, start)
         if gone.any():
             yield _records(COVERED, 0, 0, *merged_spans(doc[gone], start[gone], n[gone]))
-        if branching.any():
-            wide = np.bincount(group, branching)[group[branching]] > MOST_RUNS
-            yield _records(np.where(wide, WIDE, OPEN), key[branching], 0, doc[branching], start[branching], n[branching])
+        group = np.cumsum(new_key) - 1
+        contents, leaves = np.bincount(group, ~same), np.bincount(group, ~gone)
+        branching = contents > 1
+        kinds = np.where(leaves > MOST_WIDE, FULL, np.where(leaves > MOST_LEAVES, WIDE, OPEN))
+        if self.full:  # the first prefix was open, and other leaves of it were sent on before
+            branching[0], kinds[0] = True, FULL
+        open_group = -1 if last else group[-1]
+        closed = ~gone & branching[group] & (group != open_group)
+        if closed.any():
+            yield _records(kinds[group[closed]], key[closed], 0, doc[closed], start[closed], n[closed])
+        keep = ~gone & (group == open_group)
+        self.held = tuple(x[keep] for x in rows)
+        self.full = not last and bool((self.full and open_group == 0) or (leaves[-1] > MOST_WIDE and contents[-1] > 1))
+        if self.full:
+            # leaves of all contents but the last are sent on; those of the last stay, as later runs may equal them
+            done = self.held[1] != self.held[1][-1]
+            if done.any():
+                key, _, doc, start, n = (x[done] for x in self.held)
+                yield _records(FULL, key, 0, doc, start, n)
+                self.held = tuple(x[~done] for x in self.held)
+
+
+def settle_runs(records: DataFrame, scheme: Scheme) -> DataFrame:
+    """Covered spans, and the leaves of branching prefixes (kinds OPEN, WIDE, FULL) that need their windows compared."""
+
+    def kernel(batches):
+        scan = LeafScan(scheme.within)
+        for batch in batches:
+            if batch.num_rows:
+                yield from scan.feed(batch)
+        yield from scan.close()
+
+    return records.repartition(F.col("key")).sortWithinPartitions("key", "content", "doc", "start").mapInArrow(kernel, RECORDS)
+
 
-    return _scanned(records, ["key", "content"], decide)
+BODIES = "key bigint, doc bigint, start bigint, n int, body binary"
 
 
 def run_bodies(docs: DataFrame, scheme: Scheme) -> DataFrame:
-    """The symbols of each open run, from ``(doc, text, open)`` with ``open`` an array of key, start, n, kind: ``key, doc, start, n, left, body``.
+    """The symbols of each open run, from ``(doc, text, open)`` with ``open`` an array of key, start, n, kind: ``key, doc, start, n, body``.
 
-    ``left`` is the code of the symbol before the run, null at the beginning of a document. Wide runs are cut where
-    their windows elect different values among longer substrings, which join the key.
+    Wide runs are cut where their windows elect different values among longer substrings, which join the key; full ones are
+    cut into single windows, which are their own prefix.
     """
 
     def kernel(batches):
@@ -347,8 +385,8 @@ def run_bodies(docs: DataFrame, scheme: Scheme) -> DataFrame:
             for doc_id, text, runs in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 codes = np.frombuffer(text, np.uint8) if scheme.unit == "byte" else text_codes(text, "word", words).view(np.int64)
                 for r in runs:
-                    for key, start, n in _refined(scheme, codes, r) if r["kind"] == WIDE else ((r["key"], r["start"], r["n"]),):
-                        rows.append((key, doc_id, start, n, int(codes[start - 1]) if start else None, codes[start : start + n + scheme.length - 1].tobytes()))
+                    for key, start, n in _refined(scheme, codes, r) if r["kind"] != OPEN else ((r["key"], r["start"], r["n"]),):
+                        rows.append((key, doc_id, start, n, codes[start : start + n + scheme.length - 1].tobytes()))
                 if len(rows) >= 20_000:
                     yield packed(rows)
                     rows = []
@@ -356,10 +394,10 @@ def run_bodies(docs: DataFrame, scheme: Scheme) -> DataFrame:
                 yield packed(rows)
 
     def packed(rows):
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary())
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["key", "doc", "start", "n", "left", "body"])
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["key", "doc", "start", "n", "body"])
 
-    return docs.mapInArrow(kernel, "key bigint, doc bigint, start bigint, n int, left bigint, body binary")
+    return docs.mapInArrow(kernel, BODIES)
 
 
 def _refined(scheme: Scheme, codes: np.ndarray, run) -> list[tuple[int, int, int]]:
@@ -367,110 +405,127 @@ def _refined(scheme: Scheme, codes: np.ndarray, run) -> list[tuple[int, int, int
     start, n = run["start"], run["n"]
     body = codes[start : start + n + scheme.length - 1]
     body = BYTE_CODES[body] if scheme.unit == "byte" else body.view(np.uint64)
-    gram = scheme.length - max(1, scheme.length // 12)
+    gram = scheme.length - (max(1, scheme.length // 12) if run["kind"] == WIDE else 0)
     elected = sliding_min(digest(ladder(body, gram), gram), scheme.length - gram + 1)
-    cuts = np.flatnonzero(np.r_[True, elected[1:] != elected[:-1]])
+    cuts = np.flatnonzero(np.r_[True, elected[1:] != elected[:-1]]) if run["kind"] == WIDE else np.arange(n)
     keys = (elected[cuts] ^ np.int64(run["key"]).view(np.uint64)).view(np.int64)
     return list(zip(keys.tolist(), (start + cuts).tolist(), np.diff(np.r_[cuts, n]).tolist(), strict=True))
 
 
-class SuffixBlock:
-    """Enhanced suffix array of the windows of some runs: order, shared lengths, left symbols.
+class Block:
+    """The suffixes that begin at the windows of some runs, each to the end of its run.
 
-    Suffixes are compared by their first ``length`` symbols; equal ones stand in the order of document and place.
+    ``at`` is a suffix's place in ``symbols``, ``size`` its length (the window's at least), ``before`` the symbol to its
+    left, or -1 for the first of a run, whose left neighbour is dealt out elsewhere.
     """
 
-    def __init__(self, scheme: Scheme, doc, start, n, left, bodies: list[bytes]):
+    def __init__(self, scheme: Scheme, doc, start, n, bodies: list[bytes]):
         self.scheme = scheme
-        byte = scheme.unit == "byte"
-        self.symbols = np.frombuffer(b"".join(bodies), np.uint8 if byte else np.uint64)
+        self.symbols = np.frombuffer(b"".join(bodies), np.uint8 if scheme.unit == "byte" else np.uint64)
+        n = n.astype(np.int64)
         firsts = np.cumsum(np.r_[0, n + scheme.length - 1])[:-1]
-        nth = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-        at = np.repeat(firsts, n) + nth
-        doc, start = np.repeat(doc, n), np.repeat(start, n) + nth
-        # the symbol to the left: -1 where the document begins
-        before = np.where(nth > 0, self.symbols[at - 1].astype(np.int64), np.repeat(left, n))
-        columns = [c[at] for c in self._columns()]
-        order = np.lexsort((start, doc, *reversed(columns)))
-        self.at, self.doc, self.start, self.before = at[order], doc[order], start[order], before[order]
-        self.lcp = self._shared([c[order] for c in columns])
-        self.same = self.lcp >= scheme.length
-
-    def _columns(self) -> list[np.ndarray]:
-        """Views of the symbols from which sort keys are taken: bytes eight by eight (the last eight may overlap), words one by one."""
-        L, s = self.scheme.length, self.symbols
-        if self.scheme.unit == "word":
-            return [s[j:] for j in range(L)]
-        if L < 8:
-            return [s[j:] for j in range(L)]
-        eight = np.zeros(max(0, len(s) - 7), np.uint64)
-        for j in range(8):
-            eight = (eight << np.uint64(8)) | s[j : len(s) - 7 + j]
-        return [eight[j:] for j in [*range(0, L - 7, 8), *([L - 8] if L % 8 else [])]]
-
-    def _shared(self, columns: list[np.ndarray]) -> np.ndarray:
-        """Symbols, at most ``length``, that each suffix shares with the one before it."""
-        L, n = self.scheme.length, len(self.at)
-        out, open_ = np.full(n, L, np.int64), np.arange(1, n)
-        out[:1] = 0
-        packed = self.scheme.unit == "byte" and L >= 8
-        for j, c in enumerate(columns):
-            differ = c[open_] ^ c[open_ - 1] if packed else (c[open_] != c[open_ - 1]).astype(np.uint64)
-            stop = differ != 0
-            rows = open_[stop]
-            if packed:
-                first = min(8 * j, L - 8)
-                zeros = sum((differ[stop] < (np.uint64(1) << np.uint64(8 * k))).astype(np.int64) for k in range(1, 8))
-                out[rows] = first + zeros
-            else:
-                out[rows] = j
-            open_ = open_[~stop]
+        owner, nth = _each(n)
+        self.at, self.size = firsts[owner] + nth, n[owner] - nth + scheme.length - 1
+        self.doc, self.start = doc[owner], start[owner] + nth
+        self.before = np.where(nth > 0, self.symbols[self.at - 1].astype(np.int64) & (2**62 - 1), -1) if len(self.at) else self.at
+
+    def __len__(self) -> int:
+        return len(self.at)
+
+    def ages(self) -> np.ndarray:
+        """Numbers by which suffixes are earlier or later: documents, within one also places."""
+        if not self.scheme.within or not len(self):
+            return self.doc
+        order = np.lexsort((self.start, self.doc))
+        doc, start = self.doc[order], self.start[order]
+        out = np.empty(len(self), np.int64)
+        out[order] = np.cumsum(np.r_[0, (doc[1:] != doc[:-1]) | (start[1:] != start[:-1])])
         return out
 
-    def covered(self) -> np.ndarray:
-        return covered(self.scheme.within, self.same, self.doc, self.start)
+    def diverse(self, order: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+        """Which groups ``order[low:high]`` of suffixes do not all have the same symbol to their left."""
+        before = self.before[order]
+        changes = np.cumsum(np.r_[0, 0, before[1:] != before[:-1]]) if len(before) else np.zeros(1, np.int64)
+        firsts = np.cumsum(np.r_[0, before < 0])
+        return (changes[high] != changes[low + 1]) | (firsts[high] != firsts[low])
+
+    def covered_by(self, order: np.ndarray, low: np.ndarray, high: np.ndarray, depth: np.ndarray):
+        """``doc, start, n`` of the windows in all occurrences but the earliest of the repeats ``order[low:high]``, ``depth`` long."""
+        ages, found = self.ages(), []
+        size = high - low
+        cuts = np.searchsorted(np.cumsum(size), np.arange(0, int(size.sum()) + 1, 1 << 21), side="right")
+        for i, j in zip(cuts, np.r_[cuts[1:], len(low)], strict=True):
+            if i == j:
+                continue
+            owner, nth = _each(size[i:j])
+            own = order[low[i:j][owner] + nth]
+            first = np.minimum.reduceat(ages[own], np.cumsum(size[i:j]) - size[i:j])
+            gone = ages[own] > first[owner]
+            own, n = own[gone], depth[i:j][owner[gone]] - self.scheme.length + 1
+            found.append(merged_spans(self.doc[own], self.start[own], n))
+        if not found:
+            return (np.zeros(0, np.int64),) * 3
+        return merged_spans(*(np.concatenate(x) for x in zip(*found, strict=True)))
+
 
-    def intervals(self) -> list[tuple[int, int]]:
-        """Bounds of the deep nodes with two occurrences or more."""
-        first = np.flatnonzero(~self.same)
-        last = np.r_[first[1:], len(self.same)]
-        wide = last - first > 1
-        return list(zip(first[wide].tolist(), last[wide].tolist(), strict=True))
+Solve = Callable[[Block], tuple[np.ndarray, np.ndarray, np.ndarray]]
 
-    def maximal(self) -> list[tuple[int, int]]:
-        """Those of them whose occurrences do not all have the same symbol to the left (or begin a document)."""
-        return [(i, j) for i, j in self.intervals() if (self.before[i:j] < 0).any() or (self.before[i:j] != self.before[i]).any()]
 
+def settle_bodies(bodies: DataFrame, scheme: Scheme, solve: Solve) -> DataFrame:
+    """Covered spans of all blocks: whole prefixes, dealt out by key, are given to ``solve`` together."""
 
-def settle_bodies(records: DataFrame, scheme: Scheme) -> DataFrame:
-    def decide(table):
+    def solved(held):
+        table = pa.Table.from_batches(held)
         column = lambda x: table.column(x).to_numpy()
-        left = pa.compute.fill_null(table.column("left"), -1).to_numpy()
-        block = SuffixBlock(scheme, column("doc"), column("start"), column("n").astype(np.int64), left, table.column("body").to_pylist())
-        gone = block.covered()
-        if gone.any():
-            yield _records(COVERED, 0, 0, *merged_spans(block.doc[gone], block.start[gone], np.ones(int(gone.sum()), np.int64)))
+        block = Block(scheme, column("doc"), column("start"), column("n"), table.column("body").to_pylist())
+        doc, start, n = solve(block)
+        if len(doc):
+            yield _records(COVERED, 0, 0, doc, start, n)
+
+    def kernel(batches):
+        held: list[pa.RecordBatch] = []
+        rows = 0
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            key = batch.column("key").to_numpy()
+            cut = int(np.searchsorted(key, key[-1]))  # the last prefix may go on in the next batch
+            if cut:
+                yield from solved([*held, batch.slice(0, cut)])
+                held, rows = [], 0
+            held.append(batch.slice(cut))
+            rows += held[-1].num_rows
+            if rows > MOST_WIDE:  # windows that are their own prefix: the earliest stands for the others
+                table = pa.Table.from_batches(held)
+                if pa.compute.max(table.column("n")).as_py() == 1 and pa.compute.count_distinct(table.column("body")).as_py() == 1:
+                    yield from solved(held)
+                    held, rows = [held[0].slice(0, 1)], 1
+        if held:
+            yield from solved(held)
 
-    return _scanned(records, ["key"], decide)
+    return bodies.repartition(F.col("key")).sortWithinPartitions("key", "doc", "start").mapInArrow(kernel, RECORDS)
 
 
-def covered_windows(docs: DataFrame, scheme: Scheme, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def covered_windows(docs: DataFrame, scheme: Scheme, solve: Solve, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc, spans)``: for each document with any, ranges ``(start, n)`` of windows that occur earlier.
 
-    Rows without id or text take no part. Rows that share an id count as one document: no row is earlier than
-    another at the same place, and what is covered in one is covered in all.
+    Ids are whole numbers (another type is an error). Rows without id or text take no part. Rows that share an id count as one
+    document: no row is earlier than another at the same place, and what is covered in one is covered in all.
     """
+    kind = docs.schema[id_col].dataType
+    if not isinstance(kind, IntegralType):
+        raise TypeError(f"ids must be whole numbers, {id_col} is {kind.simpleString()}")
     held = docs.where(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(
         F.col(id_col).cast("bigint").alias("doc"), F.col(text_col).cast("binary").alias("text")
     )
     # spans that are covered within their chunk pass through the exchange under spread keys, so that texts are read once
     with small_batches(docs.sparkSession):
-        first = materialize(settle_runs(run_records(held, scheme), scheme), "runs")
+        first = materialize(settle_runs(held.mapInArrow(lambda batches: records_of(batches, scheme), RECORDS), scheme), "runs")
     release_shuffles(docs.sparkSession)
     branching = first.where(F.col("kind") != COVERED).groupBy("doc").agg(F.collect_list(F.struct("key", "start", "n", "kind")).alias("open"))
     bodies = run_bodies(held.join(branching, "doc").select("doc", "text", "open"), scheme)
     with small_batches(docs.sparkSession):
-        second = materialize(settle_bodies(bodies, scheme), "suffixes")
+        second = materialize(settle_bodies(bodies, scheme, solve), "suffixes")
     release_shuffles(docs.sparkSession)
     spans = first.where(F.col("kind") == COVERED).unionByName(second)
     return spans.groupBy("doc").agg(F.collect_list(F.struct("start", "n")).alias("spans"))
@@ -488,8 +543,8 @@ def removal(scheme: Scheme, size: int, spans) -> np.ndarray:
     return np.cumsum(edges[:-1]) > 0
 
 
-def with_spans(docs: DataFrame, scheme: Scheme, id_col: str, text_col: str) -> DataFrame:
+def with_spans(docs: DataFrame, scheme: Scheme, solve: Solve, id_col: str, text_col: str) -> DataFrame:
     """``(doc_id, t, spans)`` for every row of ``docs``."""
-    spans = covered_windows(docs, scheme, id_col, text_col)
+    spans = covered_windows(docs, scheme, solve, id_col, text_col)
     held = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("binary").alias("t"))
     return held.join(spans, held["doc_id"] == spans["doc"], "left").select("doc_id", "t", "spans")

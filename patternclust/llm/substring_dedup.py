@@ -1,7 +1,8 @@
 """Substring duplicates among words: long passages that an earlier document has already.
 
-Suffixes of the word sequences are split by prefix into groups that fit in memory (runs that elect the same
-prefix, see ``repeats``); the deep nodes of a group's subtree, 13 words down, are the repeats.
+The suffixes of the word sequences are split by prefixes into groups that fit in memory, and a prefix that too many share
+is made longer (see ``repeats``). Each group becomes a suffix subtree, built from its prefix down, one word a
+level; its deep internal nodes with different left neighbours are the maximal repeats, whose later occurrences go.
 """
 
 from __future__ import annotations
@@ -12,7 +13,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .repeats import Scheme, removal, with_spans
+from .repeats import Block, Scheme, removal, with_spans
 from .store import materialize, small_batches
 
 
@@ -20,6 +21,49 @@ def word_scheme(length: int = 13) -> Scheme:
     return Scheme(length, 5 if length >= 9 else max(1, length // 2), "word", within=False)
 
 
+class Subtree:
+    """The suffix subtree of a block: internal nodes as ``low``, ``high`` (their leaves in ``order``) and ``depth`` in symbols.
+
+    Built level by level: groups of suffixes that share a prefix are split by their next symbol; a group that splits is an
+    internal node, one that does not is the inside of an edge. A suffix that ends is a leaf of its own.
+    """
+
+    def __init__(self, block: Block, least: int):
+        self.block, self.order = block, np.arange(len(block))
+        found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        at, group, level = self.order.copy(), np.zeros(len(block), np.int64), 0
+        while len(at):
+            own = self.order[at]
+            goes_on = block.size[own] > level
+            symbol = np.where(goes_on, block.symbols[np.minimum(block.at[own] + level, len(block.symbols) - 1)], 0)
+            by = np.lexsort((symbol, goes_on, group) if level >= least else (symbol, group))
+            self.order[at] = own[by]
+            symbol, goes_on = symbol[by], goes_on[by]
+            head = np.r_[True, group[1:] != group[:-1]]
+            child = head | np.r_[True, symbol[1:] != symbol[:-1]] | ~goes_on
+            if level >= least:
+                first = np.flatnonzero(head)
+                node = np.add.reduceat(child.astype(np.int64), first) > 1
+                size = np.diff(np.r_[first, len(at)])
+                found.append((at[first[node]], at[first[node]] + size[node], np.full(int(node.sum()), level)))
+            group = np.cumsum(child) - 1
+            shared = np.bincount(group)[group] > 1
+            at, group, level = at[shared], group[shared], level + 1
+        nothing = (np.zeros(0, np.int64),) * 3
+        self.low, self.high, self.depth = (np.concatenate(x) for x in zip(nothing, *found, strict=True))
+
+    def maximal(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """``low, high, depth`` of the nodes whose leaves have different left neighbours."""
+        wide = self.block.diverse(self.order, self.low, self.high)
+        return self.low[wide], self.high[wide], self.depth[wide]
+
+
+def covered_by_nodes(block: Block):
+    """Windows in the later occurrences of the maximal repeats of a block."""
+    tree = Subtree(block, block.scheme.length)
+    return block.covered_by(tree.order, *tree.maximal())
+
+
 def kept_words(text: bytes | None, spans, scheme: Scheme):
     """``(words, removed, kept text)``"""
     words = (text or b"").split()
@@ -32,7 +76,7 @@ def drop_repeated_passages(docs: DataFrame, length: int = 13, id_col: str = "doc
 
     A word goes where a window of ``length`` words over it also begins in a document with a smaller id. Null text
     has no words; rows of a null id keep all words; rows that share an id count as one document (what goes from
-    one goes from all at the same places). Other columns are ignored; an empty table gives an empty result.
+    one goes from all at the same places); ids are whole numbers, another type is an error. Other columns are ignored; an empty table gives an empty result.
     """
     scheme = word_scheme(length)
     names = ["doc_id", "n_words", "n_removed", "kept_sha256"] + ["kept"] * with_text
@@ -48,7 +92,7 @@ def drop_repeated_passages(docs: DataFrame, length: int = 13, id_col: str = "doc
 
     kind = docs.schema[id_col].dataType.simpleString()
     schema = f"doc_id {kind}, n_words bigint, n_removed bigint, kept_sha256 string" + ", kept string" * with_text
-    judged = with_spans(docs, scheme, id_col, text_col).mapInArrow(kernel, schema)
+    judged = with_spans(docs, scheme, covered_by_nodes, id_col, text_col).mapInArrow(kernel, schema)
     with small_batches(docs.sparkSession):
         return materialize(judged, "judged")
 
