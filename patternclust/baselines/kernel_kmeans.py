@@ -12,6 +12,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 MAX_OBJECTS = 20_000
+#: bytes of the dense matrix that goes to every task
+MAX_BYTES = 1 << 30
 
 
 def feature_matrix(features: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -21,6 +23,8 @@ def feature_matrix(features: DataFrame) -> tuple[np.ndarray, np.ndarray]:
         raise ValueError(f"more than {MAX_OBJECTS} objects: the kernel matrix would not fit")
     rows = sorted(rows, key=lambda r: r["graph_id"])
     names = {f: i for i, f in enumerate(sorted({f for r in rows for f in r["f"]}))}
+    if 8 * len(rows) * len(names) > MAX_BYTES:
+        raise ValueError(f"{len(rows)} objects of {len(names)} features are over {MAX_BYTES} bytes")
     x = np.zeros((len(rows), len(names)))
     for i, r in enumerate(rows):
         for f, n in r["f"].items():

@@ -17,11 +17,16 @@ def _far_apart(sample: np.ndarray, count: int, rng) -> np.ndarray:
     return sample[chosen]
 
 
-def choose_dimensions(mean_dev: np.ndarray, average: int) -> list[np.ndarray]:
-    """Per medoid the coordinates of least standardised deviation: two each, then the best of all up to k times ``average``."""
+def choose_dimensions(mean_dev: np.ndarray, average: int, present: np.ndarray | None = None) -> list[np.ndarray]:
+    """Per medoid the coordinates of least standardised deviation: two each, then the best of all up to k times ``average``.
+
+    Coordinates that are not ``present`` in the medoid (counts of what it does not hold) come last: nearly all vectors agree in these.
+    """
     k, d = mean_dev.shape
     spread = mean_dev.std(axis=1, ddof=1, keepdims=True)
     z = (mean_dev - mean_dev.mean(axis=1, keepdims=True)) / np.where(spread > 0, spread, 1)
+    if present is not None:
+        z = np.where(present, z, z + 1e6)
     taken = np.zeros((k, d), bool)
     for i in range(k):
         taken[i, np.argsort(z[i], kind="stable")[:2]] = True
@@ -64,7 +69,7 @@ def round_dimensions(vectors: DataFrame, medoids: np.ndarray, average: int) -> l
     dev = np.zeros((k, d))
     for r in flat.groupBy("c", "j").agg(F.sum("n").alias("n"), F.sum("m").alias("m"), F.sum("x.s").alias("s"), F.sum("x.t").alias("t")).collect():  # k times d rows
         dev[r["c"], r["j"]] = r["s"] / r["n"] if r["n"] > 1 else r["t"] / r["m"]
-    return choose_dimensions(dev, average)
+    return choose_dimensions(dev, average, medoids != 0)
 
 
 def round_cost(vectors: DataFrame, medoids: np.ndarray, dims: list[np.ndarray]) -> tuple[float, np.ndarray]:
@@ -127,7 +132,7 @@ def fit(vectors: DataFrame, k: int, average_dims: int = 20, seed: int = 1, round
     parts = _pass(vectors, deviations, "c bigint, n bigint, s array<double>").select("c", "n", F.posexplode("s").alias("j", "x"))
     for r in parts.groupBy("c", "j").agg(F.sum("x").alias("x"), F.sum("n").alias("n")).collect():  # k times d rows
         sums[r["c"], r["j"]], counts[r["c"]] = r["x"], r["n"]
-    refined = choose_dimensions(sums / np.maximum(counts, 1)[:, None], average_dims)
+    refined = choose_dimensions(sums / np.maximum(counts, 1)[:, None], average_dims, medoids != 0)
     spheres = np.array([min((np.abs(medoids[i][d] - medoids[j][d]).mean() for j in range(k) if j != i), default=np.inf) for i, d in enumerate(refined)])
 
     def final(ids, x):

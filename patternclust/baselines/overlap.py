@@ -6,7 +6,7 @@ with its core a connected substructure of the least size, the core shrinking to
 
 from __future__ import annotations
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -54,21 +54,25 @@ def common_core(core: Graph, g: Graph, least: int, steps: int = 400) -> Graph |
 
 
 def fit(graphs: DataFrame, min_common: int, granularity: float = 0.2, buckets: int = 64) -> DataFrame:
-    """``(graph_id, cluster)`` memberships, several a graph. ``granularity``: share of the label profile that parts graphs, 0 for none.
+    """``(graph_id, cluster)`` memberships, several a graph. ``granularity``: tenths of it are the most frequent length-1 paths that
+    part graphs, 0 for none.
 
-    Only the fingerprint parts graphs. A partition passes in the order of ids and only its cores are held;
+    Only this fingerprint parts graphs. A partition passes in the order of ids and only its cores are held;
     the work in it grows with its graphs times its clusters.
     """
-    top = F.array_sort(F.array_distinct("vl"))
-    bits = max(0, round(granularity * 10))
-    key = F.pmod(F.xxhash64(F.slice(top, 1, bits)), F.lit(buckets)) if bits else F.lit(0)
+    end = lambda i: F.element_at("vl", i + 1)
+    paths = F.transform(F.arrays_zip("eu", "ew", "el"), lambda e: F.struct(F.least(end(e["eu"]), end(e["ew"])).alias("a"), e["el"].alias("x"), F.greatest(end(e["eu"]), end(e["ew"])).alias("b")))
+    graphs = graphs.withColumn("paths", paths)
+    counted = F.array_sort(F.transform(F.array_distinct("paths"), lambda t: F.struct((-F.size(F.filter("paths", lambda u: u == t))).alias("n"), t.alias("t"))))
+    most = max(0, round(granularity * 10))
+    key = F.pmod(F.xxhash64(F.array_sort(F.transform(F.slice(counted, 1, most), lambda x: x["t"]))), F.lit(buckets)) if most else F.lit(0)
     keyed = graphs.select("graph_id", "vl", "eu", "ew", "el", key.cast("bigint").alias("bucket"))
 
     def grown(batches):
         name, cores = None, []
-        for pdf in batches:
+        for batch in batches:
             rows = []
-            for bucket, key, vl, eu, ew, el in zip(pdf["bucket"], pdf["graph_id"], pdf["vl"], pdf["eu"], pdf["ew"], pdf["el"]):
+            for bucket, key, vl, eu, ew, el in zip(*(batch.column(c).to_pylist() for c in ("bucket", "graph_id", "vl", "eu", "ew", "el")), strict=True):
                 if bucket != name:
                     name, cores = bucket, []
                 g = Graph.of(vl, eu, ew, el)
@@ -82,6 +86,6 @@ def fit(graphs: DataFrame, min_common: int, granularity: float = 0.2, buckets: i
                 if not joined:
                     cores.append(g)
                     rows.append((key, f"{name}-{len(cores) - 1}"))
-            yield pd.DataFrame(rows, columns=["graph_id", "cluster"])
+            yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in rows], pa.int64()), pa.array([c for _, c in rows], pa.string())], ["graph_id", "cluster"])
 
-    return keyed.repartition("bucket").sortWithinPartitions("bucket", "graph_id").mapInPandas(grown, "graph_id bigint, cluster string")
+    return keyed.repartition("bucket").sortWithinPartitions("bucket", "graph_id").mapInArrow(grown, "graph_id bigint, cluster string")

@@ -21,7 +21,6 @@ LISTED_WORDS = {
 }
 #: for guessing a language: ten words each
 GUESS_WORDS = {k: v[:10] for k, v in LISTED_WORDS.items()}
-FIRST_TOKENS = 40
 
 
 def order_corpus(spark: SparkSession, sf: str) -> Corpus:
@@ -55,16 +54,22 @@ def session_corpus(spark: SparkSession, sf: str) -> Corpus:
 
 
 def document_corpus(spark: SparkSession, sf: str) -> Corpus:
-    """One graph per document: its first tokens, linked at distance one or two."""
-    tokens = F.slice(F.regexp_extract_all(F.lower("text"), F.lit(r"(\p{L}+)"), 1), 1, FIRST_TOKENS)
-    d = table(spark, sf, "documents").select(F.col("doc_id").alias("g"), tokens.alias("t")).where(F.size("t") > 0)
+    """One graph per document, from its whole text: the listed words and length classes of other words in it; each is linked
+    to what follows it most often (``a``) and to what comes two tokens later most often (``s``), the smaller of equals."""
     listed = [w for own in LISTED_WORDS.values() for w in own]
-    word = F.col("v")
-    bucket = F.concat(F.lit("*"), F.least(F.lit(6), F.floor((F.length(word) + 1) / 2)).cast("string"))
-    v = d.select("g", F.explode(F.array_distinct("t")).alias("v")).select("g", "v", F.when(word.isin(listed), word).otherwise(bucket).alias("l"))
-    pair = lambda step: F.transform(F.sequence(F.lit(1), F.size("t") - step), lambda i: F.struct(F.element_at("t", i).alias("x"), F.element_at("t", i + step).alias("y")))
-    far = lambda step, label: d.where(F.size("t") > step).select("g", F.explode(pair(step)).alias("p")).select("g", F.least("p.x", "p.y").alias("a"), F.greatest("p.x", "p.y").alias("b"), F.lit(label).alias("l"))
-    e = far(1, "a").unionByName(far(2, "s")).where(F.col("a") != F.col("b"))
+    bucket = lambda word: F.concat(F.lit("*"), F.least(F.lit(6), F.floor((F.length(word) + 1) / 2)).cast("string"))
+    words = F.regexp_extract_all(F.lower("text"), F.lit(r"(\p{L}+)"), 1)
+    labels = F.transform(words, lambda w: F.when(w.isin(listed), w).otherwise(bucket(w)))
+    d = table(spark, sf, "documents").select(F.col("doc_id").alias("g"), labels.alias("t")).where(F.size("t") > 0)
+    v = d.select("g", F.explode(F.array_distinct("t")).alias("l")).select("g", F.col("l").alias("v"), "l")
+
+    def followers(step: int, label: str) -> DataFrame:
+        pairs = F.arrays_zip(F.slice("t", 1, F.greatest(F.size("t") - step, F.lit(0))).alias("x"), F.slice("t", step + 1, F.size("t")).alias("y"))
+        seen = d.select("g", F.explode(pairs).alias("p")).select("g", "p.x", "p.y").where("x <> y").groupBy("g", "x", "y").count()
+        first = seen.groupBy("g", "x").agg(F.min(F.struct((-F.col("count")).alias("n"), "y")).alias("m"))
+        return first.select("g", F.least("x", "m.y").alias("a"), F.greatest("x", "m.y").alias("b"), F.lit(label).alias("l"))
+
+    e = followers(1, "a").unionByName(followers(2, "s"))
     return v, e.groupBy("g", "a", "b").agg(F.min("l").alias("l"))
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections import Counter
 from collections.abc import Iterator
+from functools import cached_property
 
 from ..model import Graph
 
@@ -47,11 +48,16 @@ class Host:
         self.by_label: dict = {}
         for v, label in enumerate(graph.labels):
             self.by_label.setdefault(label, []).append(v)
-        self.triples = triple_counts(graph)
+
+    @cached_property
+    def triples(self) -> Counter:
+        return triple_counts(self.graph)
 
     def may_contain(self, p: Pattern) -> bool:
-        by, t = self.by_label, self.triples
-        return all(t.get(k, 0) >= n for k, n in p.triples.items()) and all(len(by.get(x, ())) >= n for x, n in p.label_counts.items())
+        by = self.by_label
+        if not all(len(by.get(x, ())) >= n for x, n in p.label_counts.items()):
+            return False
+        return not p.triples or all(self.triples.get(k, 0) >= n for k, n in p.triples.items())
 
 
 def embeddings(host: Host, p: Pattern, steps: int | None = None) -> Iterator[tuple[int, ...]]:

@@ -243,16 +243,17 @@ def op_udf(spark, sf):
 
 @query(f"WITH {PROBE} SELECT c AS cluster_id, round(11.0 / 3 / avg(gsize), 6) AS hcov FROM asg WHERE c > 0 GROUP BY c")
 def op_udaf(spark, sf):
-    """Approximate coverage as a grouped-aggregate function."""
+    """Approximate coverage as a grouped-aggregate function, over parts of a cluster: no worker holds a whole one."""
 
-    @F.pandas_udf(T.DoubleType())
-    def coverage(sizes: pd.Series) -> float:
-        return float(11.0 / 3 / sizes.mean())
+    @F.pandas_udf(T.ArrayType(T.DoubleType()))
+    def summed(sizes: pd.Series) -> list:
+        return [float(sizes.sum()), float(len(sizes))]
 
     from .operators import probe
 
     assigned = probe.assign(_graphs(spark, sf), probe.region_probes()).where("cluster_id > 0")
-    return assigned.groupBy("cluster_id").agg(F.round(coverage(F.col("gsize")), 6).alias("hcov"))
+    parts = assigned.groupBy("cluster_id", F.pmod(F.xxhash64("graph_id"), F.lit(64)).alias("part")).agg(summed(F.col("gsize")).alias("s"))
+    return parts.groupBy("cluster_id").agg(F.round(F.lit(11.0 / 3) / (F.sum(F.col("s")[0]) / F.sum(F.col("s")[1])), 6).alias("hcov"))
 
 
 @query(f"WITH {ORDER} SELECT g, count(*) AS n_paths FROM (SELECT DISTINCT g, least(la, lb), le, greatest(la, lb) FROM ot) GROUP BY g")
@@ -269,3 +270,49 @@ def op_udtf(spark, sf):
     _graphs(spark, sf).createOrReplaceTempView("order_graphs")
     return spark.sql("SELECT graph_id AS g, count(*) AS n_paths FROM order_graphs, LATERAL graph_paths(vl, eu, ew, el) GROUP BY graph_id")
 
+
+
+@query("SELECT l_orderkey, l_linenumber, bit_count(xor(l_partkey, l_suppkey))::BIGINT AS far, (l_partkey & 255)::BIGINT AS low, (l_partkey >> 4)::BIGINT AS high FROM lineitem")
+def op_bits(spark, sf):
+    pairs = table(spark, sf, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    far = F.bit_count(F.col("l_partkey").bitwiseXOR(F.col("l_suppkey"))).cast("bigint")
+    return pairs.select("l_orderkey", "l_linenumber", far.alias("far"), F.col("l_partkey").bitwiseAND(F.lit(255)).alias("low"), F.shiftright("l_partkey", 4).alias("high"))
+
+
+_drawn = "('0x' || substr(md5(o_orderkey || ':draw'), 1, 7))::BIGINT"
+
+
+def _draw():
+    return F.conv(F.substring(F.md5(F.concat(F.col("o_orderkey").cast("string"), F.lit(":draw"))), 1, 7), 16, 10).cast("bigint")
+
+
+@query(f"SELECT o_orderkey, o_orderpriority FROM orders WHERE {_drawn} < 0.1 * 268435456")
+def op_sample_bernoulli(spark, sf):
+    """Each row by a draw of its own, the same wherever it is computed."""
+    return table(spark, sf, "orders").where(_draw() < 0.1 * (1 << 28)).select("o_orderkey", "o_orderpriority")
+
+
+@query(f"""WITH s AS (SELECT unnest(['1-URGENT', '2-HIGH', '3-MEDIUM', '4-NOT SPECIFIED', '5-LOW']) AS p, unnest([0.5, 0.2, 0.1, 0.1, 0.05]) AS share)
+SELECT o_orderkey, o_orderpriority FROM orders JOIN s ON p = o_orderpriority WHERE {_drawn} < share * 268435456""")
+def op_sample_stratified(spark, sf):
+    """A share of its own for each priority."""
+    share = F.create_map(*[F.lit(x) for pair in (("1-URGENT", 0.5), ("2-HIGH", 0.2), ("3-MEDIUM", 0.1), ("4-NOT SPECIFIED", 0.1), ("5-LOW", 0.05)) for x in pair])
+    return table(spark, sf, "orders").where(_draw() < F.element_at(share, F.col("o_orderpriority")) * float(1 << 28)).select("o_orderkey", "o_orderpriority")
+
+
+@query("""SELECT coalesce(c.n, s.n) AS nation, coalesce(c.k, 0) AS customers, coalesce(s.k, 0) AS suppliers
+FROM (SELECT c_nationkey AS n, count(*) AS k FROM customer WHERE c_acctbal < 0 GROUP BY 1) c FULL JOIN (SELECT s_nationkey AS n, count(*) AS k FROM supplier GROUP BY 1) s ON c.n = s.n""")
+def op_cogroup(spark, sf):
+    """Two tables side by side for each key, counts before the exchange so that a group is a few rows."""
+    import pyarrow as pa
+
+    def counted(df, key):
+        return df.groupBy(F.col(key).cast("bigint").alias("nation")).agg(F.count(F.lit(1)).alias("k"))
+
+    def joined(left: pa.Table, right: pa.Table) -> pa.Table:
+        total = lambda t: sum(t.column("k").to_pylist())
+        key = (left if left.num_rows else right).column("nation")[0].as_py()
+        return pa.table({"nation": pa.array([key], pa.int64()), "customers": pa.array([total(left)], pa.int64()), "suppliers": pa.array([total(right)], pa.int64())})
+
+    c, s = counted(table(spark, sf, "customer").where("c_acctbal < 0"), "c_nationkey"), counted(table(spark, sf, "supplier"), "s_nationkey")
+    return c.groupBy("nation").cogroup(s.groupBy("nation")).applyInArrow(joined, "nation bigint, customers bigint, suppliers bigint")

@@ -5,6 +5,7 @@ from __future__ import annotations
 import uuid
 from dataclasses import replace
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -16,14 +17,13 @@ from .model import Graph
 from .operators import graph_stats, measures, mining, vectors
 from .planted import planted_corpus
 from .plans import clustering
-from .plans.state import folder
+from .plans.state import commit, folder
 from .queries import query
 from .sources.tables import table
 from .streaming.graphs import session_graphs
 
-#: what the queries fit with; the corpora have few dozen classes at most, but for the planted one
-QUERY_CONFIG = Config(n_candidates=10, pre_candidates=10, chunks=5, group_cap=480, max_iter=8, pre_minsup=0.05, least_minsup=0.02)
-PLANTED_CONFIG = replace(QUERY_CONFIG, n_candidates=25, pre_candidates=100, pre_minsup=0.01, least_minsup=0.005, group_cap=960, max_iter=4)
+#: corpora of one structure throughout: at the 0.01 that suits a hundred planted classes, initial patterns would be single graphs
+CORPUS_CONFIG = Config(pre_minsup=0.05, least_minsup=0.02)
 
 
 def _fit(graph_rows: DataFrame, cfg: Config) -> DataFrame:
@@ -32,50 +32,58 @@ def _fit(graph_rows: DataFrame, cfg: Config) -> DataFrame:
 
 @query()
 def fit_planted_sampled(spark, sf):
-    return _fit(planted_corpus(table(spark, sf, "orders")), PLANTED_CONFIG)
+    """The synthetic corpus with the published parameters, one graph for each customer, until the stop rule."""
+    return _fit(planted_corpus(table(spark, sf, "customer"), "c_custkey"), Config())
+
+
+@query()
+def fit_planted_exact(spark, sf):
+    """The same with every support counted on the whole cluster."""
+    return _fit(planted_corpus(table(spark, sf, "customer"), "c_custkey"), Config(mode="exact"))
 
 
 @query()
 def fit_doc(spark, sf):
-    return _fit(graphs(spark, sf, "doc"), QUERY_CONFIG)
+    return _fit(graphs(spark, sf, "doc"), CORPUS_CONFIG)
 
 
 @query()
 def fit_doc_exact(spark, sf):
-    return _fit(graphs(spark, sf, "doc"), replace(QUERY_CONFIG, mode="exact", max_iter=6))
+    return _fit(graphs(spark, sf, "doc"), replace(CORPUS_CONFIG, mode="exact"))
 
 
 @query()
 def fit_doc_random_start(spark, sf):
-    return _fit(graphs(spark, sf, "doc"), replace(QUERY_CONFIG, precluster="random", max_iter=6))
+    return _fit(graphs(spark, sf, "doc"), replace(CORPUS_CONFIG, precluster="random"))
 
 
 @query()
 def fit_dom(spark, sf):
-    return _fit(graphs(spark, sf, "dom"), replace(QUERY_CONFIG, n_candidates=5, pre_minsup=0.4, least_minsup=0.1, max_vertices=12, embedding_cap=12, max_iter=6))
+    return _fit(graphs(spark, sf, "dom"), replace(CORPUS_CONFIG, pre_minsup=0.4, least_minsup=0.1))
 
 
 @query()
 def fit_orders(spark, sf):
-    return _fit(graphs(spark, sf, "order"), QUERY_CONFIG)
+    return _fit(graphs(spark, sf, "order"), CORPUS_CONFIG)
 
 
 @query()
 def fit_sessions(spark, sf):
-    return _fit(graphs(spark, sf, "session"), QUERY_CONFIG)
+    return _fit(graphs(spark, sf, "session"), CORPUS_CONFIG)
 
 
 @query()
 def mine_candidates(spark, sf):
     """Candidates of one set, the document corpus, at a fixed threshold."""
-    g = with_fingerprint(graphs(spark, sf, "doc")).withColumn("cluster_id", F.lit(0))
-    return mining.candidates(g, {0: g.count()}, {0: 0.2}, QUERY_CONFIG)
+    g = commit(with_fingerprint(graphs(spark, sf, "doc")).withColumn("cluster_id", F.lit(0)), "corpus")
+    rows = [x.row() for x in mining.candidates(g, {0: g.count()}, {0: 0.2}, CORPUS_CONFIG)]
+    return spark.createDataFrame(rows, ", ".join(mining.CANDIDATES.split(", ")[:11]))
 
 
 @query()
 def precluster_patterns(spark, sf):
-    g = graphs(spark, sf, "order")
-    patterns, minsup, _ = clustering.precluster(g, g.count(), QUERY_CONFIG)
+    g = commit(graphs(spark, sf, "order"), "corpus")
+    patterns, minsup, _ = clustering.precluster(g, g.count(), CORPUS_CONFIG)
     rows = [(i, p.size, *p.row(), minsup) for i, p in enumerate(patterns)]
     return spark.createDataFrame(rows, "cluster_id int, rsize int, vl array<string>, eu array<int>, ew array<int>, el array<string>, minsup double")
 
@@ -100,6 +108,17 @@ def kernel_kmeans_sessions(spark, sf):
     return kernel_kmeans.fit(spark, ids, x, 8)
 
 
+@query()
+def kernel_kmeans_embeddings(spark, sf):
+    """Kernel k-means of the embeddings with as many clusters as labels."""
+    rows = table(spark, sf, "embeddings").where("embedding IS NOT NULL").select("vec_id", "label", "embedding").limit(kernel_kmeans.MAX_OBJECTS + 1).collect()
+    if len(rows) > kernel_kmeans.MAX_OBJECTS:
+        raise ValueError(f"more than {kernel_kmeans.MAX_OBJECTS} objects: the kernel matrix would not fit")
+    rows = sorted(rows, key=lambda r: r["vec_id"])
+    x = np.array([r["embedding"] for r in rows], dtype=float)
+    return kernel_kmeans.fit(spark, np.array([r["vec_id"] for r in rows]), x, len({r["label"] for r in rows}))
+
+
 def session_model() -> clustering.Model:
     """A small frozen model of event paths."""
     path = lambda *labels: Graph.of(labels, range(len(labels) - 1), range(1, len(labels)), ["next"] * (len(labels) - 1))
@@ -123,3 +142,18 @@ def stream_assign_sessions(spark, sf):
 def session_assign_batch(spark, sf):
     """The same sessions in one batch, the open ones included."""
     return session_model().predict(session_graphs(table(spark, sf, "events"))).select("graph_id", "cluster_id", "similarity", "gsize")
+
+
+@query("""WITH e AS (SELECT *, lag(ts) OVER w AS before FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+n AS (SELECT *, sum(CASE WHEN before IS NULL OR ts - before >= INTERVAL 12 HOUR THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS s FROM e),
+p AS (SELECT user_id, s, ts, event_type AS b, lag(event_type) OVER (PARTITION BY user_id, s ORDER BY ts, event_id) AS a FROM n),
+f AS (SELECT user_id, min(ts) AS start, 2 * count(*) - 1 AS gsize, max(CASE WHEN (a, b) IN (('view', 'purchase'), ('purchase', 'view')) THEN 9 ELSE 0 END) AS s1,
+        max(CASE WHEN (a, b) IN (('click', 'purchase'), ('purchase', 'click')) THEN 9 ELSE 0 END) AS s2,
+        max(CASE WHEN (a, b) IN (('view', 'click'), ('click', 'view')) THEN 9 ELSE 0 END) + max(CASE WHEN a = 'view' AND b = 'view' THEN 9 ELSE 0 END) AS s3 FROM p GROUP BY user_id, s)
+SELECT user_id, strftime(start, '%Y-%m-%d %H:%M:%S') AS start, CASE WHEN greatest(s1, s2, s3) = 0 THEN -1 WHEN s1 = greatest(s1, s2, s3) THEN 1 WHEN s2 = greatest(s1, s2, s3) THEN 2 ELSE 3 END AS cluster_id,
+       greatest(s1, s2, s3)::BIGINT AS similarity, gsize::INTEGER AS gsize FROM f""")
+def session_assign_by_user(spark, sf):
+    """The batch assignment by user and start, which SQL can follow."""
+    sessions = commit(session_graphs(table(spark, sf, "events")), "sessions")
+    start = F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start")
+    return session_model().predict(sessions).join(sessions.select("graph_id", "user_id", start), "graph_id").select("user_id", "start", "cluster_id", "similarity", "gsize")

@@ -63,6 +63,27 @@ class Graph:
         return (list(self.labels), *self.edge_columns())
 
 
+def graph_rows(batch):
+    """``(vl, eu, ew, el)`` as Python lists for each row of an Arrow batch or table; columns are unpacked whole, labels shared."""
+
+    def lists(column):
+        column = column.combine_chunks() if hasattr(column, "combine_chunks") else column
+        values = column.flatten()
+        if str(values.type).endswith("string"):
+            coded = values.dictionary_encode()
+            names = coded.dictionary.to_pylist()
+            values = [names[i] for i in coded.indices.to_numpy(zero_copy_only=False).tolist()]
+        else:
+            values = values.to_pylist()
+        at = 0
+        for n in column.value_lengths().to_pylist():
+            yield values[at : at + (n or 0)]
+            at += n or 0
+
+    names = batch.schema.names
+    return zip(*(lists(batch.column(names.index(c))) for c in ("vl", "eu", "ew", "el")), strict=True)
+
+
 def assemble(vertices: DataFrame, edges: DataFrame) -> DataFrame:
     """Compact graphs from ``vertices(g, v, l)`` and ``edges(g, a, b, l)``; both sides meet by graph once.
 

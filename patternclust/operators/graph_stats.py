@@ -9,14 +9,16 @@ from ..model import triples, with_size
 
 
 def describe(graphs: DataFrame) -> DataFrame:
+    """One row of counts; labels are counted as distinct values, so nothing gathers but partial counts."""
     n_v, n_e = F.size("vl"), F.size("eu")
     counts = graphs.agg(
         F.count(F.lit(1)).alias("n_graphs"), F.min(n_v).cast("bigint").alias("v_min"), F.max(n_v).cast("bigint").alias("v_max"), F.round(F.avg(n_v), 6).alias("v_avg"),
         F.min(n_e).cast("bigint").alias("e_min"), F.max(n_e).cast("bigint").alias("e_max"), F.round(F.avg(n_e), 6).alias("e_avg"),
-        F.array_size(F.array_distinct(F.flatten(F.collect_set(F.array_distinct("vl"))))).cast("bigint").alias("n_vlabels"),
-        F.array_size(F.array_distinct(F.flatten(F.collect_set(F.array_distinct("el"))))).cast("bigint").alias("n_elabels"),
     )
-    return counts
+    kinds = lambda kind, column: F.transform(F.array_distinct(column), lambda x: F.struct(F.lit(kind).alias("kind"), x.alias("l")))
+    labels = graphs.select(F.explode(F.concat(kinds("v", "vl"), kinds("e", "el"))).alias("x")).distinct()
+    n_of = lambda kind: F.count(F.when(F.col("x.kind") == kind, 1))
+    return counts.crossJoin(F.broadcast(labels.agg(n_of("v").alias("n_vlabels"), n_of("e").alias("n_elabels"))))  # one row each
 
 
 def frequent_vertices(graphs: DataFrame, minsup: float) -> DataFrame:
@@ -81,9 +83,7 @@ def three_vertex_features(graphs: DataFrame) -> DataFrame:
     arm = wide.select("graph_id", "vl", "eu", "ew", "el", "arcs", F.explode("arcs").alias("p"))
     pair = arm.select("graph_id", "vl", "eu", "ew", "el", "p", F.explode(F.filter("arcs", lambda q: (q["m"] == F.col("p.m")) & (q["o"] > F.col("p.o")))).alias("q"))
     label = lambda i: F.element_at("vl", i + 1)
-    closing = F.element_at(F.filter(F.arrays_zip("eu", "ew", "el"), lambda e: (e["eu"] == F.col("p.o")) & (e["ew"] == F.col("q.o"))), 1)
     closed = F.try_element_at(F.filter(F.arrays_zip("eu", "ew", "el"), lambda e: (e["eu"] == F.col("p.o")) & (e["ew"] == F.col("q.o"))), F.lit(1))
-    del closing
     side = lambda o, line: F.concat_ws(":", line, label(o))
     path = F.concat_ws("/", F.lit("P"), label(F.col("p.m")), F.least(side(F.col("p.o"), F.col("p.l")), side(F.col("q.o"), F.col("q.l"))), F.greatest(side(F.col("p.o"), F.col("p.l")), side(F.col("q.o"), F.col("q.l"))))
     # a triangle is met at each of its vertices: its key is the sorted list of (vertex, facing edge); counted at the smallest

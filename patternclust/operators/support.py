@@ -11,6 +11,9 @@ from ..model import Graph
 from .graph_stats import frequent_paths
 from .scan import support
 
+#: frequent length-1 paths that the driver takes; there are at most (vertices of the largest graph)^2 / minsup
+MOST_PATHS = 100_000
+
 
 def exact(graphs: DataFrame, patterns: list[Graph], cfg: Config | None = None) -> list[tuple[int, int]]:
     """``(supporters, graphs)`` of each pattern. The pair stays exact and adds up over parts of a set."""
@@ -47,7 +50,10 @@ def extensions(pattern: Graph, paths: set[tuple]) -> list[Graph]:
 
 def is_maximal(graphs: DataFrame, pattern: Graph, minsup: float) -> bool:
     """Whether no extension by one edge is frequent: by monotonicity, then no larger pattern is. One scan for all extensions."""
-    paths = {(r.la, r.le, r.lb) for r in frequent_paths(graphs, minsup).collect()}
+    rows = frequent_paths(graphs, minsup).limit(MOST_PATHS + 1).collect()
+    if len(rows) > MOST_PATHS:
+        raise ValueError(f"more than {MOST_PATHS} frequent paths")
+    paths = {(r.la, r.le, r.lb) for r in rows}
     bigger = extensions(pattern, paths)
     return not bigger or not any(is_frequent(graphs, bigger, minsup))
 

@@ -1,4 +1,4 @@
-"""Tables between iterations, in the folder that the cluster shares."""
+"""Tables between steps, in the folder that the cluster shares."""
 
 from __future__ import annotations
 
@@ -11,17 +11,25 @@ _OWN: dict[str, str] = {}
 
 
 def folder(spark: SparkSession) -> str:
+    """The folder named in ``spark.checkpoint.dir``; a temporary one where it is unset, which only a local session may do."""
     root = spark.conf.get("spark.checkpoint.dir", "") or ""
-    if not root:  # tests
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         root = _OWN.setdefault(spark.sparkContext.applicationId, "file://" + tempfile.mkdtemp(prefix="patternclust-"))
-    return f"{root.rstrip('/')}/clustering-{spark.sparkContext.applicationId}"
+    return f"{root.rstrip('/')}/patternclust-{spark.sparkContext.applicationId}"
 
 
-def commit(df: DataFrame, label: str) -> DataFrame:
-    """Write a table once and read it back; Hadoop removes it when the driver ends."""
-    spark = df.sparkSession
+def new_folder(spark: SparkSession, label: str) -> str:
+    """A fresh path under the shared folder; Hadoop removes it when the driver ends."""
     path = f"{folder(spark)}/{label}-{uuid.uuid4().hex}"
     hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(hadoop)
+    return path
+
+
+def commit(df: DataFrame, label: str) -> DataFrame:
+    """Write a table once and read it back: cuts lineage and survives the loss of any executor."""
+    path = new_folder(df.sparkSession, label)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

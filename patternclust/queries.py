@@ -9,10 +9,13 @@ from pyspark.sql import functions as F
 
 from . import corpora
 from .functions.binomial import decision_column
+from .functions.fingerprint import fingerprint, may_contain, with_fingerprint
 from .functions.patterns import has_edge, triple_keys
+from .model import Graph
 from .operators import graph_stats as gs
-from .operators import measures, probe, vectors
+from .operators import measures, probe, scan, vectors
 from .planted import planted_truth
+from .plans.state import commit
 from .sources.tables import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -76,12 +79,13 @@ se AS (SELECT g, p::VARCHAR AS a, event_id::VARCHAR AS b, 'next' AS l FROM sl WH
 """
 _listed = ", ".join(f"'{w}'" for own in corpora.LISTED_WORDS.values() for w in own)
 DOCS = rf"""
-dt AS (SELECT doc_id AS g, regexp_extract_all(lower(text), '(\p{{L}}+)', 1)[1:40] AS t FROM documents),
-dv AS (SELECT DISTINCT g, w AS v, CASE WHEN w IN ({_listed}) THEN w ELSE '*' || least(6, (length(w) + 1) // 2) END AS l FROM (SELECT g, unnest(t) AS w FROM dt)),
+dw AS (SELECT doc_id AS g, list_transform(regexp_extract_all(lower(text), '(\p{{L}}+)', 1), lambda w: CASE WHEN w IN ({_listed}) THEN w ELSE '*' || least(6, (length(w) + 1) // 2) END) AS t FROM documents),
+dt AS (SELECT g, t FROM dw WHERE len(t) > 0),
+dv AS (SELECT g, unnest(list_distinct(t)) AS l FROM dt),
 dp AS (SELECT g, t, unnest(range(1, len(t) + 1)) AS i FROM dt),
-de AS (SELECT g, least(x, y) AS a, greatest(x, y) AS b, min(l) AS l FROM (
-         SELECT g, t[i] AS x, t[i + 1] AS y, 'a' AS l FROM dp WHERE i + 1 <= len(t) UNION ALL SELECT g, t[i], t[i + 2], 's' FROM dp WHERE i + 2 <= len(t)
-       ) WHERE x <> y GROUP BY g, least(x, y), greatest(x, y))
+dn AS (SELECT g, x, y, s, count(*) AS n FROM (SELECT g, t[i] AS x, t[i + 1] AS y, 'a' AS s FROM dp WHERE i + 1 <= len(t) UNION ALL SELECT g, t[i], t[i + 2], 's' FROM dp WHERE i + 2 <= len(t)) WHERE x <> y GROUP BY g, x, y, s),
+df AS (SELECT g, x, y, s FROM (SELECT *, row_number() OVER (PARTITION BY g, x, s ORDER BY n DESC, y) AS k FROM dn) WHERE k = 1),
+de AS (SELECT g, least(x, y) AS a, greatest(x, y) AS b, min(s) AS l FROM df GROUP BY g, least(x, y), greatest(x, y))
 """
 CONV = """
 cx AS (SELECT DISTINCT conv_id, turn, role FROM conversations),
@@ -204,8 +208,14 @@ def order_rank(spark, sf):
     return _ranked(spark, sf).select("cluster_id", "rep_id", "n_sup_c", F.round("supp_c", 6).alias("supp_c"), F.round("supp_d", 6).alias("supp_d"), F.round("rank", 6).alias("rank"))
 
 
+def _both(spark, sf):
+    """Assignment and hits from one corpus, written once."""
+    g = commit(_graphs(spark, sf), "orders")
+    return probe.assign(g, probe.region_probes()), probe.hit_rows(g, probe.region_probes())
+
+
 def _ranked(spark, sf):
-    return probe.ranks(_assigned(spark, sf), _hits(spark, sf))
+    return probe.ranks(*_both(spark, sf))
 
 
 TOP2 = "top2 AS (SELECT c, rep, k FROM (SELECT *, row_number() OVER (PARTITION BY c ORDER BY round(rank, 9) DESC NULLS LAST, rsize DESC, rep) AS k FROM rk) WHERE k <= 2)"
@@ -241,17 +251,18 @@ def order_split_candidates(spark, sf):
 @query(f"""WITH {PROBE}, {TOP2}, m AS (SELECT a.c, a.g, count(t.rep) AS k FROM asg a LEFT JOIN hits h ON h.g = a.g AND h.c = a.c LEFT JOIN top2 t ON t.c = a.c AND t.rep = h.rep WHERE a.c > 0 GROUP BY a.c, a.g)
 SELECT c AS cluster_id, count(*) FILTER (WHERE k = 0) AS n_unsupported, round(count(*) FILTER (WHERE k = 0) / count(*)::DOUBLE, 6) AS share FROM m GROUP BY c""")
 def order_unsupported(spark, sf):
-    best = probe.top_representatives(_ranked(spark, sf), 2).select("cluster_id", "rep_id")
-    kept = _hits(spark, sf).join(best, ["cluster_id", "rep_id"]).select("graph_id", "cluster_id").distinct().withColumn("kept", F.lit(1))
-    members = _assigned(spark, sf).where("cluster_id >= 0").join(kept, ["graph_id", "cluster_id"], "left")
+    assigned, hits = _both(spark, sf)
+    best = probe.top_representatives(probe.ranks(assigned, hits), 2).select("cluster_id", "rep_id")
+    kept = hits.join(best, ["cluster_id", "rep_id"]).select("graph_id", "cluster_id").distinct().withColumn("kept", F.lit(1))
+    members = assigned.where("cluster_id >= 0").join(kept, ["graph_id", "cluster_id"], "left")
     lost = F.count(F.when(F.col("kept").isNull(), 1))
     return members.groupBy("cluster_id").agg(lost.alias("n_unsupported"), F.round(lost / F.count(F.lit(1)), 6).alias("share"))
 
 
 @query(f"WITH {PROBE} SELECT count(*) AS n_violations FROM asg a WHERE c > 0 AND NOT EXISTS (SELECT 1 FROM hits h WHERE h.g = a.g AND h.c = a.c)")
 def order_invariant_violations(spark, sf):
-    members = _assigned(spark, sf).where("cluster_id >= 0")
-    return members.join(_hits(spark, sf), ["graph_id", "cluster_id"], "left_anti").agg(F.count(F.lit(1)).alias("n_violations"))
+    assigned, hits = _both(spark, sf)
+    return assigned.where("cluster_id >= 0").join(hits, ["graph_id", "cluster_id"], "left_anti").agg(F.count(F.lit(1)).alias("n_violations"))
 
 
 @query(f"WITH {PROBE} SELECT alpha, round((SELECT sum(n * hcov) FROM hc) / (SELECT count(*) FROM hc) ** alpha, 6) AS z FROM (SELECT unnest([0.5, 1.0, 2.0])::DOUBLE AS alpha)")
@@ -411,8 +422,9 @@ def session_walk2(spark, sf):
 
 @query(f"WITH {PROBE} SELECT g FROM hits WHERE c = 3 AND rep = 3")
 def order_search(spark, sf):
-    p = next(p for p in probe.region_probes() if (p.cluster_id, p.rep_id) == (3, 3))
-    return _graphs(spark, sf).where(p.hit).select(F.col("graph_id").alias("g"))
+    """Graphs that contain a path of two edges: fingerprints first, an exact test of what they leave."""
+    query_graph = Graph.of(["5-LOW", "MEDIUM", "ASIA"], [0, 1], [1, 2], ["R", "O"])
+    return scan.search(with_fingerprint(_graphs(spark, sf)), query_graph).select(F.col("graph_id").alias("g"))
 
 
 @query(f"""WITH {PROBE}, f AS (SELECT c, (SELECT count(*) FROM (SELECT g FROM ot WHERE la = '5-LOW' AND le = 'R' AND lb = 'MEDIUM' INTERSECT SELECT g FROM ot WHERE la = 'MEDIUM' AND le = 'O' AND lb = r)) AS k,
@@ -430,6 +442,18 @@ def fingerprint_filter_power(spark, sf):
     return x.groupBy(F.col("x.c").alias("cluster_id")).agg(may.alias("n_candidates"), hit.alias("n_hits"), F.round(hit / may, 6).alias("precision"))
 
 
+@query()
+def fingerprint_power(spark, sf):
+    """``(cluster_id, n_candidates, n_hits, precision)`` of the 1,024-bit fingerprint; its hash has no SQL, hits must be those of ``fingerprint_filter_power``."""
+    g = with_fingerprint(_graphs(spark, sf))
+    probes = [p for p in probe.region_probes() if p.rep_id == 3]
+    mark = lambda p: fingerprint(Graph.of(["5-LOW", "MEDIUM", p.edges[1][2]], [0, 1], [1, 2], ["R", "O"]))
+    flags = F.array(*[F.struct(F.lit(p.cluster_id).alias("c"), may_contain(F.col("fp"), mark(p)).alias("may"), p.hit.alias("hit")) for p in probes])
+    x = g.select(F.explode(flags).alias("x"))
+    may, hit = F.count(F.when(F.col("x.may"), 1)), F.count(F.when(F.col("x.may") & F.col("x.hit"), 1))
+    return x.groupBy(F.col("x.c").alias("cluster_id")).agg(may.alias("n_candidates"), hit.alias("n_hits"), F.round(hit / may, 6).alias("precision"))
+
+
 @query("""WITH k AS (SELECT ('0x' || substr(md5(o_orderkey || ':class'), 1, 7))::BIGINT % 100 AS class FROM orders WHERE ('0x' || substr(md5(o_orderkey || ':noise'), 1, 7))::BIGINT % 20 <> 0)
 SELECT class, count(*) AS n FROM k GROUP BY class""")
 def planted_class_sizes(spark, sf):

@@ -237,7 +237,7 @@ def test_medoid_rounds_read_all_vectors(spark, monkeypatch):
 
 def test_candidates_are_ranked_on_all_graphs(spark, monkeypatch):
     g = with_fingerprint(spark.range(20_400).selectExpr("id AS graph_id", "array('a', 'b') AS vl", "array(0) AS eu", "array(1) AS ew", "array('x') AS el"))
-    assignment = g.selectExpr("graph_id", "0 AS cluster_id", "0L AS similarity", "3 AS gsize", "0L AS n_tests")
+    clustered = g.selectExpr("*", "0 AS cluster_id", "3 AS gsize")
     seen, hit_counts = [], scan.hit_counts
 
     def recorded(graphs, patterns, cfg):
@@ -246,5 +246,29 @@ def test_candidates_are_ranked_on_all_graphs(spark, monkeypatch):
         return counts
 
     monkeypatch.setattr(scan, "hit_counts", recorded)
-    clustering.update(g, assignment, clustering._stats(assignment), {}, Config(n_candidates=2, chunks=1, group_cap=200))
+    clustering.update(clustered, clustering._stats(clustered), {}, Config(n_candidates=2, group_cap=200))
     assert seen and set(seen) == {20_400}
+
+
+def test_open_decisions_end_in_exact_counts(spark, keys):
+    """With samples far under the set, candidates are settled by counts over all graphs, and err less often than the knob allows."""
+    from patternclust.operators import mining, support
+
+    g = with_fingerprint(planted.planted_corpus(keys)).withColumn("cluster_id", F.lit(0)).cache()
+    cfg = Config(n_candidates=6, group_cap=60, cap_top=120)
+    facts = mining.facts_of(g, {0: 300}, {0: 0.3})[0]
+    hosts = [mining.Host(Graph.of(r.vl, r.eu, r.ew, r.el)) for r in g.collect()]
+    assert facts == mining.facts_here(hosts, 0.3)
+    found = mining.candidates(g, {0: 300}, {0: 0.3}, cfg)
+    assert len(found) == 6 and max(x.n_drawn / max(1, x.n_decided) for x in found) > 60
+    assert support.mining_error(g, [x.pattern for x in found], 0.3) <= cfg.max_error
+    exact = mining.candidates(g, {0: 300}, {0: 0.3}, Config(n_candidates=6, mode="exact"))
+    assert support.mining_error(g, [x.pattern for x in exact], 0.3) == 0.0
+
+
+def test_clusters_far_from_merging_in_tasks(spark):
+    from patternclust.operators import separation
+
+    reps = {c: [Graph.of([f"l{c // 2}", "x", f"r{c // 2}"], [0, 1], [1, 2], "ee")] * 3 for c in range(40)}
+    cfg = Config(t_sim=0.9)
+    assert separation.cluster_pairs(reps, cfg, None, spark) == separation.cluster_pairs(reps, cfg) == [(c, c + 1) for c in range(0, 40, 2)]

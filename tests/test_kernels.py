@@ -1,6 +1,7 @@
 """Kernels on single graphs against brute force and worked examples."""
 
 import itertools
+import json
 import math
 import random
 from collections import Counter
@@ -138,11 +139,13 @@ def test_binomial():
     assert binomial.decide(0, 30, 0.4, alpha) == "INFREQUENT" and binomial.decide(1, 30, 0.4, alpha) == "UNDECIDED" and binomial.decide(26, 30, 0.4, alpha) == "FREQUENT"
 
 
-def test_mined_patterns_are_frequent_and_maximal():
+@pytest.mark.parametrize("cap", [1, 4, 10_000])
+@pytest.mark.parametrize("mode", ["sampled", "exact"])
+def test_mined_patterns_are_frequent_and_maximal(cap, mode):
     rng = random.Random(4)
     hosts = [iso.Host(random_graph(rng, 6, 0.35)) for _ in range(24)]
-    cfg = Config(n_candidates=12, embedding_cap=10_000)
-    rows = mining.mine(hosts, 0.5, cfg, 0, range(12))
+    cfg = Config(n_candidates=12, embedding_cap=cap, mode=mode)
+    rows = mining.mine(hosts, mining.facts_here(hosts, 0.5), 0.5, cfg, 0, dict.fromkeys(range(12)))
     assert rows
     for row in rows:
         pattern = Graph.of(*row[2:6])
@@ -164,15 +167,32 @@ def test_mined_patterns_are_frequent_and_maximal():
 def test_sampled_decisions_stay_under_the_bound():
     rng = random.Random(5)
     hosts = [iso.Host(random_graph(rng, 5, 0.4)) for _ in range(300)]
-    _, paths = mining.frequent_parts(hosts, 0.4)
+    facts = mining.facts_here(hosts, 0.4)
     sizes = sorted(len(h.graph.labels) for h in hosts)
-    for row in mining.mine(hosts, 0.4, Config(), 0, range(4)):
-        assert row[8] <= binomial.test_bound(300, 30, sizes[int(0.6 * 300) - 1], len(paths)) + len(row[2]) * 1000
+    assert facts.v_max == sizes[int(0.6 * 300) - 1]
+    for row in mining.mine(hosts, facts, 0.4, Config(), 0, dict.fromkeys(range(4))):
+        assert row[8] <= binomial.test_bound(300, 30, facts.v_max, len(facts.paths)) + len(row[2]) * 1000
+        assert 0 < row[9] and row[9] * 30 <= row[10] <= row[9] * 300 and row[11] is None
         support = sum(iso.contains(h, Graph.of(*row[2:6])) for h in hosts) / 300
         assert support >= 0.3
 
 
-def test_dissimilar_sets_and_merging():
+def test_what_a_sample_leaves_open_is_told():
+    rng = random.Random(5)
+    hosts = [iso.Host(random_graph(rng, 5, 0.4)) for _ in range(300)]
+    facts = mining.facts_here(hosts, 0.4)
+    rows = mining.mine(hosts[:60], facts, 0.4, Config(), 0, dict.fromkeys(range(8)))
+    open_ = [r for r in rows if r[12] is not None]
+    assert open_  # 60 of 300 graphs cannot tell all supports near 0.4
+    for r in open_:
+        start = (Graph.of(*r[2:6]), [tuple(x) for x in json.loads(r[11])])
+        (again,) = mining.mine(hosts, facts, 0.4, Config(), 0, {r[1]: start}, 1)
+        pattern = Graph.of(*again[2:6])
+        assert again[12] is None and iso.contains(pattern, start[0])
+        assert sum(iso.contains(h, pattern) for h in hosts) >= 0.4 * 300
+
+
+def test_dissimilar_sets_and_merging(monkeypatch):
     p, p2, q = PATH, PATH.copy(), Graph.of("zz", [0], [1], "x")
     cfg = Config()
     similar = separation.is_similar(cfg)
@@ -183,6 +203,11 @@ def test_dissimilar_sets_and_merging():
     reps = {1: [PATH, PATH, PATH], 2: [TRIANGLE], 3: [q, q, q]}
     assert separation.cluster_pairs(reps, cfg) == [(1, 2)]
     assert separation.cluster_pairs({1: [PATH], 2: [PATH]}, cfg) == []
+    asked = []
+    monkeypatch.setattr(mcs, "similar", lambda *a, **k: asked.append(a) or True)
+    many = {c: [PATH] * 3 for c in range(40)}
+    # the cost of separating depends on representatives only, and equal ones are compared once
+    assert len(separation.cluster_pairs(many, cfg)) == 40 * 39 // 2 and len(asked) == 1
     assert separation.merged_ids([(1, 2), (2, 5), (7, 8)]) == {2: 1, 5: 1, 8: 7}
 
 
