@@ -238,7 +238,7 @@ def _pieces(scheme: Scheme, codes: np.ndarray):
 RECORDS = "kind int, key bigint, content bigint, doc bigint, start bigint, n int"
 COVERED, OPEN, WIDE, FULL = 1, 0, 2, 3
 #: leaves that may share a prefix before it is made longer, and before it is made as long as the window
-MOST_LEAVES, MOST_WIDE = 500, 1 << 15
+MOST_LEAVES, MOST_WIDE = 500, 1 << 12
 
 
 def _records(kind, key, content, doc, start, n) -> pa.RecordBatch:
