@@ -64,10 +64,11 @@ def hashed_grams(host, path, buckets: int = BUCKETS):
 
     def grams(tag, text, n):
         last = F.length(text) - n + 1
-        each = F.transform(
-            F.sequence(F.lit(1), F.greatest(last, F.lit(1))),
-            lambda i: F.pmod(F.xxhash64(F.lit(tag), F.substring(text, i, F.lit(n))), F.lit(buckets)).cast("int"),
-        )
+        places = F.sequence(F.lit(0), F.greatest(last, F.lit(1)) - 1)
+        gram = lambda chars, i: F.concat(*[F.get(chars, i + j) for j in range(n)])
+        mark = lambda chars, i: F.pmod(F.xxhash64(F.lit(tag), gram(chars, i)), F.lit(buckets)).cast("int")
+        # characters are parted once, as the variable of an outer lambda: a substring by position walks a long url from its start each time
+        each = F.flatten(F.transform(F.array(F.split(text, "")), lambda chars: F.transform(places, lambda i: mark(chars, i))))
         return F.when(last >= 1, each).otherwise(F.array().cast("array<int>"))
 
     bounded = {"h": F.concat(F.lit("^"), host, F.lit("$")), "p": F.concat(path, F.lit("$"))}
