@@ -3,7 +3,7 @@
 A linear model over standardised text statistics is trained on trusted positives and unlabelled
 web text. The risk is prior * E_p[loss(+)] + max(0, E_u[loss(-)] - prior * E_p[loss(-)]) with the
 logistic loss; where the bracket is negative its gradient is reversed. The class prior is
-estimated from the labels that may be learned from.
+estimated from the trusted positives and the unlabelled texts: negative labels are never read.
 """
 
 from __future__ import annotations
@@ -86,6 +86,24 @@ def fit_nnpu(positive: np.ndarray, unlabelled: np.ndarray, prior: float, rounds:
     return QualityModel(mean, scale, theta[:-1], float(theta[-1]), prior)
 
 
+def estimate_prior(positive: np.ndarray, unlabelled: np.ndarray, sure: float = 0.9) -> float:
+    """Share of positives among the unlabelled: the smallest ratio of unlabelled to positive rows above a score.
+
+    A model learned from every second row scores the others. Above any score, unlabelled rows hold at least the share of
+    positives times the part of positives there; where only positives are left the ratio is the share itself. The score is chosen with the
+    errors of both parts added (at confidence ``sure``), so that few rows far up do not decide.
+    """
+    model = fit_nnpu(positive[::2], unlabelled[::2], 0.5, rounds=300)
+    p, u = np.sort(model.scores(positive[1::2])), np.sort(model.scores(unlabelled[1::2]))
+    if not len(p) or not len(u):
+        return 0.5
+    above_p = 1 - np.arange(len(p)) / len(p)
+    above_u = 1 - np.searchsorted(u, p) / len(u)
+    doubt = sum(np.sqrt(np.log(4 / (1 - sure)) / (2 * len(x))) for x in (p, u))
+    best = int(np.argmin(above_u / above_p + doubt / above_p))
+    return float(np.clip(above_u[best] / above_p[best], 0.01, 0.99))
+
+
 def held_out(id_col):
     """True where crc32 of the id as text leaves 0 when divided by 5; a null id: false."""
     return F.coalesce(F.crc32(id_col.cast("string")) % 5 == 0, F.lit(False))
@@ -96,16 +114,15 @@ def train(
     max_rows: int = 8000, prior: float | None = None, seed: int = 7,
 ) -> QualityModel:
     """Learn from at most about ``max_rows`` trusted positives and as many unlabelled texts, drawn by
-    a hash of the id; only these rows' statistics reach the driver. Rows held out are not drawn.
+    a hash of the id; only these rows' statistics reach the driver. Rows held out are not drawn, and of the labels only
+    those of positives are read. ``prior`` None: estimated from both.
 
-    No positives or no documents: a model that gives every text the prior.
+    No positives or no documents: a model that gives every text the prior, or a half.
     """
-    known = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull() & ~held_out(F.col(id_col)))
-    n_known, n_positive = known.agg(F.count(F.lit(1)), F.coalesce(F.sum(label_col), F.lit(0))).first()
-    n_docs = docs.count()
-    prior = prior if prior is not None else (n_positive / n_known if n_known else 0.5)
+    known = labels.where((F.col(label_col) == 1) & F.col(id_col).isNotNull() & ~held_out(F.col(id_col)))
+    n_positive, n_docs = known.count(), docs.count()
     part = lambda n, salt: F.pmod(F.xxhash64(F.col(id_col), F.lit(seed + salt)), F.lit(1 << 20)) < int(min(1.0, max_rows / max(n, 1)) * (1 << 20))
-    trusted = known.where((F.col(label_col) == 1) & part(n_positive, 0)).select(F.col(id_col).alias("__id"), F.lit(True).alias("trusted")).distinct()
+    trusted = known.where(part(n_positive, 0)).select(F.col(id_col).alias("__id"), F.lit(True).alias("trusted")).distinct()
     # trusted has max_rows rows or so by construction
     drawn = docs.select(F.col(id_col).alias("__id"), F.col(text_col).cast("binary").alias("t"), part(n_docs, 1).alias("any"))
     drawn = drawn.where(F.col("__id").isNotNull() & ~held_out(F.col("__id"))).join(F.broadcast(trusted), "__id", "left")
@@ -120,10 +137,11 @@ def train(
     x = np.array(got.column("x").to_pylist(), dtype=float).reshape(-1, WIDTH)
     p, u = (np.array(got.column(c).to_pylist(), dtype=bool) for c in ("p", "u"))
     if not p.any() or not u.any():
+        prior = 0.5 if prior is None else prior
         return QualityModel(np.zeros(WIDTH), np.ones(WIDTH), np.zeros(WIDTH), float(np.log((prior + 1e-6) / (1 - prior + 1e-6))), prior)
     order = np.lexsort(x.T)  # sums run in one order whatever the partitions
     x, p, u = x[order], p[order], u[order]
-    return fit_nnpu(x[p], x[u], prior)
+    return fit_nnpu(x[p], x[u], estimate_prior(x[p], x[u]) if prior is None else prior)
 
 
 def score(docs: DataFrame, model: QualityModel, text_col: str = "text", out: str = "score") -> DataFrame:
