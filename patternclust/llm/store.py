@@ -1,40 +1,16 @@
-"""Intermediate tables in the folder that the whole cluster shares."""
+"""Intermediate tables in the folder that the whole cluster shares, and what jobs leave behind."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
-_OWN: dict[str, str] = {}
+from ..plans.state import commit as materialize
+from ..plans.state import folder, new_folder
 
-
-def shared_root(spark: SparkSession) -> str:
-    """The folder named in ``spark.checkpoint.dir``, or a temporary one where it is unset (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", "") or ""
-    if not root:
-        app = spark.sparkContext.applicationId
-        root = _OWN.setdefault(app, "file://" + tempfile.mkdtemp(prefix="patternclust-"))
-    return f"{root.rstrip('/')}/patternclust-{spark.sparkContext.applicationId}"
-
-
-def new_folder(spark: SparkSession, label: str) -> str:
-    """A fresh path under the shared folder; Hadoop removes it when the driver ends."""
-    path = f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
-    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-    hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(hadoop)
-    return path
-
-
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` once and read it back: cuts lineage and survives the loss of any executor."""
-    spark = df.sparkSession
-    path = new_folder(spark, label)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+__all__ = ["drop", "materialize", "new_folder", "release_shuffles", "small_batches"]
 
 
 @contextmanager
@@ -53,7 +29,7 @@ def drop(df: DataFrame) -> None:
     """Delete the files behind a materialized table that no later plan reads."""
     spark = df.sparkSession
     for name in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        if shared_root(spark).split("://")[-1].lstrip("/") in name:
+        if folder(spark).split("://")[-1].lstrip("/") in name:
             hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(name)
             hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
 

@@ -165,6 +165,25 @@ def test_similar_groups(spark):
     assert {900, 901, 902, None, 0, *range(1000, 1100)} <= set(ids) and 903 not in ids and ids.count(0) == 2
 
 
+def test_pairs_are_found_by_similarity(spark):
+    """Planted pairs at several similarities: nearly all from 0.88 on, most at the limit of 0.8."""
+    rng = np.random.default_rng(6)
+    vocabulary = [f"w{i}" for i in range(5000)]
+    rows, edits = [], (2, 4, 7)  # of 300 words: similarity 0.94, 0.88, 0.8 or so
+    for kind, n in enumerate(edits):
+        for k in range(60):
+            base = rng.choice(vocabulary, 300).tolist()
+            words = list(base)
+            for at in rng.choice(300, n, replace=False):
+                words[at] = f"edit{at}"
+            rows += [(kind * 1000 + 2 * k, " ".join(base)), (kind * 1000 + 2 * k + 1, " ".join(words))]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_groups(table(spark, rows)).collect()}
+    found = [sum(got.get(kind * 1000 + 2 * k + 1) == kind * 1000 + 2 * k for k in range(60)) / 60 for kind in range(3)]
+    print("found by similarity", found)
+    assert found[0] >= 0.97 and found[1] >= 0.9 and found[2] >= 0.5
+    assert all(c // 2 == d // 2 for d, c in got.items())
+
+
 def test_a_large_group_of_near_copies_is_one(spark):
     rng = np.random.default_rng(5)
     base = [f"w{i}" for i in range(200)]
@@ -175,4 +194,4 @@ def test_a_large_group_of_near_copies_is_one(spark):
         rows.append((k, " ".join(words)))
     got = simhash.similar_groups(table(spark, rows)).toPandas()
     assert len(got) == 150 and (got.component_id == 0).all()
-    assert simhash.allowed_bits(0.8, 256) == 44 and simhash.similar_groups(table(spark, [])).count() == 0
+    assert simhash.allowed_bits(0.8, 256) == 44 and simhash.allowed_bits(0.8, 384) == 65 and simhash.similar_groups(table(spark, [])).count() == 0

@@ -74,6 +74,41 @@ def test_quality_held_out_accuracy(spark):
     assert all(zlib.crc32(str(i).encode()) % 5 == 0 for i in ids)
 
 
+def test_prior_from_positives_and_unlabelled():
+    rng = np.random.default_rng(2)
+    for share in (0.2, 0.5, 0.8):
+        good, bad = rng.normal(1, 1, (3000, 4)), rng.normal(-1, 1, (3000, 4))
+        mixed = np.concatenate([good[1000 : 1000 + int(2000 * share)], bad[: int(2000 * (1 - share))]])
+        rng.shuffle(mixed)
+        assert abs(quality.estimate_prior(good[:1000], mixed) - share) < 0.1
+
+
+def test_quality_against_a_plain_implementation(spark):
+    """The risk written out row by row falls to the same place, and scores are the model's formula."""
+    import math
+
+    rng = np.random.default_rng(3)
+    p, u = rng.normal(0.7, 1, (60, 2)), rng.normal(0, 1, (90, 2))
+    model = quality.fit_nnpu(p, u, 0.4, rounds=400, decay=0.0)
+
+    def risk(w, b):
+        z = lambda row: sum(max(-8, min(8, (x - m) / s)) * c for x, m, s, c in zip(row, model.mean, model.scale, w)) + b
+        loss = lambda v: math.log1p(math.exp(-v)) if v > -30 else -v
+        plus = sum(loss(z(r)) for r in p) / len(p)
+        bracket = sum(loss(-z(r)) for r in u) / len(u) - 0.4 * sum(loss(-z(r)) for r in p) / len(p)
+        return 0.4 * plus + max(0.0, bracket)
+
+    best = risk(model.weights, model.bias)
+    for dw in (-0.3, 0.3):
+        assert best <= risk(model.weights + np.array([dw, 0]), model.bias) + 1e-3
+        assert best <= risk(model.weights, model.bias + dw) + 1e-3
+    docs = spark.createDataFrame([(i, "some words here " * i + "!" * (i % 3)) for i in range(20)], "doc_id bigint, text string")
+    own = quality.QualityModel(np.zeros(quality.WIDTH), np.ones(quality.WIDTH), rng.normal(0, 1, quality.WIDTH), 0.3, 0.5)
+    for r in quality.score(docs, own).collect():
+        z = sum(max(-8, min(8, x)) * w for x, w in zip(quality.statistics(r.text.encode()).tolist(), own.weights)) + 0.3
+        assert abs(r.score - 1 / (1 + math.exp(-max(-60, min(60, z))))) < 1e-9
+
+
 def test_quality_risk_is_not_negative_and_edges(spark):
     rng = np.random.default_rng(0)
     good, bad = rng.normal(1, 1, (400, 3)), rng.normal(-1, 1, (400, 3))
@@ -132,6 +167,38 @@ def test_url_model_against_plain_python(spark):
         url_filter.train(url_filter.default_labels(spark), max_rows=10)
 
 
+def plain_probability(url, model):
+    import math
+
+    import xxhash
+
+    host, path = brute_url(url)
+    weights, bias = model
+    total, n = 0.0, 0
+    for tag, text in (("h", f"^{host}$"), ("p", f"{path}$")):
+        for size in url_filter.SIZES:
+            for i in range(len(text) - size + 1):
+                mark = xxhash.xxh64_intdigest(text[i : i + size].encode(), xxhash.xxh64_intdigest(tag.encode(), 42))
+                total += weights[mark % len(weights)]
+                n += 1
+    return 1 / (1 + math.exp(-(bias + total / math.sqrt(max(n, 1)))))
+
+
+def test_url_verdicts_against_plain_python_and_held_out(spark):
+    labels = url_filter.default_labels(spark)
+    held = F.pmod(F.xxhash64("url"), F.lit(5)) == 0
+    model = url_filter.train(labels.where(~held))
+    rest = labels.where(held).withColumn("page_id", F.monotonically_increasing_id())
+    judged = url_filter.judge_urls(rest, model, rules=()).join(rest.select("page_id", "url", "label"), "page_id").toPandas()
+    assert len(judged) > 60 and ((judged.verdict == "block") == (judged.label == 1)).mean() > 0.88
+    for row in judged.itertuples():
+        want = plain_probability(row.url, model)
+        assert abs(row.p_block - want) < 1e-9 and row.verdict == ("block" if want >= 0.5 else "allow")
+    long = spark.createDataFrame([(1, "http://x.example.com/" + "a/b" * 40000)], "page_id bigint, url string")
+    got = url_filter.judge_urls(long, model, rules=()).first()
+    assert abs(got.p_block - plain_probability("http://x.example.com/" + "a/b" * 40000, model)) < 1e-6
+
+
 # search
 @pytest.mark.parametrize("block", [4, 64])
 def test_top_products(spark, block):
@@ -248,6 +315,58 @@ def test_pipeline(spark, sf_dir):
     assert norm.is_unique
 
 
+def written(spark, tmp_path, docs, labels):
+    for name, rows, schema in (("documents", docs, "doc_id bigint, text string, lang string, source string, n_chars bigint, score double, piece_count int"), ("labels", labels, "doc_id bigint, quality int, toxic int")):
+        spark.createDataFrame(rows, schema).write.parquet(str(tmp_path / f"{name}.parquet"))
+    return str(tmp_path)
+
+
+def test_pipeline_on_empty_null_and_clashing_tables(spark, sf_dir, tmp_path):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    assert pipeline.run(spark, written(spark, tmp_path / "none", [], [])).count() == 0
+    rows = [(None, None, None, None, None, None, None), (1, None, "en", "a", 0, 0.5, 1), (2, "", None, "a", 0, 0.5, 1)]
+    text = "The quick brown fox walks along the river and looks for a quiet place to rest before the night comes."
+    rows += [(10, text, "en", "a", 1, 0.1, 1), (11, text.upper(), "en", "a", 1, 0.1, 2), (12, text + " So it does.", "en", "b", 1, 0.1, 3), (12, text + " So it does.", "en", "b", 1, 0.1, 3), (None, text + " Or not at all, as it were, if truth be told.", "en", "b", 1, None, 3)]
+    out = pipeline.run(spark, written(spark, tmp_path / "odd", rows, [(10, 1, 0), (2, 0, 0)])).toPandas()
+    assert list(out.columns) == ["doc_id", "text", "lang", "source", "n_chars", "score", "piece_count", "piece_ids", "n_pieces", "round_trip"]
+    assert out.round_trip.all() and set(out.doc_id.dropna()) <= {10, 11, 12} and len(out)
+
+
+def test_pipeline_against_its_stages_in_plain_python(spark, sf_dir):
+    """Each stage's rows against brute force over its own input."""
+    pipeline = pytest.importorskip("corpus_pipeline")
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    from patternclust.llm import exact_dedup, simhash
+    from patternclust.llm.store import materialize
+
+    model = quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    kept = materialize(pipeline.STAGES[0][1](spark, docs, sf_dir), "t0")
+    want = {r.doc_id for r in docs.collect() if model.scores(quality.statistics((r.text or "").encode())[None, :])[0] >= 0.3}
+    assert {r.doc_id for r in kept.collect()} == want
+    last = {}
+    for r in kept.collect():
+        last[(r.text or "").encode().lower()] = max(last.get((r.text or "").encode().lower(), -1), r.doc_id)
+    alone = materialize(pipeline.STAGES[1][1](spark, kept, sf_dir), "t1")
+    assert {r.doc_id for r in alone.collect()} == set(last.values()) and exact_dedup
+    rows = [(r.doc_id, r.text) for r in alone.collect()]
+
+    def shingles(text):
+        w = (text or "").lower().split()
+        return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+    sets = {k: shingles(t) for k, t in rows}
+    near = materialize(pipeline.STAGES[2][1](spark, alone, sf_dir), "t2")
+    left = {r.doc_id for r in near.collect()}
+    ids = sorted(sets)
+    alike = [(a, b) for i, a in enumerate(ids) for b in ids[i + 1 :] if sets[a] and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    assert sum(b in left and a in left for a, b in alike) <= 0.5 * len(alike)  # pairs at the very limit can be missed
+    for gone in set(ids) - left:  # what went had a near copy
+        assert any(len(sets[gone] & sets[o]) >= 0.6 * len(sets[gone] | sets[o]) for o in ids if o != gone) and simhash
+    mixed = pipeline.STAGES[3][1](spark, near, sf_dir)
+    plan = mixing.mixture(near).toPandas()
+    assert mixed.count() == plan[plan["size"] > 0].copies.sum() and mixed.columns == docs.columns
+
+
 def test_queries_over_whole_tables(spark):
     from patternclust.llm.queries import ORACLES, QUERIES
 
