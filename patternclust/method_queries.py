@@ -59,7 +59,8 @@ def fit_doc_random_start(spark, sf):
 
 @query()
 def fit_dom(spark, sf):
-    return _fit(graphs(spark, sf, "dom"), replace(CORPUS_CONFIG, pre_minsup=0.4, least_minsup=0.1))
+    """Element trees of pages. Patterns end at twelve vertices: among equal siblings the embeddings of larger ones grow without bound."""
+    return _fit(graphs(spark, sf, "dom"), replace(CORPUS_CONFIG, pre_minsup=0.4, least_minsup=0.1, n_candidates=10, pre_candidates=20, max_vertices=12))
 
 
 @query()
