@@ -32,7 +32,7 @@ from .store import materialize
 SEGMENT_BITS = 32
 #: different fingerprints under one table key beyond which pairs are not listed
 CROWDED = 64
-#: fingerprints under one key of the wide tables whose pairs are all verified; more: each against one drawn for the key
+#: fingerprints under one key of the wide tables whose pairs are all verified; more: each against one of them
 FEW = 8
 #: odd multipliers that derive further words of a wide fingerprint from a shingle's hash
 _STRETCH = np.random.Generator(np.random.PCG64(7)).integers(0, 2**63, 16, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -159,12 +159,12 @@ def similar_links(marks: DataFrame, words: list[str], distance: int) -> DataFram
     """Links ``(a, b)`` between the ``node`` of rows of different fingerprints within ``distance`` bits that share a table key.
 
     Balls of radius one on both sides meet where a segment differs in two bits at most. Under a key all pairs of up to
-    ``FEW`` fingerprints are verified; of more, each is verified against one drawn for this key by a hash, another under
-    every key, so that a large group is linked from many sides while candidates stay linear.
+    ``FEW`` fingerprints are verified; of more, each is verified against the first of them in an order by hash, another order in
+    every segment, so that a large group is linked from many sides while candidates stay linear.
     """
     marks = materialize(_spread(marks, marks.count(), len(words) * 2 * (SEGMENT_BITS + 1)), "marks")
     probes = marks.select(F.explode(F.array(*_balls(words))).alias("key"), "node")
-    drawn = F.min(F.struct(F.xxhash64("key", "node").alias("h"), F.col("node").alias("n")))["n"]
+    drawn = F.min(F.struct(F.xxhash64(F.shiftright("key", SEGMENT_BITS), "node").alias("h"), F.col("node").alias("n")))["n"]
     met = materialize(probes.groupBy("key").agg(F.count(F.lit(1)).alias("k"), drawn.alias("drawn")).where("k > 1"), "met")
     held = materialize(probes.join(met, "key"), "held")
     star = held.where(F.col("k") > FEW).select(F.col("drawn").alias("a"), F.col("node").alias("b"))
