@@ -272,3 +272,32 @@ def test_clusters_far_from_merging_in_tasks(spark):
     reps = {c: [Graph.of([f"l{c // 2}", "x", f"r{c // 2}"], [0, 1], [1, 2], "ee")] * 3 for c in range(40)}
     cfg = Config(t_sim=0.9)
     assert separation.cluster_pairs(reps, cfg, None, spark) == separation.cluster_pairs(reps, cfg) == [(c, c + 1) for c in range(0, 40, 2)]
+
+
+def test_fingerprints_lose_no_hit(spark, sf_dir):
+    from patternclust import method_queries  # noqa: F401  registers its queries
+    from patternclust.queries import QUERIES
+
+    native = {r.cluster_id: r for r in QUERIES["fingerprint_filter_power"](spark, sf_dir).collect()}
+    for r in QUERIES["fingerprint_power"](spark, sf_dir).collect():
+        assert r.n_hits == native[r.cluster_id].n_hits <= r.n_candidates <= native[r.cluster_id].n_candidates
+
+
+def test_kernel_kmeans_of_embeddings(spark, sf_dir):
+    """Where it stops, one more step changes nothing (labels say little here: their vectors are near to random)."""
+    from patternclust import method_queries as mq
+
+    e = tables.table(spark, sf_dir, "embeddings")
+    found = {r.graph_id: r.cluster_id for r in mq.kernel_kmeans_embeddings(spark, sf_dir).collect()}
+    rows = e.select("vec_id", "embedding").collect()
+    x, own = np.array([r.embedding for r in rows]), np.array([found[r.vec_id] for r in rows])
+    means = np.stack([x[own == c].mean(axis=0) if (own == c).any() else np.full(64, 9.0) for c in range(10)])
+    again = ((x[:, None, :] - means[None]) ** 2).sum(axis=2).argmin(axis=1)
+    assert len(found) == len(rows) and (again == own).mean() > 0.99
+
+
+def test_what_medoids_do_not_hold_comes_last():
+    dev = np.array([[0.0, 0.0, 1.0, 2.0], [3.0, 0.0, 0.0, 1.0]])
+    present = np.array([[False, False, True, True], [True, False, False, True]])
+    assert [d.tolist() for d in kmedoids.choose_dimensions(dev, 2, present)] == [[2, 3], [0, 3]]
+    assert [d.tolist() for d in kmedoids.choose_dimensions(dev, 2)] == [[0, 1], [1, 2]]
