@@ -110,8 +110,10 @@ def _spread(df: DataFrame, rows: int, each: int) -> DataFrame:
     return df.repartition(max(1, min(1 << 15, -(-rows * each // 1_000_000))))
 
 
-def _balls(words: list[str]) -> list:
-    return [key.bitwiseXOR(F.lit(m).cast("bigint")) for key in _segments(words) for m in _flips(SEGMENT_BITS)]
+def _balls(words: list[str]):
+    """Array of all keys within one bit of a segment's own, as a short expression: some hundred literals in a plan weigh on the driver."""
+    flips = F.array(*[F.lit(m).cast("bigint") for m in _flips(SEGMENT_BITS)])
+    return F.flatten(F.transform(F.array(*_segments(words)), lambda key: F.transform(flips, lambda m: key.bitwiseXOR(m))))
 
 
 def fingerprint_links(marks: DataFrame, distance: int = 2) -> DataFrame:
@@ -121,7 +123,7 @@ def fingerprint_links(marks: DataFrame, distance: int = 2) -> DataFrame:
         raise ValueError("distance must be 0, 1 or 2: balls have radius one in two segments")
     marks = materialize(_spread(marks.select("fp").distinct(), marks.count(), 2 * (SEGMENT_BITS + 1)), "marks")
     entries = marks.select(F.explode(F.array(*_segments(["fp"]))).alias("key"), F.col("fp").alias("held"))
-    probes = marks.select(F.explode(F.array(*_balls(["fp"]))).alias("key"), "fp")
+    probes = marks.select(F.explode(_balls(["fp"])).alias("key"), "fp")
     crowded = materialize(entries.groupBy("key").count().where(F.col("count") > CROWDED).select("key"), "crowded")
     full = not crowded.isEmpty()
     if full:
@@ -163,7 +165,7 @@ def similar_links(marks: DataFrame, words: list[str], distance: int) -> DataFram
     every segment, so that a large group is linked from many sides while candidates stay linear.
     """
     marks = materialize(_spread(marks, marks.count(), len(words) * 2 * (SEGMENT_BITS + 1)), "marks")
-    probes = marks.select(F.explode(F.array(*_balls(words))).alias("key"), "node")
+    probes = marks.select(F.explode(_balls(words)).alias("key"), "node")
     drawn = F.min(F.struct(F.xxhash64(F.shiftright("key", SEGMENT_BITS), "node").alias("h"), F.col("node").alias("n")))["n"]
     met = materialize(probes.groupBy("key").agg(F.count(F.lit(1)).alias("k"), drawn.alias("drawn")).where("k > 1"), "met")
     held = materialize(probes.join(met, "key"), "held")
