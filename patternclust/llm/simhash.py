@@ -32,8 +32,10 @@ from .store import materialize
 SEGMENT_BITS = 32
 #: different fingerprints under one table key beyond which pairs are not listed
 CROWDED = 64
-#: fingerprints under one key of the wide tables whose pairs are all verified; more: each against one of them
+#: fingerprints under one key of the wide tables whose pairs are all listed; of more, only those that one of them does not join are compared
 FEW = 8
+#: fingerprints compared at once with as many others
+BLOCK = 128
 #: odd multipliers that derive further words of a wide fingerprint from a shingle's hash
 _STRETCH = np.random.Generator(np.random.PCG64(7)).integers(0, 2**63, 16, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
@@ -157,12 +159,12 @@ def allowed_bits(similarity: float, bits: int) -> int:
     return int(bits * share + math.sqrt(bits * share * (1 - share)))
 
 
-def similar_links(marks: DataFrame, words: list[str], distance: int) -> DataFrame:
-    """Links ``(a, b)`` between the ``node`` of rows of different fingerprints within ``distance`` bits that share a table key.
+def similar_roots(marks: DataFrame, words: list[str], distance: int) -> DataFrame:
+    """``(node, root)`` of the rows of different fingerprints that chains of links within ``distance`` bits join, where linked rows share a table key.
 
     Balls of radius one on both sides meet where a segment differs in two bits at most. Under a key all pairs of up to
-    ``FEW`` fingerprints are verified; of more, each is verified against the first of them in an order by hash, another order in
-    every segment, so that a large group is linked from many sides while candidates stay linear.
+    ``FEW`` fingerprints are verified; of more, each is first verified against one of them, drawn by hash, which mostly joins
+    a large group at once. What is still apart under such a key is then verified pair by pair (``_links_apart``), so no link is lost.
     """
     marks = materialize(_spread(marks, marks.count(), len(words) * 2 * (SEGMENT_BITS + 1)), "marks")
     probes = marks.select(F.explode(_balls(words)).alias("key"), "node")
@@ -176,7 +178,59 @@ def similar_links(marks: DataFrame, words: list[str], distance: int) -> DataFram
     side = lambda name: marks.select(F.col("node").alias(name), F.array(*words).alias(f"{name}_words"))
     both = pairs.join(side("a"), "a").join(side("b"), "b")
     off = reduce(lambda x, y: x + y, [F.bit_count(F.col("a_words")[k].bitwiseXOR(F.col("b_words")[k])) for k in range(len(words))])
-    return both.where(off <= distance).select("a", "b")
+    roots = materialize(connected_components(both.where(off <= distance).select("a", "b")), "roots")
+    crowd = held.where(F.col("k") > FEW).select("key", "node")
+    apart = materialize(_links_apart(crowd, marks, roots, words, distance), "apart")
+    if apart.isEmpty():
+        return roots
+    joined = materialize(connected_components(apart).select(F.col("node").alias("root"), F.col("root").alias("top")), "joined")
+    lone = joined.join(roots, joined["root"] == roots["node"], "left_anti").select(F.col("root").alias("node"), F.col("top").alias("root"))
+    return roots.join(joined, "root", "left").select("node", F.coalesce("top", "root").alias("root")).unionByName(lone)
+
+
+def _links_apart(crowd: DataFrame, marks: DataFrame, roots: DataFrame, words: list[str], distance: int) -> DataFrame:
+    """Links ``(a, b)`` between the roots of all rows of ``crowd`` that share a key, are not yet joined and lie within ``distance`` bits.
+
+    Keys whose rows are all joined drop out, as do keys that hold the same rows as another. Of the others, rows are dealt into
+    blocks: a joined group of ``BLOCK`` rows or more has its own, what is left shares some. Each pair of blocks is compared at once,
+    but for those of one joined group.
+    """
+    own = crowd.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
+    digest = [F.bit_xor(F.xxhash64("node", F.lit(i))).alias(f"x{i}") for i in range(2)]
+    mixed = own.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("k"), *digest).where("lo != hi")
+    own = materialize(own.join(mixed.groupBy("k", "x0", "x1").agg(F.min("key").alias("key")).select("key"), "key"), "mixed")
+    sizes = own.groupBy("key", "root").agg(F.count(F.lit(1)).alias("n"))
+    sizes = materialize(sizes.withColumn("kind", F.when(F.col("n") >= BLOCK, F.col("root"))), "sizes")
+    kinds = sizes.groupBy("key", "kind").agg(F.ceil(F.sum("n") / BLOCK).alias("blocks")).withColumnsRenamed({"key": "k_key", "kind": "k_kind"})
+    dealt = own.join(sizes.select("key", "root", "kind"), ["key", "root"])
+    dealt = dealt.join(kinds, (F.col("key") == F.col("k_key")) & F.col("kind").eqNullSafe(F.col("k_kind")))
+    dealt = dealt.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks"))).join(marks.select("node", F.array(*words).alias("fp")), "node")
+    blocks = materialize(dealt.groupBy("key", "kind", "block").agg(F.collect_list("root").alias("roots"), F.flatten(F.collect_list("fp")).alias("fps")), "blocks")
+    a, b = blocks.alias("a"), blocks.alias("b")
+    pooled = F.col("b.kind").isNull() & (F.col("a.kind").isNotNull() | (F.col("a.block") <= F.col("b.block")))
+    sides = a.join(b, (F.col("a.key") == F.col("b.key")) & (pooled | (F.col("a.kind") < F.col("b.kind"))))
+    width = len(words)
+
+    def near(batches):
+        for batch in batches:
+            kind, out_a, out_b = batch.column(0).type.value_type, [], []
+            for row in range(batch.num_rows):
+                here, there = batch.column(0)[row].values, batch.column(2)[row].values
+                x, y = (batch.column(c)[row].values.to_numpy().view(np.uint64).reshape(-1, width) for c in (1, 3))
+                names = pa.chunked_array([here, there]).combine_chunks().dictionary_encode()
+                number = names.indices.to_numpy()
+                i, j = number[: len(here)], number[len(here) :]
+                off = sum(np.bitwise_count(x[:, k][:, None] ^ y[:, k][None, :]).astype(np.int64) for k in range(width))
+                p, q = np.nonzero((off <= distance) & (i[:, None] != j[None, :]))
+                if len(p):
+                    ends = np.unique(np.stack([i[p], j[q]]), axis=1)
+                    out_a.append(names.dictionary.take(pa.array(ends[0])))
+                    out_b.append(names.dictionary.take(pa.array(ends[1])))
+            yield pa.RecordBatch.from_arrays([pa.chunked_array(out, kind).combine_chunks() for out in (out_a, out_b)], ["a", "b"])
+
+    kind = roots.schema["root"].dataType.simpleString()
+    found = sides.select("a.roots", "a.fps", F.col("b.roots").alias("b_roots"), F.col("b.fps").alias("b_fps")).mapInArrow(near, f"a {kind}, b {kind}")
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def similar_groups(
@@ -191,7 +245,7 @@ def similar_groups(
     told = docs.where(F.col(id_col).isNotNull() & F.col(text_col).rlike(r"[^\x20\x09-\x0D]"))
     marks = materialize(fingerprints(told, id_col, text_col, width, seed, len(words)), "fingerprints")
     first = materialize(marks.groupBy(*words).agg(F.min("doc_id").alias("node"), F.count(F.lit(1)).alias("n")), "distinct")
-    roots = materialize(connected_components(similar_links(first, words, allowed_bits(similarity, bits))), "roots")
+    roots = materialize(similar_roots(first, words, allowed_bits(similarity, bits)), "near_roots")
     named = materialize(
         first.join(roots, "node", "left").where(F.col("root").isNotNull() | (F.col("n") > 1)).select(*words, F.coalesce("root", "node").alias("component_id")), "named"
     )

@@ -3,6 +3,7 @@
 import hashlib
 
 import numpy as np
+import pytest
 import xxhash
 from pyspark.sql import functions as F
 
@@ -195,3 +196,23 @@ def test_a_large_group_of_near_copies_is_one(spark):
     got = simhash.similar_groups(table(spark, rows)).toPandas()
     assert len(got) == 150 and (got.component_id == 0).all()
     assert simhash.allowed_bits(0.8, 256) == 44 and simhash.allowed_bits(0.8, 384) == 65 and simhash.similar_groups(table(spark, [])).count() == 0
+
+
+@pytest.mark.parametrize("n_pairs", [5, 30, 200])
+def test_no_link_is_lost_under_a_crowded_key(spark, n_pairs):
+    """Pairs whose only common segment is one that all share: each is found, whoever is drawn."""
+    rng, rows, names = np.random.default_rng(3), [], ["fp", *(f"fp{k}" for k in range(1, 6))]
+    for i in range(n_pairs):
+        one = rng.integers(0, 1 << 32, 12, dtype=np.uint64)
+        one[0] = 77
+        two = one ^ np.uint64(0b10101)
+        two[0] = 77
+        rows += [(2 * i + j, *((x[0::2] | (x[1::2] << np.uint64(32))).view(np.int64).tolist())) for j, x in enumerate((one, two))]
+    near = [one] * 300 if n_pairs == 200 else []  # and a large group that is joined at once
+    for i, x in enumerate(near):
+        y = x.copy()
+        y[1 + i % 11] ^= np.uint64(1 << (i // 11))
+        rows.append((1000 + i, *((y[0::2] | (y[1::2] << np.uint64(32))).view(np.int64).tolist())))
+    marks = spark.createDataFrame(rows, "node bigint, " + ", ".join(f"{x} bigint" for x in names))
+    found = {r["node"]: r["root"] for r in simhash.similar_roots(marks, names, 65).collect()}
+    assert found == {r[0]: 2 * n_pairs - 2 if r[0] >= 1000 else r[0] // 2 * 2 for r in rows}
