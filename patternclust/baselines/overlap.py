@@ -6,6 +6,8 @@ with its core a connected substructure of the least size, the core shrinking to
 
 from __future__ import annotations
 
+from collections import Counter
+
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -14,10 +16,16 @@ from ..functions.iso import Host, Pattern, embeddings
 from ..model import Graph
 
 
-def common_core(core: Graph, g: Graph, least: int, steps: int = 400) -> Graph | None:
-    """A large connected part of ``core`` that ``g`` contains, of at least ``least`` vertices; greedy from several starts."""
-    host = Host(g)
-    p = Pattern(core)
+def common_core(core: Graph, g: Graph, least: int, steps: int = 400, host: Host | None = None, p: Pattern | None = None) -> Graph | None:
+    """A large connected part of ``core`` that ``g`` contains, of at least ``least`` vertices; greedy from several starts.
+
+    ``host`` and ``p`` are the two graphs unpacked, where they are at hand. Without enough labels in common no start is tried.
+    """
+    host = host or Host(g)
+    shared = sum(min(n, len(host.by_label.get(x, ()))) for x, n in Counter(core.labels).items())
+    if shared < min(least, len(core.labels)):
+        return None
+    p = p or Pattern(core)
     if host.may_contain(p) and next(embeddings(host, p, None), None) is not None:
         return core
     best: dict[int, int] = {}
@@ -53,6 +61,21 @@ def common_core(core: Graph, g: Graph, least: int, steps: int = 400) -> Graph |
     return out
 
 
+def join(cores: list[tuple[Graph, Pattern]], g: Graph, least: int) -> list[int]:
+    """Numbers of the clusters that ``g`` joins, whose cores shrink; of a new one, if none."""
+    host, own = Host(g), []
+    for i, (held, p) in enumerate(cores):
+        core = common_core(held, g, least, host=host, p=p)
+        if core is not None:
+            if core is not held:
+                cores[i] = (core, Pattern(core))
+            own.append(i)
+    if not own:
+        cores.append((g, Pattern(g)))
+        own.append(len(cores) - 1)
+    return own
+
+
 def fit(graphs: DataFrame, min_common: int, granularity: float = 0.2, buckets: int = 64) -> DataFrame:
     """``(graph_id, cluster)`` memberships, several a graph. ``granularity``: tenths of it are the most frequent length-1 paths that
     part graphs, 0 for none.
@@ -75,17 +98,7 @@ def fit(graphs: DataFrame, min_common: int, granularity: float = 0.2, buckets: i
             for bucket, key, vl, eu, ew, el in zip(*(batch.column(c).to_pylist() for c in ("bucket", "graph_id", "vl", "eu", "ew", "el")), strict=True):
                 if bucket != name:
                     name, cores = bucket, []
-                g = Graph.of(vl, eu, ew, el)
-                joined = False
-                for i, held in enumerate(cores):
-                    core = common_core(held, g, min_common)
-                    if core is not None:
-                        cores[i] = core
-                        rows.append((key, f"{name}-{i}"))
-                        joined = True
-                if not joined:
-                    cores.append(g)
-                    rows.append((key, f"{name}-{len(cores) - 1}"))
+                rows += [(key, f"{name}-{i}") for i in join(cores, Graph.of(vl, eu, ew, el), min_common)]
             yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in rows], pa.int64()), pa.array([c for _, c in rows], pa.string())], ["graph_id", "cluster"])
 
     return keyed.repartition("bucket").sortWithinPartitions("bucket", "graph_id").mapInArrow(grown, "graph_id bigint, cluster string")
