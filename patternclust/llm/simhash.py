@@ -188,6 +188,12 @@ def similar_roots(marks: DataFrame, words: list[str], distance: int) -> DataFram
     return roots.join(joined, "root", "left").select("node", F.coalesce("top", "root").alias("root")).unionByName(lone)
 
 
+def _rooted(crowd: DataFrame, roots: DataFrame) -> DataFrame:
+    """``(node, keys, root)``, a row for each node of ``crowd``: roots are looked up once a node, not once for each of its keys (12 balls of 33 at most)."""
+    own = crowd.groupBy("node").agg(F.collect_list("key").alias("keys")).join(roots, "node", "left")
+    return own.select("node", "keys", F.coalesce("root", "node").alias("root"))
+
+
 def _links_apart(crowd: DataFrame, marks: DataFrame, roots: DataFrame, words: list[str], distance: int) -> DataFrame:
     """Links ``(a, b)`` between the roots of all rows of ``crowd`` that share a key, are not yet joined and lie within ``distance`` bits.
 
@@ -195,7 +201,7 @@ def _links_apart(crowd: DataFrame, marks: DataFrame, roots: DataFrame, words: li
     blocks: a joined group of ``BLOCK`` rows or more has its own, what is left shares some. Each pair of blocks is compared at once,
     but for those of one joined group.
     """
-    own = crowd.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
+    own = materialize(_rooted(crowd, roots).select(F.explode("keys").alias("key"), "node", "root"), "rooted")
     digest = [F.bit_xor(F.xxhash64("node", F.lit(i))).alias(f"x{i}") for i in range(2)]
     mixed = own.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("k"), *digest).where("lo != hi")
     own = materialize(own.join(mixed.groupBy("k", "x0", "x1").agg(F.min("key").alias("key")).select("key"), "key"), "mixed")

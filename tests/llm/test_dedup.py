@@ -216,3 +216,11 @@ def test_no_link_is_lost_under_a_crowded_key(spark, n_pairs):
     marks = spark.createDataFrame(rows, "node bigint, " + ", ".join(f"{x} bigint" for x in names))
     found = {r["node"]: r["root"] for r in simhash.similar_roots(marks, names, 65).collect()}
     assert found == {r[0]: 2 * n_pairs - 2 if r[0] >= 1000 else r[0] // 2 * 2 for r in rows}
+
+
+def test_roots_are_looked_up_once_a_node(spark):
+    crowd = spark.createDataFrame([(key, node) for key in range(40) for node in range(30)], "key bigint, node bigint")
+    roots = spark.createDataFrame([(n, n % 3) for n in range(20)], "node bigint, root bigint")
+    got = simhash._rooted(crowd, roots).collect()
+    assert len(got) == 30  # not 1,200, one for each key of a node
+    assert all(sorted(r["keys"]) == list(range(40)) and r["root"] == (r["node"] % 3 if r["node"] < 20 else r["node"]) for r in got)
