@@ -11,7 +11,7 @@ fingerprint with no bit or one bit flipped. Two fingerprints are within two bits
 word, and a word is met by at most 65 different fingerprints whatever the data, so links stay linear.
 
 ``similar_groups`` is for wider distances, five-word shingles and a similarity of 0.8 or more: fingerprints of 384 bits,
-twelve segments, balls of radius one on both sides (so that two bits of a segment may differ), complete distances verified.
+twelve segments, balls of radius one on both sides (so that two bits of a segment may differ) around its different values, complete distances verified.
 That finds a pair with a chance that grows with its similarity: by the binomial law of the bits some 0.7 at 0.8, 0.9 at 0.85, 0.99 at 0.9.
 """
 
@@ -23,7 +23,7 @@ from functools import reduce
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .components import connected_components
@@ -32,8 +32,8 @@ from .store import materialize
 SEGMENT_BITS = 32
 #: different fingerprints under one table key beyond which pairs are not listed
 CROWDED = 64
-#: fingerprints under one key of the wide tables whose pairs are all listed; of more, only those that one of them does not join are compared
-FEW = 8
+#: parts that the segments of a wide fingerprint are taken in
+TURNS = 3
 #: fingerprints compared at once with as many others
 BLOCK = 128
 #: odd multipliers that derive further words of a wide fingerprint from a shingle's hash
@@ -159,33 +159,69 @@ def allowed_bits(similarity: float, bits: int) -> int:
     return int(bits * share + math.sqrt(bits * share * (1 - share)))
 
 
-def similar_roots(marks: DataFrame, words: list[str], distance: int) -> DataFrame:
-    """``(node, root)`` of the rows of different fingerprints that chains of links within ``distance`` bits join, where linked rows share a table key.
-
-    Balls of radius one on both sides meet where a segment differs in two bits at most. Under a key all pairs of up to
-    ``FEW`` fingerprints are verified; of more, each is first verified against one of them, drawn by hash, which mostly joins
-    a large group at once. What is still apart under such a key is then verified pair by pair (``_links_apart``), so no link is lost.
-    """
-    marks = materialize(_spread(marks, marks.count(), len(words) * 2 * (SEGMENT_BITS + 1)), "marks")
-    probes = marks.select(F.explode(_balls(words)).alias("key"), "node")
-    drawn = F.min(F.struct(F.xxhash64(F.shiftright("key", SEGMENT_BITS), "node").alias("h"), F.col("node").alias("n")))["n"]
-    met = materialize(probes.groupBy("key").agg(F.count(F.lit(1)).alias("k"), drawn.alias("drawn")).where("k > 1"), "met")
-    held = materialize(probes.join(met, "key"), "held")
-    star = held.where(F.col("k") > FEW).select(F.col("drawn").alias("a"), F.col("node").alias("b"))
-    few = held.where(F.col("k") <= FEW).groupBy("key").agg(F.array_sort(F.collect_list("node")).alias("all"))
-    pairs = few.select(F.posexplode("all").alias("i", "a"), "all").select("a", F.explode(F.slice("all", F.col("i") + 2, F.size("all"))).alias("b"))
-    pairs = star.unionByName(pairs).where(F.col("a") != F.col("b")).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+def _verified(pairs: DataFrame, marks: DataFrame, words: list[str], distance: int) -> DataFrame:
+    """The rows of ``pairs`` whose nodes ``a`` and ``b`` lie within ``distance`` bits, complete fingerprints compared."""
     side = lambda name: marks.select(F.col("node").alias(name), F.array(*words).alias(f"{name}_words"))
-    both = pairs.join(side("a"), "a").join(side("b"), "b")
     off = reduce(lambda x, y: x + y, [F.bit_count(F.col("a_words")[k].bitwiseXOR(F.col("b_words")[k])) for k in range(len(words))])
-    roots = materialize(connected_components(both.where(off <= distance).select("a", "b")), "roots")
-    crowd = held.where(F.col("k") > FEW).select("key", "node")
-    apart = materialize(_links_apart(crowd, marks, roots, words, distance), "apart")
-    if apart.isEmpty():
-        return roots
-    joined = materialize(connected_components(apart).select(F.col("node").alias("root"), F.col("root").alias("top")), "joined")
+    return pairs.join(side("a"), "a").join(side("b"), "b").where(off <= distance).select(*pairs.columns)
+
+
+def _onwards(roots: DataFrame, links: DataFrame) -> DataFrame:
+    """``(node, root)`` of groups that ``links`` between their roots (or rows of no group) join further."""
+    joined = materialize(connected_components(links).select(F.col("node").alias("root"), F.col("root").alias("top")), "joined")
     lone = joined.join(roots, joined["root"] == roots["node"], "left_anti").select(F.col("root").alias("node"), F.col("top").alias("root"))
-    return roots.join(joined, "root", "left").select("node", F.coalesce("top", "root").alias("root")).unionByName(lone)
+    return materialize(roots.join(joined, "root", "left").select("node", F.coalesce("top", "root").alias("root")).unionByName(lone), "onwards")
+
+
+def _near_values(values: DataFrame) -> DataFrame:
+    """Pairs ``(a, b)``, once each, of the different ``key`` of ``values(key, lo, hi)`` within two bits of a segment, but for words met by
+    one root only. Under a word only the bits flipped on the way to it are summed up, which say whose balls meet there: at most 33, whatever
+    the data, and nothing is fetched again."""
+    flips = F.array(*[F.lit(m).cast("bigint") for m in _flips(SEGMENT_BITS)])
+    probes = values.select("key", "lo", "hi", F.posexplode(flips).alias("i", "m"))
+    probes = probes.select(F.col("key").bitwiseXOR(F.col("m")).alias("word"), F.expr("shiftleft(1L, i)").alias("bit"), "lo", "hi")
+    met = probes.groupBy("word").agg(F.bit_or("bit").alias("mask"), F.min("lo").alias("lo"), F.max("hi").alias("hi")).where((F.bit_count("mask") > 1) & (F.col("lo") != F.col("hi")))
+    held = met.withColumn("flips", flips).select(F.expr("array_compact(transform(flips, (m, i) -> if(getbit(mask, i) = 1, word ^ m, null)))").alias("all"))
+    pairs = held.select(F.posexplode("all").alias("i", "a"), "all").select("a", F.explode(F.slice("all", F.col("i") + 2, F.size("all"))).alias("b"))
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def similar_roots(marks: DataFrame, words: list[str], distance: int) -> DataFrame:
+    """``(node, root)`` of the rows of different fingerprints that chains of links within ``distance`` bits join, where linked rows have segments within two bits.
+
+    Balls of radius one are those of the different values of a segment, not of its rows, so rows of one value do not come back
+    under each of its 33 keys. One row of each value, drawn by hash, is verified against the others of its value and against those drawn for the values
+    near it. Segments are taken some at a time, and values whose rows the earlier ones have joined are not met again. What is still apart
+    within a value or between two near ones is then verified pair by pair (``_links_apart``), so no link is lost.
+    """
+    n, segments = marks.count(), range(2 * len(words))
+    marks = materialize(_spread(marks, n, len(segments) * (SEGMENT_BITS + 1)), "marks")
+    by_key, ordered = Window.partitionBy("key"), (F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    drawn = F.min(F.struct(F.xxhash64(F.shiftright("key", SEGMENT_BITS), "node").alias("h"), F.col("node").alias("n"))).over(by_key)["n"]
+    facts = [drawn.alias("drawn"), F.count(F.lit(1)).over(by_key).alias("k"), F.min("root").over(by_key).alias("lo"), F.max("root").over(by_key).alias("hi")]
+    roots, crowd, wide = None, [], []
+    for turn in range(TURNS):
+        keys = [_segments(words)[i] for i in segments[turn::TURNS]]
+        rooted = marks.withColumn("root", F.col("node")) if roots is None else marks.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        own = rooted.select(F.explode(F.array(*keys)).alias("key"), "node", "root")
+        own = materialize(own.select("key", "node", *facts), "values")
+        heads = own.where("drawn = node").drop("drawn")
+        edges = _near_values(_spread(heads.select("key", "lo", "hi"), n, len(keys) * (SEGMENT_BITS + 1)))
+        side = lambda x: heads.select(*(F.col(c).alias(x if c == "key" else f"{x}_{c}") for c in heads.columns))  # noqa: E731, B023
+        edges = edges.join(side("a"), "a").join(side("b"), "b").where(F.least("a_lo", "b_lo") != F.greatest("a_hi", "b_hi"))
+        edges = materialize(edges.select("a", "b", "a_node", "b_node", (F.col("a_k") + F.col("b_k")).alias("k")), "edges")
+        stars = own.where("drawn != node and lo != hi").select(F.col("drawn").alias("a"), F.col("node").alias("b"))
+        pairs = stars.unionByName(edges.select(F.col("a_node").alias("a"), F.col("b_node").alias("b"))).where("a != b").select(*ordered).distinct()
+        links = _verified(pairs, marks, words, distance)
+        links = links if roots is None else links.unionByName(roots.select(F.col("root").alias("a"), F.col("node").alias("b")))
+        roots = materialize(connected_components(links), "roots")
+        crowd.append(own.select("key", "node"))
+        wide += [edges.where("k > 2").select("a", "b"), heads.where("k > 2 and lo != hi").select(F.col("key").alias("a"), F.col("key").alias("b"))]
+    wide = materialize(reduce(DataFrame.unionByName, wide), "wide")
+    named = wide.select(F.col("a").alias("key")).unionByName(wide.select(F.col("b").alias("key"))).distinct()
+    crowd = reduce(DataFrame.unionByName, crowd).join(named, "key", "left_semi")
+    apart = materialize(_links_apart(crowd, wide, marks, roots, words, distance), "apart")
+    return roots if apart.isEmpty() else _onwards(roots, apart)
 
 
 def _rooted(crowd: DataFrame, roots: DataFrame) -> DataFrame:
@@ -194,17 +230,24 @@ def _rooted(crowd: DataFrame, roots: DataFrame) -> DataFrame:
     return own.select("node", "keys", F.coalesce("root", "node").alias("root"))
 
 
-def _links_apart(crowd: DataFrame, marks: DataFrame, roots: DataFrame, words: list[str], distance: int) -> DataFrame:
-    """Links ``(a, b)`` between the roots of all rows of ``crowd`` that share a key, are not yet joined and lie within ``distance`` bits.
+def _links_apart(crowd: DataFrame, edges: DataFrame, marks: DataFrame, roots: DataFrame, words: list[str], distance: int) -> DataFrame:
+    """Links ``(a, b)`` between the roots of all rows of ``crowd`` whose keys an edge ``(a, b)`` joins (one key with itself, or two), that are not yet
+    joined and lie within ``distance`` bits.
 
-    Keys whose rows are all joined drop out, as do keys that hold the same rows as another. Of the others, rows are dealt into
+    Edges whose rows are all joined drop out, and keys that hold the same rows count as one. Rows of the others are dealt into
     blocks: a joined group of ``BLOCK`` rows or more has its own, what is left shares some. Each pair of blocks is compared at once,
     but for those of one joined group.
     """
     own = materialize(_rooted(crowd, roots).select(F.explode("keys").alias("key"), "node", "root"), "rooted")
     digest = [F.bit_xor(F.xxhash64("node", F.lit(i))).alias(f"x{i}") for i in range(2)]
-    mixed = own.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("k"), *digest).where("lo != hi")
-    own = materialize(own.join(mixed.groupBy("k", "x0", "x1").agg(F.min("key").alias("key")).select("key"), "key"), "mixed")
+    spans = own.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("k"), *digest)
+    spans = materialize(spans.withColumn("same", F.min("key").over(Window.partitionBy("k", "x0", "x1"))).select("key", "lo", "hi", "same"), "spans")
+    end = lambda x: spans.select(F.col("key").alias(x), *(F.col(c).alias(f"{x}_{c}") for c in ("lo", "hi", "same")))
+    open_ = edges.join(end("a"), "a").join(end("b"), "b").where(F.least("a_lo", "b_lo") != F.greatest("a_hi", "b_hi"))
+    open_ = open_.select(F.least("a_same", "b_same").alias("a_key"), F.greatest("a_same", "b_same").alias("b_key")).distinct()
+    open_ = materialize(open_, "open")
+    named = open_.select(F.col("a_key").alias("key")).unionByName(open_.select(F.col("b_key").alias("key"))).distinct()
+    own = materialize(own.join(named, "key", "left_semi"), "mixed")
     sizes = own.groupBy("key", "root").agg(F.count(F.lit(1)).alias("n"))
     sizes = materialize(sizes.withColumn("kind", F.when(F.col("n") >= BLOCK, F.col("root"))), "sizes")
     kinds = sizes.groupBy("key", "kind").agg(F.ceil(F.sum("n") / BLOCK).alias("blocks")).withColumnsRenamed({"key": "k_key", "kind": "k_kind"})
@@ -214,7 +257,9 @@ def _links_apart(crowd: DataFrame, marks: DataFrame, roots: DataFrame, words: li
     blocks = materialize(dealt.groupBy("key", "kind", "block").agg(F.collect_list("root").alias("roots"), F.flatten(F.collect_list("fp")).alias("fps")), "blocks")
     a, b = blocks.alias("a"), blocks.alias("b")
     pooled = F.col("b.kind").isNull() & (F.col("a.kind").isNotNull() | (F.col("a.block") <= F.col("b.block")))
-    sides = a.join(b, (F.col("a.key") == F.col("b.key")) & (pooled | (F.col("a.kind") < F.col("b.kind"))))
+    once = F.when(F.col("a.key") == F.col("b.key"), F.coalesce(pooled | (F.col("a.kind") < F.col("b.kind")), F.lit(False)))
+    sides = open_.join(a, F.col("a_key") == F.col("a.key")).join(b, F.col("b_key") == F.col("b.key"))
+    sides = sides.where(once.otherwise(F.coalesce(F.col("a.kind") != F.col("b.kind"), F.lit(True))))
     width = len(words)
 
     def near(batches):

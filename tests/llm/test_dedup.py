@@ -224,3 +224,25 @@ def test_roots_are_looked_up_once_a_node(spark):
     got = simhash._rooted(crowd, roots).collect()
     assert len(got) == 30  # not 1,200, one for each key of a node
     assert all(sorted(r["keys"]) == list(range(40)) and r["root"] == (r["node"] % 3 if r["node"] < 20 else r["node"]) for r in got)
+
+
+def test_a_near_group_does_not_come_back_under_each_shared_key(spark, monkeypatch):
+    """300 rows of one group that share some 300 table keys: no table between steps grows with both."""
+    names, rows, counts = ["fp", *(f"fp{k}" for k in range(1, 6))], [], {}
+    base = np.random.default_rng(8).integers(0, 1 << 32, 12, dtype=np.uint64)
+    for i in range(300):
+        x = base.copy()
+        x[i % 12] ^= np.uint64(1 << (i // 12))
+        rows.append((i, *((x[0::2] | (x[1::2] << np.uint64(32))).view(np.int64).tolist())))
+    marks = spark.createDataFrame(rows, "node bigint, " + ", ".join(f"{x} bigint" for x in names))
+    kept = simhash.materialize
+
+    def counted(df, label):
+        out = kept(df, label)
+        counts[label] = max(counts.get(label, 0), out.count())
+        return out
+
+    monkeypatch.setattr(simhash, "materialize", counted)
+    found = {r["node"]: r["root"] for r in simhash.similar_roots(marks, names, 65).collect()}
+    assert found == dict.fromkeys(range(300), 0)
+    assert max(counts.values()) <= 12 * 300, counts
