@@ -173,54 +173,67 @@ def _onwards(roots: DataFrame, links: DataFrame) -> DataFrame:
     return materialize(roots.join(joined, "root", "left").select("node", F.coalesce("top", "root").alias("root")).unionByName(lone), "onwards")
 
 
-def _near_values(values: DataFrame) -> DataFrame:
-    """Pairs ``(a, b)``, once each, of the different ``key`` of ``values(key, lo, hi)`` within two bits of a segment, but for words met by
-    one root only. Under a word only the bits flipped on the way to it are summed up, which say whose balls meet there: at most 33, whatever
-    the data, and nothing is fetched again."""
+def _met_values(values: DataFrame) -> DataFrame:
+    """``(word, key, to, to_k)``: the different ``key`` of ``values(key, k, lo, hi)`` under each word that balls of several meet at, but for words met by one
+    root only. Under a word only the bits flipped on the way to it are summed up, which say whose balls meet there: at most 33, whatever the data, and
+    nothing is fetched again. Two values within two bits meet at two words; the smaller one (``_counts_here``) has them. ``to`` is the value at
+    a word that most rows (``to_k``) hold."""
     flips = F.array(*[F.lit(m).cast("bigint") for m in _flips(SEGMENT_BITS)])
-    probes = values.select("key", "lo", "hi", F.posexplode(flips).alias("i", "m"))
-    probes = probes.select(F.col("key").bitwiseXOR(F.col("m")).alias("word"), F.expr("shiftleft(1L, i)").alias("bit"), "lo", "hi")
-    met = probes.groupBy("word").agg(F.bit_or("bit").alias("mask"), F.min("lo").alias("lo"), F.max("hi").alias("hi")).where((F.bit_count("mask") > 1) & (F.col("lo") != F.col("hi")))
-    held = met.withColumn("flips", flips).select(F.expr("array_compact(transform(flips, (m, i) -> if(getbit(mask, i) = 1, word ^ m, null)))").alias("all"))
-    pairs = held.select(F.posexplode("all").alias("i", "a"), "all").select("a", F.explode(F.slice("all", F.col("i") + 2, F.size("all"))).alias("b"))
-    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    probes = values.select("key", "k", "lo", "hi", F.posexplode(flips).alias("i", "m"))
+    most = F.shiftleft("k", 6).bitwiseOR(F.col("i").cast("bigint"))
+    probes = probes.select(F.col("key").bitwiseXOR(F.col("m")).alias("word"), F.expr("shiftleft(1L, i)").alias("bit"), most.alias("most"), "lo", "hi")
+    met = probes.groupBy("word").agg(F.bit_or("bit").alias("mask"), F.max("most").alias("most"), F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+    met = met.where((F.bit_count("mask") > 1) & (F.col("lo") != F.col("hi"))).withColumn("flips", flips)
+    back = F.expr("array_compact(transform(flips, (m, i) -> if(getbit(mask, i) = 1, word ^ m, null)))")
+    met = met.select("word", "most", back.alias("near"), F.expr("word ^ flips[int(most & 63)]").alias("to"))
+    own = F.filter("near", lambda x: F.exists("near", lambda y: (x != y) & _counts_here(x, y)))
+    return met.select("word", F.explode(own).alias("key"), "to", F.shiftright("most", 6).alias("to_k"))
+
+
+def _counts_here(x, y):
+    """Of the two words at which values ``x`` and ``y`` meet, whether ``word`` is the smaller: the other one is their difference away."""
+    return F.col("word") < x.bitwiseXOR(y).bitwiseXOR(F.col("word"))
+
+
+def _one_each(met: DataFrame) -> DataFrame:
+    """``(key, to)``: one link for each value of ``met``, to the one near it that most rows hold; none for those that hold the most."""
+    best = met.groupBy("key").agg(F.max(F.struct("to_k", F.xxhash64("to").alias("h"), "to"))["to"].alias("to"))
+    return best.where("key != to")
 
 
 def similar_roots(marks: DataFrame, words: list[str], distance: int) -> DataFrame:
     """``(node, root)`` of the rows of different fingerprints that chains of links within ``distance`` bits join, where linked rows have segments within two bits.
 
     Balls of radius one are those of the different values of a segment, not of its rows, so rows of one value do not come back
-    under each of its 33 keys. One row of each value, drawn by hash, is verified against the others of its value and against those drawn for the values
-    near it. Segments are taken some at a time, and values whose rows the earlier ones have joined are not met again. What is still apart
-    within a value or between two near ones is then verified pair by pair (``_links_apart``), so no link is lost.
+    under each of its 33 keys. One row of each value, drawn by hash, is verified against the others of its value and against the one drawn for one value near it,
+    so a value or a row of it makes one pair, however many lie near it. Segments are taken some at a time, and values whose rows the earlier ones have joined are
+    not met again. What is still apart within a value or between two near ones is then verified pair by pair (``_links_apart``), so no link is lost.
     """
     n, segments = marks.count(), range(2 * len(words))
     marks = materialize(_spread(marks, n, len(segments) * (SEGMENT_BITS + 1)), "marks")
     by_key, ordered = Window.partitionBy("key"), (F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     drawn = F.min(F.struct(F.xxhash64(F.shiftright("key", SEGMENT_BITS), "node").alias("h"), F.col("node").alias("n"))).over(by_key)["n"]
     facts = [drawn.alias("drawn"), F.count(F.lit(1)).over(by_key).alias("k"), F.min("root").over(by_key).alias("lo"), F.max("root").over(by_key).alias("hi")]
-    roots, crowd, wide = None, [], []
+    roots, crowd, met = None, [], []
     for turn in range(TURNS):
         keys = [_segments(words)[i] for i in segments[turn::TURNS]]
         rooted = marks.withColumn("root", F.col("node")) if roots is None else marks.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
         own = rooted.select(F.explode(F.array(*keys)).alias("key"), "node", "root")
         own = materialize(own.select("key", "node", *facts), "values")
-        heads = own.where("drawn = node").drop("drawn")
-        edges = _near_values(_spread(heads.select("key", "lo", "hi"), n, len(keys) * (SEGMENT_BITS + 1)))
-        side = lambda x: heads.select(*(F.col(c).alias(x if c == "key" else f"{x}_{c}") for c in heads.columns))  # noqa: E731, B023
-        edges = edges.join(side("a"), "a").join(side("b"), "b").where(F.least("a_lo", "b_lo") != F.greatest("a_hi", "b_hi"))
-        edges = materialize(edges.select("a", "b", "a_node", "b_node", (F.col("a_k") + F.col("b_k")).alias("k")), "edges")
+        heads = own.where("drawn = node")
+        near = materialize(_met_values(_spread(heads.select("key", "k", "lo", "hi"), n, len(keys) * (SEGMENT_BITS + 1))), "met")
+        head = heads.select(F.col("key").alias("to"), F.col("node").alias("b"))
+        edges = _one_each(near).join(heads.select("key", F.col("node").alias("a")), "key").join(head, "to").select("a", "b")
         stars = own.where("drawn != node and lo != hi").select(F.col("drawn").alias("a"), F.col("node").alias("b"))
-        pairs = stars.unionByName(edges.select(F.col("a_node").alias("a"), F.col("b_node").alias("b"))).where("a != b").select(*ordered).distinct()
+        pairs = stars.unionByName(edges).where("a != b").select(*ordered).distinct()
         links = _verified(pairs, marks, words, distance)
         links = links if roots is None else links.unionByName(roots.select(F.col("root").alias("a"), F.col("node").alias("b")))
         roots = materialize(connected_components(links), "roots")
-        crowd.append(own.select("key", "node"))
-        wide += [edges.where("k > 2").select("a", "b"), heads.where("k > 2 and lo != hi").select(F.col("key").alias("a"), F.col("key").alias("b"))]
-    wide = materialize(reduce(DataFrame.unionByName, wide), "wide")
-    named = wide.select(F.col("a").alias("key")).unionByName(wide.select(F.col("b").alias("key"))).distinct()
-    crowd = reduce(DataFrame.unionByName, crowd).join(named, "key", "left_semi")
-    apart = materialize(_links_apart(crowd, wide, marks, roots, words, distance), "apart")
+        named = near.select("key").unionByName(heads.where("k > 2 and lo != hi").select("key")).distinct()
+        crowd.append(own.select("key", "node").join(named, "key", "left_semi"))
+        met.append(near.select("word", "key"))
+    crowd, met = reduce(DataFrame.unionByName, crowd), reduce(DataFrame.unionByName, met)
+    apart = materialize(_links_apart(crowd, met, marks, roots, words, distance), "apart")
     return roots if apart.isEmpty() else _onwards(roots, apart)
 
 
@@ -230,22 +243,32 @@ def _rooted(crowd: DataFrame, roots: DataFrame) -> DataFrame:
     return own.select("node", "keys", F.coalesce("root", "node").alias("root"))
 
 
-def _links_apart(crowd: DataFrame, edges: DataFrame, marks: DataFrame, roots: DataFrame, words: list[str], distance: int) -> DataFrame:
-    """Links ``(a, b)`` between the roots of all rows of ``crowd`` whose keys an edge ``(a, b)`` joins (one key with itself, or two), that are not yet
+def _links_apart(crowd: DataFrame, met: DataFrame, marks: DataFrame, roots: DataFrame, words: list[str], distance: int) -> DataFrame:
+    """Links ``(a, b)`` between the roots of all rows of ``crowd`` that share a key, or whose keys meet at a word of ``met``, that are not yet
     joined and lie within ``distance`` bits.
 
-    Edges whose rows are all joined drop out, and keys that hold the same rows count as one. Rows of the others are dealt into
-    blocks: a joined group of ``BLOCK`` rows or more has its own, what is left shares some. Each pair of blocks is compared at once,
-    but for those of one joined group.
+    Words whose rows are all joined drop out before their keys are paired, and keys that hold the same rows count as one. Two keys of a row each
+    are a pair to verify. Rows of the others are dealt into blocks: a joined group of ``BLOCK`` rows or more has its own, what is left
+    shares some. Each pair of blocks is compared at once, but for those of one joined group.
     """
     own = materialize(_rooted(crowd, roots).select(F.explode("keys").alias("key"), "node", "root"), "rooted")
     digest = [F.bit_xor(F.xxhash64("node", F.lit(i))).alias(f"x{i}") for i in range(2)]
-    spans = own.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("k"), *digest)
-    spans = materialize(spans.withColumn("same", F.min("key").over(Window.partitionBy("k", "x0", "x1"))).select("key", "lo", "hi", "same"), "spans")
-    end = lambda x: spans.select(F.col("key").alias(x), *(F.col(c).alias(f"{x}_{c}") for c in ("lo", "hi", "same")))
-    open_ = edges.join(end("a"), "a").join(end("b"), "b").where(F.least("a_lo", "b_lo") != F.greatest("a_hi", "b_hi"))
-    open_ = open_.select(F.least("a_same", "b_same").alias("a_key"), F.greatest("a_same", "b_same").alias("b_key")).distinct()
-    open_ = materialize(open_, "open")
+    spans = own.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("k"), F.min("node").alias("first"), *digest)
+    spans = materialize(spans.withColumn("same", F.min("key").over(Window.partitionBy("k", "x0", "x1"))).select("key", "lo", "hi", "k", "first", "same"), "spans")
+    facts = F.struct("lo", "hi", "k", "first", "same")
+    held = met.join(spans, "key").groupBy("word").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.collect_list(F.struct("key", facts.alias("at"))).alias("near"))
+    held = held.where("lo != hi").select("word", F.posexplode("near").alias("i", "x"), "near")  # 33 under a word at most
+    later = F.filter(F.slice("near", F.col("i") + 2, F.size("near")), lambda y: _counts_here(F.col("x.key"), y["key"]))
+    pairs = held.select(F.col("x.at").alias("a"), F.explode(F.transform(later, lambda y: y["at"])).alias("b"))
+    pairs = pairs.where(F.least("a.lo", "b.lo") != F.greatest("a.hi", "b.hi"))
+    pairs = pairs.unionByName(spans.where("k > 2 and lo != hi").select(facts.alias("a"), facts.alias("b")))
+    pairs = materialize(pairs, "open")
+    lone = (F.col("a.k") == 1) & (F.col("b.k") == 1)
+    single = pairs.where(lone).select(F.col("a.first").alias("a"), F.col("b.first").alias("b"), F.col("a.lo").alias("x"), F.col("b.lo").alias("y"))
+    single = single.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).distinct()
+    single = _verified(single, marks, words, distance).select(F.col("x").alias("a"), F.col("y").alias("b"))
+    open_ = pairs.where(~lone).select(F.least("a.same", "b.same").alias("a_key"), F.greatest("a.same", "b.same").alias("b_key")).distinct()
+    open_ = materialize(open_, "wide")
     named = open_.select(F.col("a_key").alias("key")).unionByName(open_.select(F.col("b_key").alias("key"))).distinct()
     own = materialize(own.join(named, "key", "left_semi"), "mixed")
     sizes = own.groupBy("key", "root").agg(F.count(F.lit(1)).alias("n"))
@@ -281,7 +304,7 @@ def _links_apart(crowd: DataFrame, edges: DataFrame, marks: DataFrame, roots: Da
 
     kind = roots.schema["root"].dataType.simpleString()
     found = sides.select("a.roots", "a.fps", F.col("b.roots").alias("b_roots"), F.col("b.fps").alias("b_fps")).mapInArrow(near, f"a {kind}, b {kind}")
-    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).unionByName(single).distinct()
 
 
 def similar_groups(

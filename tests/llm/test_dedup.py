@@ -246,3 +246,26 @@ def test_a_near_group_does_not_come_back_under_each_shared_key(spark, monkeypatc
     found = {r["node"]: r["root"] for r in simhash.similar_roots(marks, names, 65).collect()}
     assert found == dict.fromkeys(range(300), 0)
     assert max(counts.values()) <= 12 * 300, counts
+
+
+def test_near_values_of_a_group_make_a_pair_each(spark, monkeypatch):
+    """400 rows of one group whose values of every segment lie within four bits, some 60 within two bits of each: pairs grow with the values, not with their square."""
+    names, rows, counts = ["fp", *(f"fp{k}" for k in range(1, 6))], [], []
+    rng = np.random.default_rng(11)
+    base = rng.integers(0, 1 << 32, 12, dtype=np.uint64)
+    flips = np.array([(1 << i) | (1 << j) for i in range(32) for j in range(i)], dtype=np.uint64)
+    orders = np.stack([rng.permutation(flips) for _ in range(12)])
+    for i in range(400):
+        x = base ^ orders[:, i]
+        rows.append((i, *((x[0::2] | (x[1::2] << np.uint64(32))).view(np.int64).tolist())))
+    marks = spark.createDataFrame(rows, "node bigint, " + ", ".join(f"{x} bigint" for x in names))
+    verified = simhash._verified
+
+    def counted(pairs, *args):
+        counts.append(pairs.count())
+        return verified(pairs, *args)
+
+    monkeypatch.setattr(simhash, "_verified", counted)
+    found = {r["node"]: r["root"] for r in simhash.similar_roots(marks, names, 65).collect()}
+    assert found == dict.fromkeys(range(400), 0)
+    assert sum(counts) <= 12 * 400, counts
