@@ -7,7 +7,9 @@ with its core a connected substructure of the least size, the core shrinking to
 from __future__ import annotations
 
 from collections import Counter
+from collections.abc import Iterable
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -28,11 +30,18 @@ def common_core(core: Graph, g: Graph, least: int, steps: int = 400, host: Host
     p = p or Pattern(core)
     if host.may_contain(p) and next(embeddings(host, p, None), None) is not None:
         return core
+    room = reach(core, host)
+    if max(room, default=0) < least:
+        return None
     best: dict[int, int] = {}
     tried = 0
     for v in range(len(core.labels)):
         for w in host.by_label.get(core.labels[v], ()):
             tried += 1
+            if room[v] <= len(best):  # what it reaches cannot be more
+                if tried >= steps:
+                    break
+                continue
             image, used, border = {v: w}, {w}, [v]
             while border:
                 u = border.pop()
@@ -61,10 +70,29 @@ def common_core(core: Graph, g: Graph, least: int, steps: int = 400, host: Host
     return out
 
 
-def join(cores: list[tuple[Graph, Pattern]], g: Graph, least: int) -> list[int]:
-    """Numbers of the clusters that ``g`` joins, whose cores shrink; of a new one, if none."""
-    host, own = Host(g), []
-    for i, (held, p) in enumerate(cores):
+def reach(core: Graph, host: Host) -> list[int]:
+    """For each vertex of the core how many are joined to it, itself too, by edges that the host has somewhere, by labels."""
+    labels, triples = core.labels, host.triples
+    room, left = [0] * len(labels), set(range(len(labels)))
+    while left:
+        own, border = [], [left.pop()]
+        while border:
+            u = border.pop()
+            own.append(u)
+            for t, x in core.adj[u].items():
+                if t in left and ((labels[u], x, labels[t]) if labels[u] <= labels[t] else (labels[t], x, labels[u])) in triples:
+                    left.discard(t)
+                    border.append(t)
+        for u in own:
+            room[u] = len(own)
+    return room
+
+
+def join(cores: list[tuple[Graph, Pattern]], g: Graph, least: int, host: Host | None = None, among: Iterable[int] | None = None) -> list[int]:
+    """Numbers of the clusters (of ``among``, if given) that ``g`` joins, whose cores shrink; of a new one, if none."""
+    host, own = host or Host(g), []
+    for i in range(len(cores)) if among is None else among:
+        held, p = cores[i]
         core = common_core(held, g, least, host=host, p=p)
         if core is not None:
             if core is not held:
@@ -76,6 +104,58 @@ def join(cores: list[tuple[Graph, Pattern]], g: Graph, least: int) -> list[int]:
     return own
 
 
+class Cores:
+    """Clusters in the order they began, with a table of what their cores hold, so that a graph is compared with those only that can share enough.
+
+    An item is a label or a length-1 path with the number of its turn: as many as two graphs share, so many labels or edges they may match.
+    """
+
+    def __init__(self, least: int):
+        self.least = least
+        self.held: list[tuple[Graph, Pattern]] = []
+        self.items: dict[tuple, int] = {}
+        self.has = np.zeros((64, 64), bool)  # items by clusters
+        self.n_labels, self.n_edges = np.zeros(64, np.int64), np.zeros(64, np.int64)
+
+    def _items(self, counts: Counter, fresh: bool) -> list[int]:
+        keys = [(x, j) for x, n in counts.items() for j in range(n)]
+        if fresh:
+            for k in keys:
+                self.items.setdefault(k, len(self.items))
+        return [self.items[k] for k in keys if k in self.items]
+
+    def note(self, i: int) -> None:
+        core, p = self.held[i]
+        own = self._items(p.label_counts, True) + self._items(p.triples, True)
+        if len(self.items) > self.has.shape[0] or i >= self.has.shape[1]:
+            wide = np.zeros((max(self.has.shape[0], 2 * len(self.items)), max(self.has.shape[1], 2 * i)), bool)
+            wide[: self.has.shape[0], : self.has.shape[1]] = self.has
+            more = wide.shape[1] - len(self.n_labels)
+            self.has, self.n_labels, self.n_edges = wide, np.pad(self.n_labels, (0, more)), np.pad(self.n_edges, (0, more))
+        self.has[:, i] = False
+        self.has[own, i] = True
+        self.n_labels[i], self.n_edges[i] = len(core.labels), core.n_edges
+
+    def near(self, host: Host) -> list[int]:
+        """Numbers of the clusters whose cores can share a part of the least size with the host, or lie in it."""
+        n = len(self.held)
+        shared = lambda counts: self.has[self._items(counts, False), :n].sum(0)
+        labels, edges = shared(Counter({x: len(v) for x, v in host.by_label.items()})), shared(host.triples)
+        enough = (labels >= self.least) & (edges >= self.least - 1)  # a connected part has an edge less than vertices, at least
+        return np.flatnonzero(enough | ((labels == self.n_labels[:n]) & (edges == self.n_edges[:n]))).tolist()
+
+    def join(self, g: Graph) -> list[int]:
+        """As ``join``, with those clusters only that ``g`` can join."""
+        host = Host(g)
+        near = self.near(host)
+        before = {i: self.held[i][0] for i in near}
+        own = join(self.held, g, self.least, host, near)
+        for i in own:
+            if before.get(i) is not self.held[i][0]:
+                self.note(i)
+        return own
+
+
 def fit(graphs: DataFrame, min_common: int, granularity: float = 0.2, buckets: int = 64) -> DataFrame:
     """``(graph_id, cluster)`` memberships, several a graph. ``granularity``: tenths of it are the most frequent length-1 paths that
     part graphs, 0 for none.
@@ -92,13 +172,14 @@ def fit(graphs: DataFrame, min_common: int, granularity: float = 0.2, buckets: i
     keyed = graphs.select("graph_id", "vl", "eu", "ew", "el", key.cast("bigint").alias("bucket"))
 
     def grown(batches):
-        name, cores = None, []
+        name, cores = None, Cores(min_common)
         for batch in batches:
             rows = []
             for bucket, key, vl, eu, ew, el in zip(*(batch.column(c).to_pylist() for c in ("bucket", "graph_id", "vl", "eu", "ew", "el")), strict=True):
                 if bucket != name:
-                    name, cores = bucket, []
-                rows += [(key, f"{name}-{i}") for i in join(cores, Graph.of(vl, eu, ew, el), min_common)]
+                    name, cores = bucket, Cores(min_common)
+                rows += [(key, f"{name}-{i}") for i in cores.join(Graph.of(vl, eu, ew, el))]
             yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in rows], pa.int64()), pa.array([c for _, c in rows], pa.string())], ["graph_id", "cluster"])
 
-    return keyed.repartition("bucket").sortWithinPartitions("bucket", "graph_id").mapInArrow(grown, "graph_id bigint, cluster string")
+    # a task for each partition: rows are light and the work on them is not, so no two may be put together by their bytes
+    return keyed.repartitionById(buckets if most else 1, F.col("bucket").cast("int")).sortWithinPartitions("bucket", "graph_id").mapInArrow(grown, "graph_id bigint, cluster string")
